@@ -4,10 +4,18 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from vpcoreset.llm import licenses, mixing, secrets
+from vpcoreset.llm import decontaminate, licenses, mixing, pii, secrets, toxicity
 from vpcoreset.llm.common import table
 
 
+def op2_benchmark_leaks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.find_leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.toxicity(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op7_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.scan_secrets(table(spark, sf_dir, "documents"))
 
@@ -20,5 +28,9 @@ def op9_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.pareto_mix(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op7_secret_scan, op8_license_scan, op9_source_mix)}
+def op10_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.anonymise(table(spark, sf_dir, "documents").select("doc_id", "text"), found_col="entities")
+
+
+QUERIES = {f.__name__: f for f in (op2_benchmark_leaks, op5_toxicity, op7_secret_scan, op8_license_scan, op9_source_mix, op10_pii_surrogates)}
 ORACLES = {"op8_license_scan": licenses.licenses_sql(), "op9_source_mix": mixing.MIX_SQL.format(documents="documents")}
