@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from vpcoreset.llm import decontaminate, licenses, mixing, pii, secrets, toxicity
+from vpcoreset.llm import decontaminate, licenses, mixing, pii, secrets, toxicity, warc
 from vpcoreset.llm.common import table
 
 
@@ -16,6 +16,10 @@ def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.toxicity(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def op6_warc_archive(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.archive_round_trip(table(spark, sf_dir, "pages"))
+
+
 def op7_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.scan_secrets(table(spark, sf_dir, "documents"))
 
@@ -32,5 +36,5 @@ def op10_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.anonymise(table(spark, sf_dir, "documents").select("doc_id", "text"), found_col="entities")
 
 
-QUERIES = {f.__name__: f for f in (op2_benchmark_leaks, op5_toxicity, op7_secret_scan, op8_license_scan, op9_source_mix, op10_pii_surrogates)}
-ORACLES = {"op8_license_scan": licenses.licenses_sql(), "op9_source_mix": mixing.MIX_SQL.format(documents="documents")}
+QUERIES = {f.__name__: f for f in (op2_benchmark_leaks, op5_toxicity, op6_warc_archive, op7_secret_scan, op8_license_scan, op9_source_mix, op10_pii_surrogates)}
+ORACLES = {"op6_warc_archive": warc.WARC_SQL, "op8_license_scan": licenses.licenses_sql(), "op9_source_mix": mixing.MIX_SQL.format(documents="documents")}
