@@ -5,7 +5,7 @@ projection on every line; a vector collides where it falls into the window. Wind
 rehashing: nothing is hashed again, only the rims are read). A vector with ``share`` of all lines as
 collisions is verified: its cosine with the query is computed in double precision on the original vectors.
 The search of a query ends when a vector nearer than its k-th best would, with ``sure`` standard deviations to spare,
-have passed the threshold already, or when everything is verified.
+have passed the threshold already, when ``enough`` of all vectors are verified, or when all are.
 
 Every row is indexed: tasks build the arrays for chunks of up to ``chunk`` rows and keep the best k of each for every
 query; the best k over chunks are the result. Queries are taken in blocks of at most ``block``, and only such a block
@@ -29,6 +29,10 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 
+#: Projections of unit vectors are normal numbers; none comes near half of this, and windows stop at it.
+GAP = 1_000.0
+
+
 def _lines(dim: int, n: int, seed: int) -> np.ndarray:
     return np.random.default_rng([seed, dim]).standard_normal((dim, n)).astype(np.float32)
 
@@ -36,14 +40,18 @@ def _lines(dim: int, n: int, seed: int) -> np.ndarray:
 class CollisionIndex:
     """Sorted projections of a chunk of vectors of one length."""
 
-    def __init__(self, ids: np.ndarray, vectors: np.ndarray, lines: int, seed: int, share: float = 0.6, sure: float = 2.0, step: float = 0.12):
+    def __init__(self, ids: np.ndarray, vectors: np.ndarray, lines: int, seed: int, share: float = 0.6, sure: float = 1.5, start: float = 0.5, step: float = 0.06, enough: float = 0.08):
         self.ids, self.vectors = ids, vectors.astype(np.float64)
         self.norms = np.sqrt((self.vectors * self.vectors).sum(1))
         self.axes = _lines(vectors.shape[1], lines, seed)
         place = (self.vectors / self.norms[:, None]).astype(np.float32) @ self.axes
-        self.order = np.ascontiguousarray(np.argsort(place, axis=0, kind="stable").T.astype(np.int32))
-        self.place = np.ascontiguousarray(np.take_along_axis(place.T, self.order.astype(np.int64), 1))
-        self.lines, self.share, self.sure, self.step = lines, share, sure, step
+        self.order = np.ascontiguousarray(np.argsort(place, axis=0, kind="stable").T)
+        # All lines in one array: line j is shifted by j * GAP, more than any width of a window.
+        self.shift = np.arange(lines) * GAP
+        self.place = (np.take_along_axis(place.T, self.order, 1) + self.shift[:, None]).ravel()
+        self.order = self.order.ravel()
+        self.first = np.arange(lines) * len(ids)
+        self.lines, self.share, self.sure, self.start, self.step, self.enough = lines, share, sure, start, step, enough
 
     def cosines(self, at: np.ndarray, query: np.ndarray) -> np.ndarray:
         return (self.vectors[at] * query).sum(1) / (self.norms[at] * math.sqrt((query * query).sum()))
@@ -56,19 +64,18 @@ class CollisionIndex:
     def search(self, query_id: int, query: np.ndarray, k: int) -> tuple[list[tuple[float, int]], int]:
         """Best k as (cosine, id), and how many vectors were verified."""
         n, need = len(self.ids), math.ceil(self.share * self.lines)
-        centre = (query / math.sqrt((query * query).sum())).astype(np.float32) @ self.axes
-        low = np.array([np.searchsorted(row, c) for row, c in zip(self.place, centre, strict=True)])
+        centre = (query / math.sqrt((query * query).sum())).astype(np.float32) @ self.axes + self.shift
+        low = np.minimum(np.maximum(np.searchsorted(self.place, centre), self.first), self.first + n)
         high, hits = low.copy(), np.zeros(n, np.int64)
         verified = np.zeros(n, bool)
         verified[self.ids == query_id] = True
         best: list[tuple[float, int]] = []
         half, done = 0.0, 0
         while True:
-            half += self.step
-            new_low = np.array([np.searchsorted(row, c - half, "left") for row, c in zip(self.place, centre, strict=True)])
-            new_high = np.array([np.searchsorted(row, c + half, "right") for row, c in zip(self.place, centre, strict=True)])
-            new_low, new_high = np.minimum(new_low, low), np.maximum(new_high, high)
-            rims = [self.order[j, a:b] for j, (a, b) in enumerate(zip(new_low, low, strict=True)) if b > a] + [self.order[j, a:b] for j, (a, b) in enumerate(zip(high, new_high, strict=True)) if b > a]
+            half += self.step if half else self.start
+            new_low = np.minimum(np.maximum(np.searchsorted(self.place, centre - half, "left"), self.first), low)
+            new_high = np.maximum(np.minimum(np.searchsorted(self.place, centre + half, "right"), self.first + n), high)
+            rims = [self.order[a:b] for a, b in zip(new_low.tolist(), low.tolist(), strict=True) if b > a] + [self.order[a:b] for a, b in zip(high.tolist(), new_high.tolist(), strict=True) if b > a]
             if rims:
                 hits += np.bincount(np.concatenate(rims), minlength=n)
             low, high = new_low, new_high
@@ -78,7 +85,7 @@ class CollisionIndex:
                 done += len(at)
                 score = self.cosines(at, query)
                 best = sorted([*best, *zip((-score).tolist(), self.ids[at].tolist(), strict=True)])[:k]
-            if verified.all() or (len(best) == k and self._passed(half, math.sqrt(max(0.0, 2 + 2 * best[-1][0])))):
+            if verified.all() or (len(best) == k and (done >= k + self.enough * n or self._passed(half, math.sqrt(max(0.0, 2 + 2 * best[-1][0]))))):
                 return [(-s, i) for s, i in best], done
 
 

@@ -4,14 +4,26 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from vpcoreset.llm import decontaminate, licenses, mixing, pii, secrets, toxicity, warc
+from vpcoreset.llm import decontaminate, language_model, licenses, mixing, neighbours, ngram_join, pii, secrets, toxicity, warc
 from vpcoreset.llm.common import table
 
 
+def op1_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language_model.score_documents(table(spark, sf_dir, "documents"))
+
+
 def op2_benchmark_leaks(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.find_leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op3_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.ngram_join(table(spark, sf_dir, "documents"))
+
+
+def op4_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neighbours.nearest(table(spark, sf_dir, "embeddings"))
+
+
 def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.toxicity(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
@@ -36,5 +48,6 @@ def op10_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.anonymise(table(spark, sf_dir, "documents").select("doc_id", "text"), found_col="entities")
 
 
-QUERIES = {f.__name__: f for f in (op2_benchmark_leaks, op5_toxicity, op6_warc_archive, op7_secret_scan, op8_license_scan, op9_source_mix, op10_pii_surrogates)}
+QUERIES = {f.__name__: f for f in (
+    op1_language_model, op2_benchmark_leaks, op3_ngram_join, op4_nearest, op5_toxicity, op6_warc_archive, op7_secret_scan, op8_license_scan, op9_source_mix, op10_pii_surrogates)}
 ORACLES = {"op6_warc_archive": warc.WARC_SQL, "op8_license_scan": licenses.licenses_sql(), "op9_source_mix": mixing.MIX_SQL.format(documents="documents")}
