@@ -20,6 +20,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -29,7 +30,7 @@ from vpcoreset.llm.common import mix64
 MASKS = ((0, 1, 2, 3, 5, 6), (0, 1, 2, 4, 5, 6), (0, 1, 3, 4, 6, 7), (0, 1, 3, 6, 7, 9))
 SHORT = ((0, 1, 2, 3, 4), (0, 1, 2, 3, 4, 5))  # for items of 5 and 6 words
 EDGES = "!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~«»„“”‘’…¡¿"
-SCHEMA = "doc long, item long, doc_start int, doc_end int, item_start int, item_end int, n_match int, identity double"
+SCHEMA = "doc string, item string, doc_start int, doc_end int, item_start int, item_end int, n_match int, identity double"
 MEMO = 1 << 20
 
 
@@ -125,18 +126,22 @@ def leaks(text: str | None, index: dict, vocabulary: Vocabulary, min_match: int,
         yield item, *found
 
 
+def _blocks(spark, benchmark: DataFrame, item_col: str, text_col: str, block_chars: int) -> Iterator:
+    """Broadcast indexes of blocks of test items; a block holds about ``block_chars`` characters."""
+    items = benchmark.select(F.col(item_col).cast("string").alias("item"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    chars = items.agg(F.sum(F.length("text") + 16)).collect()[0][0] or 0
+    blocks = -(-chars // block_chars) or 1
+    for block in range(blocks):
+        part = items if blocks == 1 else items.where(F.pmod(F.xxhash64("item", "text"), F.lit(blocks)) == block)
+        yield spark.sparkContext.broadcast(build_index(sorted(((r["item"], r["text"]) for r in part.collect()), key=lambda x: (x[0] is None, x[0] or "", x[1]))))
+
+
 def find_leaks(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text",
                min_match: int = 10, identity: float = 0.8, block_chars: int = 8_000_000) -> DataFrame:
     """One row for each document and test item that share a leak."""
-    spark = docs.sparkSession
-    items = benchmark.select(F.col(item_col).alias("item"), F.coalesce(F.col(item_text_col), F.lit("")).alias("text"))
-    chars = items.agg(F.sum(F.length("text") + 16)).collect()[0][0] or 0
-    blocks = -(-chars // block_chars) or 1
-    rows = docs.select(F.col(id_col).alias("doc"), F.col(text_col).alias("text"))
+    rows = docs.select(F.col(id_col).cast("string").alias("doc"), F.col(text_col).alias("text"))
     out = None
-    for block in range(blocks):
-        part = items if blocks == 1 else items.where(F.pmod(F.xxhash64("item"), F.lit(blocks)) == block)
-        held = spark.sparkContext.broadcast(build_index(sorted((r["item"], r["text"]) for r in part.collect() if r["item"] is not None)))
+    for held in _blocks(docs.sparkSession, benchmark, item_col, item_text_col, block_chars):
 
         def search(batches: Iterator[pd.DataFrame], held=held) -> Iterator[pd.DataFrame]:
             index = held.value
@@ -147,4 +152,22 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id",
 
         found = rows.mapInPandas(search, SCHEMA)
         out = found if out is None else out.unionByName(found)
-    return out.withColumnsRenamed({"doc": id_col, "item": item_col})
+    return out.select(
+        F.col("doc").cast(docs.schema[id_col].dataType).alias(id_col), F.col("item").cast(benchmark.schema[item_col].dataType).alias(item_col),
+        "doc_start", "doc_end", "item_start", "item_end", "n_match", "identity")
+
+
+def drop_leaking(docs: DataFrame, benchmark: DataFrame, *, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text",
+                 min_match: int = 10, identity: float = 0.8, block_chars: int = 8_000_000) -> DataFrame:
+    """The rows of docs, all columns, that share a leak with no test item."""
+    for held in _blocks(docs.sparkSession, benchmark, item_col, item_text_col, block_chars):
+
+        def keep(batches: Iterator[pa.RecordBatch], held=held) -> Iterator[pa.RecordBatch]:
+            index = held.value
+            vocabulary = Vocabulary(index["names"])
+            for batch in batches:
+                clean = [next(leaks(t, index, vocabulary, min_match, identity), None) is None for t in batch.column(text_col).to_pylist()]
+                yield batch.filter(pa.array(clean, pa.bool_()))
+
+        docs = docs.mapInArrow(keep, docs.schema)
+    return docs

@@ -15,7 +15,7 @@ Result: a row for each document with the least id of its connected group of link
 i.e. of other documents with a similarity of ``threshold`` or more, equal ones included.
 
 Defined results: null and empty texts have no shingle, no link and are groups of their own; a text of fewer than
-five words is one shingle; rows that repeat an id count as copies of it; columns other than id and text are ignored;
+five words is one shingle; rows that repeat an id count as copies of it; rows without an id link to nothing and have no class; columns other than id and text are ignored;
 texts are read whole.
 """
 
@@ -175,7 +175,7 @@ def _verify(width: int, threshold: float):
 def ngram_join(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", width: int = 5, threshold: float = 0.8, recall: float = 0.9999, block: int = 512) -> DataFrame:
     """(id, class_id, n_links) of every row."""
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
-    signed = stored(rows.mapInPandas(_sign(width), "id long, key binary, sig binary"), "signed")
+    signed = stored(rows.where(F.col("id").isNotNull()).mapInPandas(_sign(width), "id long, key binary, sig binary"), "signed")
     classes = signed.groupBy("key").agg(F.min(F.struct("id", "sig")).alias("least"), F.count(F.lit(1)).alias("copies"))
     classes = stored(classes.select("key", "least.id", "least.sig", "copies"), "classes")
 
@@ -203,5 +203,5 @@ def ngram_join(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text
     per_class = classes.select("key", "id", "copies").join(links, "id", "left").join(linked.withColumnRenamed("node", "id"), "id", "left")
     per_class = per_class.select("key", F.coalesce("label", "id").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
     keyed = signed.select("id", "key").join(per_class, "key").select("id", "class_id", "n_links")
-    empty = rows.where(F.regexp_count(F.coalesce("text", F.lit("")), F.lit(r"[^\x20\x09-\x0D]")) == 0).select("id", F.col("id").alias("class_id"), F.lit(0).cast("long").alias("n_links"))
+    empty = rows.where(F.col("id").isNull() | (F.regexp_count(F.coalesce("text", F.lit("")), F.lit(r"[^\x20\x09-\x0D]")) == 0)).select("id", F.col("id").alias("class_id"), F.lit(0).cast("long").alias("n_links"))
     return keyed.unionByName(empty).withColumnRenamed("id", id_col)

@@ -25,9 +25,9 @@ import hashlib
 import re
 from collections.abc import Iterator
 
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 # Names by script and gender, and surnames (male and female form).
 GIVEN = {
@@ -58,6 +58,7 @@ PATTERN = re.compile(
 )
 #: A text without any of these cannot hold an entity; the test is far cheaper than the pattern.
 HINT = re.compile(rf"@|[0-9][0-9.() +-]{{5,}}[0-9]|\b[A-Z]{{2}}[0-9]{{2}}|\b(?:{'|'.join([*TITLES, *_GENDER])})\b")
+FOUND = T.ArrayType(T.StructType([T.StructField("kind", T.StringType()), T.StructField("start", T.IntegerType()), T.StructField("end", T.IntegerType())]))
 DIGITS, LETTERS = "0123456789", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -247,20 +248,22 @@ class Surrogates:
 
 
 def anonymise(docs: DataFrame, *, text_col: str = "text", key: str = "surrogates", found_col: str | None = None) -> DataFrame:
-    """docs with surrogates in the text column; ``found_col`` adds the entities of the original."""
-    schema = docs.schema
-    kept = [f for f in schema.fields if f.name != found_col]
-    out = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in kept)
-    if found_col:
-        out += f", `{found_col}` array<struct<kind:string,start:int,end:int>>"
-
-    def replace(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """docs, all columns, with surrogates in the text column; ``found_col`` adds the entities of the original."""
+    if found_col in docs.columns:
+        docs = docs.drop(found_col)
+    at = docs.columns.index(text_col)
+    schema = T.StructType([*docs.schema.fields, *([T.StructField(found_col, FOUND)] if found_col else [])])
+    found_type = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int32()), ("end", pa.int32())]))
+
+    def replace(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         act = Surrogates(key)
         for batch in batches:
-            done = [act(x) for x in batch[text_col]]
-            batch = batch.assign(**{text_col: pd.Series([t for t, _ in done], index=batch.index, dtype=object)})
+            done = [act(x) for x in batch.column(at).to_pylist()]
+            columns, names = list(batch.columns), list(batch.schema.names)
+            columns[at] = pa.array([t for t, _ in done], pa.string())
             if found_col:
-                batch[found_col] = pd.Series([[{"kind": k, "start": a, "end": b} for k, a, b in s] for _, s in done], index=batch.index, dtype=object)
-            yield batch
+                columns.append(pa.array([[{"kind": k, "start": a, "end": b} for k, a, b in s] for _, s in done], found_type))
+                names.append(found_col)
+            yield pa.RecordBatch.from_arrays(columns, names)
 
-    return docs.select(*[F.col(f"`{f.name}`") for f in kept]).mapInPandas(replace, out)
+    return docs.mapInArrow(replace, schema)

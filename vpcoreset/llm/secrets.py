@@ -76,14 +76,15 @@ def scan_secrets(docs: DataFrame, ledger: str | None = None, *, id_col: str = "d
     spark = docs.sparkSession
     path = ledger or scratch(spark, "blob-ledger")
     text = F.coalesce(F.col(text_col), F.lit(""))
-    paths = docs.select(F.col(id_col).alias("id"), F.sha2(text, 256).alias("blob"))
-    unseen = paths.groupBy("blob").agg(F.min("id").alias("id"))
+    key = F.coalesce(F.col(id_col).cast("string"), F.lit(""))
+    paths = docs.select(F.col(id_col).alias("id"), key.alias("path"), F.sha2(text, 256).alias("blob"))
+    unseen = paths.groupBy("blob").agg(F.min("path").alias("path"))
     if ledger and _exists(spark, path):
         known = spark.read.schema(LEDGER).parquet(path).where(F.col("rule_version") == RULE_VERSION).select("blob")
         unseen = unseen.join(known, "blob", "left_anti")
     # The blob's text is read at its first path; the hash guards against ids that repeat with other texts.
-    texts = docs.select(F.col(id_col).alias("id"), F.sha2(text, 256).alias("blob"), text.alias("text"))
-    fresh = texts.join(unseen, ["id", "blob"], "left_semi")
+    texts = docs.select(key.alias("path"), F.sha2(text, 256).alias("blob"), text.alias("text"))
+    fresh = texts.join(unseen, ["path", "blob"], "left_semi")
     scan_blobs(fresh).write.mode("append").parquet(path)
     # Rows that repeat both id and text bring equal entries; one of them counts.
     entries = spark.read.schema(LEDGER).parquet(path).where(F.col("rule_version") == RULE_VERSION).drop("rule_version").distinct()

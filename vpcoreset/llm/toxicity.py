@@ -28,6 +28,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -35,7 +36,7 @@ from vpcoreset.llm.common import stored
 
 STEM, STEM_WEIGHT, TOKEN_WEIGHT, DRIFT, TOP = 4, 12.0, 4.0, 1.5, 6.0
 EDGES = "!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~«»„“”‘’…¡¿"
-SCHEMA = "id long, score double, predicted int, passages array<struct<start:int,end:int,score:double,evalue:double>>"
+SCHEMA = "id string, score double, predicted int, passages array<struct<start:int,end:int,score:double,evalue:double>>"
 MEMO = 1 << 20
 
 
@@ -231,5 +232,24 @@ def toxicity(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text
     rest = lambda c: F.pmod(F.crc32(F.col(c).cast("string")), F.lit(4))
     known = labels.where(rest(id_col) != 2).select(F.col(id_col).alias("id"), F.col(label_col).alias("toxic"))
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
-    scored = score_toxicity(rows, fit(rows, known, sample=sample), threshold=threshold)
+    model = fit(rows, known, sample=sample)
+    scored = score_toxicity(rows.withColumn("id", F.col("id").cast("string")), model, threshold=threshold).withColumn("id", F.col("id").cast(docs.schema[id_col].dataType))
     return scored.select(F.col("id").alias(id_col), F.coalesce(rest("id") == 2, F.lit(False)).alias("held_out"), "score", "predicted", "passages")
+
+
+def reject_toxic(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", sample: int = 20_000, threshold: float = 0.3) -> DataFrame:
+    """The rows of docs, all columns, whose score is below the threshold; labels are used as by ``toxicity``."""
+    known = labels.where(F.pmod(F.crc32(F.col(id_col).cast("string")), F.lit(4)) != 2).select(F.col(id_col).alias("id"), F.col(label_col).alias("toxic"))
+    model = fit(docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")), known, sample=sample)
+    held = docs.sparkSession.sparkContext.broadcast(model)
+
+    def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        m = held.value
+        look = TokenScores(m["tokens"], m["stems"])
+        a, b = m["curve"]
+        some = bool(m["tokens"] or m["stems"])
+        for batch in batches:
+            texts = batch.column(text_col).to_pylist()
+            yield batch.filter(pa.array([not some or 1 / (1 + math.exp(-max(-30.0, min(30.0, a + b * _evidence(passages(t, m, look)))))) < threshold for t in texts], pa.bool_()))
+
+    return docs.mapInArrow(keep, docs.schema)

@@ -15,7 +15,7 @@ response, the others are revisit records without payload that name it.
 
 Defined results: a null payload is empty; smaller payloads are always responses; pages that repeat id and
 payload are written and returned each (the repeats of the response are revisits of it, one by row stays);
-an empty table writes no file and gives no row; columns other than id, url and html are ignored.
+a page without an id is a response, and read back without one; an empty table writes no file and gives no row; columns other than id, url and html are ignored.
 """
 
 from __future__ import annotations
@@ -81,7 +81,7 @@ class PackageWriter:
         self._put(b"PK\x07\x08" + struct.pack("<IQQ" if wide else "<III", crc, size, size))
         self.members.append(self.open)
 
-    def record(self, page_id: int, url: str, kind: str, payload: bytes, digest: str, length: int, refers_to: int | None) -> None:
+    def record(self, page_id: str, url: str, kind: str, payload: bytes, digest: str, length: int, refers_to: str | None) -> None:
         block = b"" if kind == "revisit" else payload
         http = f"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: {length}\r\n\r\n".encode()
         head = {
@@ -132,7 +132,7 @@ def write_packages(records: DataFrame, folder: str) -> DataFrame:
                     system.create_dir(inner.rsplit("/", 1)[0], recursive=True)
                     stream = system.open_output_stream(inner)
                     out = PackageWriter(stream)
-                out.record(int(r.page_id), r.url or "", r.record_type, bytes(r.payload), r.payload_digest, int(r.payload_bytes), None if pd.isna(r.refers_to) else int(r.refers_to))
+                out.record(r.page_id, r.url or "", r.record_type, bytes(r.payload), r.payload_digest, int(r.payload_bytes), r.refers_to)
         if out is not None:
             out.close()
             stream.close()
@@ -225,7 +225,7 @@ def parse_record(data: bytes) -> tuple[dict[str, str], bytes]:
     return fields, block.partition(b"\r\n\r\n")[2]
 
 
-RECORD = "page_id long, url string, payload binary, payload_bytes long, payload_digest string, record_type string, refers_to long, sound boolean"
+RECORD = "page_id string, url string, payload binary, payload_bytes long, payload_digest string, record_type string, refers_to string, sound boolean"
 
 
 def read_packages(manifest: DataFrame, *, chunk: int = 256, payloads: bool = True) -> DataFrame:
@@ -253,28 +253,27 @@ def read_packages(manifest: DataFrame, *, chunk: int = 256, payloads: bool = Tru
                 with system.open_input_file(inner) as source:
                     for a, s in zip(row.at, row.size, strict=True):
                         fields, payload = parse_record(source.read_at(int(s), int(a)))
-                        page = lambda k: int(fields[k].removeprefix("<urn:page:").rstrip(">")) if k in fields else None
+                        page = lambda k: x if (x := fields.get(k, "").removeprefix("<urn:page:").rstrip(">")) not in ("", "none") else None
                         digest, kind = fields["WARC-Payload-Digest"].removeprefix("sha1:"), fields["WARC-Type"]
                         sound = kind == "revisit" or (hashlib.sha1(payload).hexdigest() == digest and len(payload) == int(fields["X-Payload-Length"]))
                         out.append((page("WARC-Record-ID"), fields["WARC-Target-URI"], payload if payloads else None, int(fields["X-Payload-Length"]), digest, kind, page("WARC-Refers-To"), sound))
-                frame = pd.DataFrame(out, columns=[x.split()[0] for x in RECORD.split(", ")])
-                yield frame.assign(refers_to=frame["refers_to"].astype("Int64"))
+                yield pd.DataFrame(out, columns=[x.split()[0] for x in RECORD.split(", ")])
 
     spans = manifest.select("path").repartition("path").mapInPandas(ranges, "path string, at array<long>, size array<long>")
-    return spans.repartition("path", F.element_at("at", 1)).mapInPandas(read, RECORD)
+    return spans.repartition("path", F.element_at("at", 1)).mapInPandas(read, RECORD).withColumns({k: F.col(k).cast("long") for k in ("page_id", "refers_to")})
 
 
 def plan_records(pages: DataFrame, *, id_col: str = "page_id", url_col: str = "url", text_col: str = "html", least: int = 1000) -> DataFrame:
     """Each page with its payload and the kind of record it gets."""
     payload = F.encode(F.coalesce(F.col(text_col), F.lit("")), "UTF-8")
-    rows = pages.select(F.col(id_col).alias("page_id"), F.col(url_col).alias("url"), payload.alias("payload"))
+    rows = pages.select(F.col(id_col).cast("long").alias("page_id"), F.col(url_col).alias("url"), payload.alias("payload"))
     rows = rows.withColumns({"payload_digest": F.sha1("payload"), "payload_bytes": F.octet_length("payload").cast("long")})
     best = rows.where(F.col("payload_bytes") >= least).groupBy("payload_digest").agg(F.max("page_id").alias("best"), F.count(F.lit(1)).alias("n"))
     rows = rows.join(best.where(F.col("n") > 1).drop("n"), "payload_digest", "left")
     revisit = F.coalesce(F.col("best") != F.col("page_id"), F.lit(False))
     return rows.select(
-        "page_id", "url", "payload", "payload_digest", "payload_bytes",
-        F.when(revisit, "revisit").otherwise("response").alias("record_type"), F.when(revisit, F.col("best")).alias("refers_to"))
+        F.coalesce(F.col("page_id").cast("string"), F.lit("none")).alias("page_id"), "url", "payload", "payload_digest", "payload_bytes",
+        F.when(revisit, "revisit").otherwise("response").alias("record_type"), F.when(revisit, F.col("best").cast("string")).alias("refers_to"))
 
 
 def archive_round_trip(pages: DataFrame, folder: str | None = None, **names) -> DataFrame:
