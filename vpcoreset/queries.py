@@ -2,5 +2,7 @@
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict[str, str] = {}
+from vpcoreset.plans import methods
+
+QUERIES: dict = dict(methods.QUERIES)
+ORACLES: dict[str, str] = dict(methods.ORACLES)
