@@ -704,10 +704,10 @@ _PLANS = (("regression", 0.1, 0.1, 0.5, 9), ("regression", 0.2, 0.05, 0.9, 3))
 
 @query("size_planner", "SELECT * FROM (VALUES " + ", ".join(
     [f"('regression', CAST(ceil(power({e}, -2) * power({g}, -2) * {n} * ({n} * {n} * ln(greatest({n} / power({g}, 2), 2)) + ln(1 / {dl}))) AS BIGINT))" for _, e, dl, g, n in _PLANS]
-    + ["('kmeans', CAST(ceil(power(0.2, -2) * 90 * (6 * 10 * ln(90) + ln(1 / 0.1))) AS BIGINT))", "('robust_regression', CAST(ceil(power(0.5 * 0.2 * 3, -2) * power(3, 6)) AS BIGINT))", "('robust_kmeans', CAST(ceil(power(0.5 * 0.5, -2) * power(2, 5) * 4) AS BIGINT))"]) + ") t(task, size)")
+    + ["('kmeans', CAST(ceil(power(0.2, -2) * 90 * (6 * 10 * ln(90) + ln(1 / 0.1))) AS BIGINT))", "('robust_regression', CAST(ceil(power(0.5 * 0.35 * 3, -2) * power(3, 6)) AS BIGINT))", "('robust_kmeans', CAST(ceil(power(0.5 * 0.5, -2) * power(2, 5) * 4) AS BIGINT))"]) + ") t(task, size)")
 def size_planner(spark: SparkSession, d: str) -> DataFrame:
     rows = [("regression", planner.plan_regression(e, dl, g, n)) for _, e, dl, g, n in _PLANS]
-    rows += [("kmeans", planner.plan_kmeans(0.2, 0.1, 1.0, 3.0, 10, 3, 6)), ("robust_regression", planner.plan_robust_regression(0.5, 0.2, 3, 3)), ("robust_kmeans", planner.plan_robust_kmeans(0.5, 0.5, 2, 4))]
+    rows += [("kmeans", planner.plan_kmeans(0.2, 0.1, 1.0, 3.0, 10, 3, 6)), ("robust_regression", planner.plan_robust_regression(0.5, 0.35, 3, 3)), ("robust_kmeans", planner.plan_robust_kmeans(0.5, 0.5, 2, 4))]
     return spark.createDataFrame(rows, "task string, size long")
 
 
@@ -718,8 +718,9 @@ def _outlier_oracle() -> str:
     chain = Chain()
     chain.wide("docs3")
     chain.add("costed", "SELECT id, power(0.2 * digits + 0.3 * dots + 0.1 * punct - y, 2) AS cost FROM z")
-    cut = "(SELECT quantile_cont(cost, 1 - floor(0.05 * (SELECT count(*) FROM costed)) / (SELECT count(*) FROM costed)) FROM costed)"
-    return chain.select(f"SELECT id, round(cost, 5) AS cost, cost > {cut} AS outlier FROM costed")
+    chain.add("sorted", "SELECT list(cost ORDER BY cost) AS v, count(*) AS n, (count(*) - 1) * (1 - floor(0.05 * count(*)) / count(*)) AS pos FROM costed")
+    chain.add("cut", "SELECT v[CAST(floor(pos) AS BIGINT) + 1] + (pos - floor(pos)) * (v[CAST(floor(pos) AS BIGINT) + 2] - v[CAST(floor(pos) AS BIGINT) + 1]) AS c FROM sorted")
+    return chain.select("SELECT id, round(cost, 5) AS cost, cost > (SELECT c FROM cut) AS outlier FROM costed")
 
 
 @query("robust_reg_outliers", _outlier_oracle())

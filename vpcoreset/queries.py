@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
+from vpcoreset.operators import queries as operators
 from vpcoreset.plans import methods
 
-QUERIES: dict = dict(methods.QUERIES)
-ORACLES: dict[str, str] = dict(methods.ORACLES)
+QUERIES: dict = methods.QUERIES | operators.QUERIES
+ORACLES: dict[str, str] = methods.ORACLES | operators.ORACLES
