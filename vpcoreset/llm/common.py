@@ -17,7 +17,12 @@ PIECE = 1 << 20
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 
 
+#: Rows of an Arrow batch; with texts of some kilobytes a batch takes a few megabytes on either side.
+BATCH_ROWS = 2_000
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
