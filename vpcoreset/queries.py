@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from vpcoreset.operators import queries as operators
 from vpcoreset.plans import methods
+from vpcoreset.streaming import queries as streaming
 
-QUERIES: dict = methods.QUERIES | operators.QUERIES
-ORACLES: dict[str, str] = methods.ORACLES | operators.ORACLES
+QUERIES: dict = methods.QUERIES | operators.QUERIES | streaming.QUERIES
+ORACLES: dict[str, str] = methods.ORACLES | operators.ORACLES | streaming.ORACLES
