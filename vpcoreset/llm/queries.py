@@ -50,4 +50,4 @@ def op10_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {f.__name__: f for f in (
     op1_language_model, op2_benchmark_leaks, op3_ngram_join, op4_nearest, op5_toxicity, op6_warc_archive, op7_secret_scan, op8_license_scan, op9_source_mix, op10_pii_surrogates)}
-ORACLES = {"op6_warc_archive": warc.WARC_SQL, "op8_license_scan": licenses.licenses_sql(), "op9_source_mix": mixing.MIX_SQL.format(documents="documents")}
+ORACLES = {"op6_warc_archive": warc.WARC_SQL, "op7_secret_scan": secrets.secrets_sql(), "op8_license_scan": licenses.licenses_sql(), "op9_source_mix": mixing.MIX_SQL.format(documents="documents")}

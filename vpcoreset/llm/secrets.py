@@ -91,6 +91,29 @@ def scan_secrets(docs: DataFrame, ledger: str | None = None, *, id_col: str = "d
     return paths.join(entries, "blob").select(F.col("id").alias(id_col), "n_assign", "n_access", "n_hex", "base_sha256", "spans", "blob")
 
 
+def secrets_sql() -> str:
+    """DuckDB twin: runs of hex digits and keys are matched at full length at once, which finds the same spans."""
+    full = {"access": r"AKIA[A-Z0-9]{14,}", "hex": r"[0-9a-f]{16,}"}
+    parts = []
+    for no, (kind, pattern, group, least, _) in enumerate(RULES):
+        p = full.get(kind, pattern).replace("'", "''")
+        parts.append(f"""SELECT doc_id, {no} AS no, '{kind}' AS kind, x.s AS s, x.s + length(x.h) AS e FROM (
+  SELECT doc_id, unnest(list_transform(range(1, len(m) + 1), lambda i: struct_pack(
+    s := list_sum(list_transform(g[1:i], lambda y: length(y))) + coalesce(list_sum(list_transform(m[1:i-1], lambda y: length(y))), 0), h := m[i], p := p[i]))) AS x
+  FROM (SELECT doc_id, regexp_extract_all(t, '{p}') AS m, string_split_regex(t, '{p}') AS g, regexp_extract_all(t, '{p}', {group}) AS p FROM d WHERE regexp_matches(t, '{p}')))
+  WHERE length(x.p) >= {least}""")
+    return f"""
+WITH d AS (SELECT doc_id, coalesce(text, '') AS t FROM documents),
+hit AS ({" UNION ALL ".join(parts)}),
+told AS (
+  SELECT doc_id, count(*) FILTER (WHERE no = 0) AS n_assign, count(*) FILTER (WHERE no = 1) AS n_access, count(*) FILTER (WHERE no = 2) AS n_hex,
+         string_agg(kind || ':' || CAST(s AS BIGINT) || ':' || CAST(e AS BIGINT), ',' ORDER BY s, no) FILTER (WHERE no < 3) AS base,
+         string_agg(kind || ':' || CAST(s AS BIGINT) || ':' || CAST(e AS BIGINT), ',' ORDER BY s, no) AS spans FROM hit GROUP BY 1)
+SELECT doc_id, coalesce(n_assign, 0) AS n_assign, coalesce(n_access, 0) AS n_access, coalesce(n_hex, 0) AS n_hex,
+       sha256(coalesce(base, '')) AS base_sha256, coalesce(spans, '') AS spans, sha256(t) AS blob FROM d LEFT JOIN told USING (doc_id)
+"""
+
+
 def _exists(spark, path: str) -> bool:
     p = spark._jvm.org.apache.hadoop.fs.Path(path)
     return p.getFileSystem(spark._jsc.hadoopConfiguration()).exists(p)

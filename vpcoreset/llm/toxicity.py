@@ -4,7 +4,8 @@ Tokens are white-space words in lower case without punctuation at their ends. A
 gives, for each token, the number of toxic and other documents that hold it. Its odds are those of
 a Dirichlet posterior whose prior is the posterior of the token's stem (the first four letters),
 whose prior in turn is the share of toxic documents; so unseen inflections of a toxic stem count.
-A token scores its log-odds against that share, less a drift that makes ordinary text negative.
+A token scores its log-odds against that share, less a drift that makes ordinary text negative; its repeats in a
+document score as ordinary text.
 
 A linear scan finds all maximal segments of positive total. A segment of score S in n tokens has
 the expectation ``E = K n exp(-lambda S)`` in ordinary text: lambda solves the moment equation on
@@ -86,8 +87,12 @@ def runs(text: str | None, look: TokenScores) -> tuple[int, list[tuple[int, int,
     """Number of tokens, the runs of a text (scored tokens one by one, the others together) and its token scores; those without score drift down."""
     words = text.split() if text else []
     value = np.fromiter(map(look.__getitem__, words), float, len(words))
-    out, at = [], 0
+    out, at, told = [], 0, set()
     for i in np.flatnonzero(value).tolist():
+        if (word := words[i].lower().strip(EDGES)) in told:  # a repeated token is no further evidence: odds are by document
+            value[i] = 0
+            continue
+        told.add(word)
         if i > at:
             out.append((at, i, -DRIFT * (i - at)))
         out.append((i, i + 1, float(value[i])))
