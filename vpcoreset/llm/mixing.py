@@ -47,7 +47,7 @@ def source_targets(sizes: DataFrame, share: float, weights: tuple[float, ...], c
     per = per.withColumn("full", (F.col("budget") - F.col("most_before")) * F.col("w") >= F.col("most") * F.col("w_from"))
     spent = F.sum(F.when(F.col("full"), F.col("most")).otherwise(0.0)).over(everything)
     open_w = F.sum(F.when(F.col("full"), 0.0).otherwise(F.col("w"))).over(everything)
-    level = (F.col("budget") - spent) / open_w
+    level = F.try_divide(F.col("budget") - spent, open_w)
     return per.select("source_key", "source_size", F.when(F.col("full"), F.col("most")).otherwise(level * F.col("w")).alias("target"))
 
 
@@ -77,15 +77,15 @@ def pareto_mix(
     )
     rows = stored(rows, "mix-sizes")
     per = source_targets(rows, share, weights, cap)
-    mean = rows.groupBy("source_key").agg((F.sum(F.col("g") * F.col("size")) / F.sum("size")).alias("mean_g"))
-    rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
+    mean = rows.groupBy("source_key").agg(F.try_divide(F.sum(F.col("g") * F.col("size")), F.sum("size")).alias("mean_g"))
+    rate = F.coalesce(F.try_divide(F.col("target"), F.col("source_size")), F.lit(0.0))
     per = per.join(mean, "source_key").withColumn("whole", F.floor(rate)).withColumn("part", rate - F.col("whole"))
     per = per.withColumn("wanted", F.col("target") - F.col("whole") * F.col("source_size"))
     per = stored(per, "mix-sources")
 
-    p = F.least(F.lit(1.0), F.col("part") * F.when(F.col("mean_g") > 0, F.col("g") / F.col("mean_g")).otherwise(1.0))
-    odds_u, odds_p = F.col("u") / (1 - F.col("u")), F.col("p") / (1 - F.col("p"))
-    rank = F.when(F.col("p") <= 0, 1.0).when(F.col("p") >= 1, 0.0).otherwise(odds_u / odds_p)
+    p = F.least(F.lit(1.0), F.col("part") * F.coalesce(F.try_divide(F.col("g"), F.col("mean_g")), F.lit(1.0)))
+    odds_u, odds_p = F.col("u") / (1 - F.col("u")), F.try_divide(F.col("p"), 1 - F.col("p"))
+    rank = F.when(F.col("p") <= 0, 1.0).when(F.col("p") >= 1, 0.0).otherwise(F.try_divide(odds_u, odds_p))
     at = F.when(F.col("p") <= 0, 1.0).otherwise(rank / (1 + rank))
     ranked = rows.join(per, "source_key").withColumn("p", p).withColumn("at", at)
     ranked = ranked.withColumn("cut1", F.least(F.floor(F.col("at") * CUTS), F.lit(CUTS - 1)))
