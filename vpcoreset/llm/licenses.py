@@ -82,7 +82,8 @@ KNOWN = (
     ("BSD-3-Clause", "Licensed under the BSD 3-Clause License."),
 )
 
-COPYRIGHT_LINE = r"(^|\n)[ \t]*(copyright|\(c\)|©|all rights reserved)[^\n]*"
+#: A line that names an owner or a year; lines of a wrapped text that merely begin with the word stay.
+COPYRIGHT_LINE = r"(^|\n)[ \t]*(copyright[ \t]*(\(c\)|©|:|[0-9]|by )|\(c\)|©|all rights reserved)[^\n]*"
 NOT_WORD = r"""[\x00-\x2f\x3a-\x60\x7b-\x7f]+"""
 VARIANT = "(^| )(" + "|".join(a for a, _ in SPELLINGS) + ")( |$)"
 
@@ -118,7 +119,7 @@ def scan_licenses(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "t
 
 def _canonical_sql(x: str) -> str:
     low = f"translate(coalesce({x}, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
-    one = rf"trim(regexp_replace(regexp_replace({low}, '(^|\n)[ \t]*(copyright|\(c\)|©|all rights reserved)[^\n]*', chr(10), 'g'), '{NOT_WORD}', ' ', 'g'))"
+    one = rf"trim(regexp_replace(regexp_replace({low}, '{COPYRIGHT_LINE}', chr(10), 'g'), '{NOT_WORD}', ' ', 'g'))"
     for variant, usual in SPELLINGS:
         for _ in range(2):
             one = rf"regexp_replace({one}, '(^| ){variant}( |$)', '\1{usual}\2', 'g')"
