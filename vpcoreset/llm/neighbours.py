@@ -31,6 +31,8 @@ from pyspark.sql import functions as F
 
 #: Projections of unit vectors are normal numbers; none comes near half of this, and windows stop at it.
 GAP = 1_000.0
+#: Vectors that a search verifies in any chunk before it may stop by their number.
+LEAST = 400
 
 
 def _lines(dim: int, n: int, seed: int) -> np.ndarray:
@@ -85,7 +87,7 @@ class CollisionIndex:
                 done += len(at)
                 score = self.cosines(at, query)
                 best = sorted([*best, *zip((-score).tolist(), self.ids[at].tolist(), strict=True)])[:k]
-            if verified.all() or (len(best) == k and (done >= k + self.enough * n or self._passed(half, math.sqrt(max(0.0, 2 + 2 * best[-1][0]))))):
+            if verified.all() or (len(best) == k and (done >= k + max(self.enough * n, LEAST) or self._passed(half, math.sqrt(max(0.0, 2 + 2 * best[-1][0]))))):
                 return [(-s, i) for s, i in best], done
 
 
