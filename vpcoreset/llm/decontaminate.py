@@ -24,14 +24,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vpcoreset.llm.common import mix64
+from vpcoreset.llm.common import mix64, trimmed
 
 # Selected positions of each mask. The first spares every 5th, 6th or 7th word, the second every 4th, the third every 3rd.
 MASKS = ((0, 1, 2, 3, 5, 6), (0, 1, 2, 4, 5, 6), (0, 1, 3, 4, 6, 7), (0, 1, 3, 6, 7, 9))
 SHORT = ((0, 1, 2, 3, 4), (0, 1, 2, 3, 4, 5))  # for items of 5 and 6 words
 EDGES = "!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~«»„“”‘’…¡¿"
 SCHEMA = "doc string, item string, doc_start int, doc_end int, item_start int, item_end int, n_match int, identity double"
-MEMO = 1 << 20
+#: Words that a task remembers; others are looked up each time.
+MEMO = 1 << 17
 
 
 class Vocabulary(dict):
@@ -42,10 +43,10 @@ class Vocabulary(dict):
         self.words = words
 
     def __missing__(self, raw: str) -> int:
-        if len(self) > MEMO:
-            self.clear()
         word = raw.lower().strip(EDGES)
-        self[raw] = n = self.words.get(word, 0) if word else -1
+        n = self.words.get(word, 0) if word else -1
+        if len(self) < MEMO:
+            self[raw] = n
         return n
 
     def read(self, text: str | None) -> tuple[np.ndarray, np.ndarray]:
@@ -150,7 +151,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id",
                 found = [(doc, index["ids"][item], *rest) for doc, text in zip(batch["doc"], batch["text"], strict=True) for item, *rest in leaks(text, index, vocabulary, min_match, identity)]
                 yield pd.DataFrame(found, columns=["doc", "item", "doc_start", "doc_end", "item_start", "item_end", "n_match", "identity"])
 
-        found = rows.mapInPandas(search, SCHEMA)
+        found = rows.mapInPandas(trimmed(search), SCHEMA)
         out = found if out is None else out.unionByName(found)
     return out.select(
         F.col("doc").cast(docs.schema[id_col].dataType).alias(id_col), F.col("item").cast(benchmark.schema[item_col].dataType).alias(item_col),
@@ -169,5 +170,5 @@ def drop_leaking(docs: DataFrame, benchmark: DataFrame, *, text_col: str = "text
                 clean = [next(leaks(t, index, vocabulary, min_match, identity), None) is None for t in batch.column(text_col).to_pylist()]
                 yield batch.filter(pa.array(clean, pa.bool_()))
 
-        docs = docs.mapInArrow(keep, docs.schema)
+        docs = docs.mapInArrow(trimmed(keep), docs.schema)
     return docs

@@ -29,7 +29,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vpcoreset.llm.common import groups, hash_texts, mix64, shingles, stored
+from vpcoreset.llm.common import groups, hash_texts, mix64, shingles, stored, trimmed
 from vpcoreset.llm.graphs import components
 
 TREES, DEPTH = 24, 6
@@ -175,7 +175,7 @@ def _verify(width: int, threshold: float):
 def ngram_join(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", width: int = 5, threshold: float = 0.8, recall: float = 0.9999, block: int = 512) -> DataFrame:
     """(id, class_id, n_links) of every row."""
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
-    signed = stored(rows.where(F.col("id").isNotNull()).mapInPandas(_sign(width), "id long, key binary, sig binary"), "signed")
+    signed = stored(rows.where(F.col("id").isNotNull()).mapInPandas(trimmed(_sign(width)), "id long, key binary, sig binary"), "signed")
     classes = signed.groupBy("key").agg(F.min(F.struct("id", "sig")).alias("least"), F.count(F.lit(1)).alias("copies"))
     classes = stored(classes.select("key", "least.id", "least.sig", "copies"), "classes")
 
@@ -187,7 +187,7 @@ def ngram_join(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text
     inside = _deal(inside, "node", "members", 2 * block)
     inside = inside.repartition("node", "i", "j").sortWithinPartitions("node", "i", "j", "id")
     spread = (threshold * (1 - threshold) / _N) ** 0.5
-    edges = inside.select("node", "i", "j", "own", "id", "sig").mapInPandas(_alike(int(_N * (threshold - 9 * spread))), "a long, b long")
+    edges = inside.select("node", "i", "j", "own", "id", "sig").mapInPandas(trimmed(_alike(int(_N * (threshold - 9 * spread)))), "a long, b long")
     grouped = components(edges.distinct())
 
     sizes = grouped.groupBy("label").agg(F.count(F.lit(1)).alias("members"))
@@ -196,7 +196,7 @@ def ngram_join(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text
     first = rows.join(member.select("id").distinct(), "id", "left_semi").groupBy("id").agg(F.min("text").alias("text"))
     texts = _deal(first.join(member.drop("key"), "id"), "label", "members", block)
     texts = texts.repartition("label", "i", "j").sortWithinPartitions("label", "i", "j", "id")
-    found = stored(texts.select("label", "i", "j", "own", "id", "copies", "text").mapInPandas(_verify(width, threshold), "id long, links long, root long"), "links")
+    found = stored(texts.select("label", "i", "j", "own", "id", "copies", "text").mapInPandas(trimmed(_verify(width, threshold)), "id long, links long, root long"), "links")
 
     linked = components(found.where("root <> id").select(F.col("id").alias("a"), F.col("root").alias("b")))
     links = found.groupBy("id").agg(F.sum("links").alias("links"))

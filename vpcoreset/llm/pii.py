@@ -29,6 +29,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from vpcoreset.llm.common import trimmed
+
 # Names by script and gender, and surnames (male and female form).
 GIVEN = {
     ("latin", "m"): "James John Robert Michael William David Richard Thomas Charles Daniel Matthew Anthony Steven Paul Andrew Kevin Brian George Edward Peter Hans Klaus Jürgen Pierre Jacques Carlos Miguel Javier",
@@ -266,4 +268,4 @@ def anonymise(docs: DataFrame, *, text_col: str = "text", key: str = "surrogates
                 names.append(found_col)
             yield pa.RecordBatch.from_arrays(columns, names)
 
-    return docs.mapInArrow(replace, schema)
+    return docs.mapInArrow(trimmed(replace), schema)

@@ -33,12 +33,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vpcoreset.llm.common import stored
+from vpcoreset.llm.common import stored, trimmed
 
 STEM, STEM_WEIGHT, TOKEN_WEIGHT, DRIFT, TOP = 4, 12.0, 4.0, 1.5, 6.0
 EDGES = "!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~«»„“”‘’…¡¿"
 SCHEMA = "id string, score double, predicted int, passages array<struct<start:int,end:int,score:double,evalue:double>>"
-MEMO = 1 << 20
+#: Tokens that a task remembers; others are worked out each time.
+MEMO = 1 << 17
 
 
 def maximal_segments(scores: list[tuple[int, int, float]]) -> list[tuple[int, int, float]]:
@@ -75,11 +76,11 @@ class TokenScores(dict):
         self.tokens, self.stems = tokens, stems
 
     def __missing__(self, raw: str) -> float:
-        if len(self) > MEMO:
-            self.clear()
         word = raw.lower().strip(EDGES)
         known = self.tokens.get(word)
-        self[raw] = value = known if known is not None else self.stems.get(word[:STEM], 0.0)
+        value = known if known is not None else self.stems.get(word[:STEM], 0.0)
+        if len(self) < MEMO:
+            self[raw] = value
         return value
 
 
@@ -126,7 +127,7 @@ def fit(docs: DataFrame, labels: DataFrame, *, sample: int = 20_000, significanc
     if not n1 or not n0:
         return empty
     share = n1 / (n1 + n0)
-    counts = rows.where(F.col("half") == 0).select("text", "toxic").mapInPandas(_counts, "token string, toxic long, other long")
+    counts = rows.where(F.col("half") == 0).select("text", "toxic").mapInPandas(trimmed(_counts), "token string, toxic long, other long")
     counts = counts.groupBy("token").agg(F.sum("toxic").alias("toxic"), F.sum("other").alias("other"))
     is_stem = F.col("token").startswith("\0")
     stems = counts.where(is_stem).select(F.substring("token", 2, STEM).alias("stem"), ((F.col("toxic") + STEM_WEIGHT * share) / (F.col("toxic") + F.col("other") + STEM_WEIGHT)).alias("p"))
@@ -229,7 +230,7 @@ def score_toxicity(docs: DataFrame, model: dict, *, threshold: float = 0.3) -> D
                 "passages": [[{"start": p[0], "end": p[1], "score": p[2], "evalue": p[3]} for p in f] for f in found],
             })
 
-    return docs.select("id", "text").mapInPandas(score, SCHEMA)
+    return docs.select("id", "text").mapInPandas(trimmed(score), SCHEMA)
 
 
 def toxicity(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", sample: int = 20_000, threshold: float = 0.3) -> DataFrame:
@@ -257,4 +258,4 @@ def reject_toxic(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id",
             texts = batch.column(text_col).to_pylist()
             yield batch.filter(pa.array([not some or 1 / (1 + math.exp(-max(-30.0, min(30.0, a + b * _evidence(passages(t, m, look)))))) < threshold for t in texts], pa.bool_()))
 
-    return docs.mapInArrow(keep, docs.schema)
+    return docs.mapInArrow(trimmed(keep), docs.schema)
