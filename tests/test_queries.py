@@ -5,7 +5,7 @@ from vpcoreset import queries as registry
 from .oracle import same
 
 #: Statistical claims that need more rows than the smallest tables have.
-SLOW = {"exp_km_table", "exp_equal_comm", "exp_reg_saga_table", "exp_line_table", "dimdist_on_coreset"}
+SLOW = {"exp_km_emb_table", "exp_km_table", "exp_equal_comm", "exp_reg_saga_table", "exp_line_table", "dimdist_on_coreset"}
 
 
 @pytest.mark.parametrize("name", sorted(registry.ORACLES))

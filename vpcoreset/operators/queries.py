@@ -449,6 +449,32 @@ def grouped_map_solver(spark, d):
     return spark.createDataFrame([(len(found),)], "models int")
 
 
+@query("op_endpoint_source", "SELECT * FROM (VALUES ('a', 1.0), ('b', -2.0), ('c', 0.5)) t(feature, coef)")
+def op_endpoint_source(spark, d):
+    """Rows of a Python data source; least squares finds the planted coefficients."""
+    from vpcoreset.solvers.ridge import fit
+    from vpcoreset.sources.endpoint import planted
+
+    theta = fit(planted(spark, 4_000), ["a", "b", "c"], "y")
+    return spark.createDataFrame([(n, float(round(t, 2))) for n, t in zip("abc", theta, strict=True)], "feature string, coef double")
+
+
+@query("op_totals", _reg_chain("docs").select("SELECT party, round(qp / 1099511627776.0, 6) AS party_total, round(grand / 1099511627776.0, 6) AS grand_total FROM tot"))
+def op_totals(spark, d):
+    """Party totals and the grand total in one grouped pass."""
+    sums = sampling.quantize(_reg_table(spark, d)).groupBy("party").agg(F.sum("q").alias("q"))
+    grand = sums.agg(F.sum("q").alias("g"))
+    unit = float(1 << sampling.QUANTA)
+    return sums.crossJoin(F.broadcast(grand)).select("party", F.round(F.col("q") / unit, 6).alias("party_total"), F.round(F.col("g") / unit, 6).alias("grand_total"))
+
+
+@query("op_rollup_ledger", "SELECT phase, round, CAST(sum(units) AS BIGINT) AS units FROM (VALUES ('construction', 1, 6), ('construction', 2, 400), ('construction', 3, 300), ('solving', 4, 9100)) t(phase, round, units) GROUP BY ROLLUP (phase, round)")
+def op_rollup_ledger(spark, d):
+    from vpcoreset.plans.methods import _ledger
+
+    return _ledger("strict").rollup(spark)
+
+
 @query("sql_pipeline", _reg_chain("docs", M, "reg").select("SELECT CAST(sum(draws) AS BIGINT) AS draws, round(sum(weight), 2) AS weight, round((SELECT sum(score) FROM scores), 5) AS total FROM coreset"))
 def sql_pipeline(spark, d):
     ds = dataset(spark, d, "docs", standard=True)

@@ -730,6 +730,16 @@ def robust_reg_outliers(spark: SparkSession, d: str) -> DataFrame:
     return marked.select("id", _r(F.col("cost"), 5).alias("cost"), "outlier")
 
 
+@query("robust_reg_check", "SELECT true AS shares_ok, true AS error_ok")
+def robust_reg_check(spark: SparkSession, d: str) -> DataFrame:
+    """A label that nearly lies in another party's span: without the costliest rows the sampled cost is close."""
+    ds = dataset(spark, d, "line_rev", standard=True)
+    theta = [0.0] * len(ds.features)
+    marked = robust.largest_costs(ds.concat(), objectives.residual2(ds.features, ds.label, theta), 0.05).select("id", "cost", "outlier")
+    found = robust.robust_check(marked, coreset.regression_coreset(ds, 1000).df, 0.3, 0.2)
+    return spark.createDataFrame([(found["share_rows"] <= 0.05 and found["share_draws"] <= 0.3, found["error"] <= 0.2)], "shares_ok boolean, error_ok boolean")
+
+
 @query("robust_km_outliers", "SELECT true AS shares_ok")
 def robust_km_outliers(spark: SparkSession, d: str) -> DataFrame:
     ds = dataset(spark, d, "docs", standard=True, label=False)
@@ -844,6 +854,14 @@ def exp_km_table(spark: SparkSession, d: str) -> DataFrame:
     return kmeans_table(dataset(spark, d, "docs", standard=True, label=False), 10, (100, 200, 500), 20)
 
 
+@query("exp_km_emb_table")
+def exp_km_emb_table(spark: SparkSession, d: str) -> DataFrame:
+    """Vectors in three blocks, ten centres: near-isotropic rows, on which both samplings are about equal."""
+    from vpcoreset.experiments import kmeans_table
+
+    return kmeans_table(dataset(spark, d, "emb3", label=False), 10, (100, 200), 10)
+
+
 @query("exp_line_table")
 def exp_line_table(spark: SparkSession, d: str) -> DataFrame:
     from vpcoreset.experiments import regression_table
