@@ -11,10 +11,11 @@ A linear scan finds all maximal segments of positive total. A segment of score S
 the expectation ``E = K n exp(-lambda S)`` in ordinary text: lambda solves the moment equation on
 the token scores of clean documents, K fits the largest segments of clean documents. Segments with
 E below ``significance`` are passages; a logistic curve, fitted on documents that had no part in
-the odds, turns the sum of their ``-ln E`` into a probability.
+the odds that score them, turns the sum of their ``-ln E`` into a probability.
 
-Bound: the odds and the curve are fitted on at most ``sample`` labelled rows (by hash of the id), one
-half each; all documents are scored, and whole.
+Bound: odds and curve are fitted on at most ``sample`` labelled rows (by hash of the id). For lambda, K and the
+curve each half is scored with odds of the other half; the final odds are those of both. All documents are
+scored, and whole.
 
 Defined results: null and empty texts have no passage and the curve's lowest score; without any
 usable labels every score is 0; repeated rows are scored alike, each; columns other than id and text
@@ -103,13 +104,13 @@ def runs(text: str | None, look: TokenScores) -> tuple[int, list[tuple[int, int,
 
 def _counts(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     for batch in batches:
-        seen: tuple[Counter, Counter] = (Counter(), Counter())
-        for text, toxic in zip(batch["text"], batch["toxic"], strict=True):
+        seen: dict[tuple[int, int], Counter] = {(half, toxic): Counter() for half in (0, 1) for toxic in (0, 1)}
+        for text, toxic, half in zip(batch["text"], batch["toxic"], batch["half"], strict=True):
             words = {w.lower().strip(EDGES) for w in set((text or "").split())} - {""}
-            seen[toxic].update(words)
-            seen[toxic].update({"\0" + w[:STEM] for w in words})
-        words = list(seen[0].keys() | seen[1].keys())
-        yield pd.DataFrame({"token": words, "toxic": [seen[1][w] for w in words], "other": [seen[0][w] for w in words]})
+            seen[half, toxic].update(words)
+            seen[half, toxic].update({"\0" + w[:STEM] for w in words})
+        words = list(set().union(*seen.values()))
+        yield pd.DataFrame({"token": words} | {f"{'ot'[toxic]}{half}": [c[w] for w in words] for (half, toxic), c in seen.items()})
 
 
 def _logit(p: float) -> float:
@@ -122,34 +123,37 @@ def fit(docs: DataFrame, labels: DataFrame, *, sample: int = 20_000, significanc
     chosen = labels.where(F.col("toxic").isin(0, 1) & F.col("id").isNotNull()).select("id", F.col("toxic").cast("int").alias("toxic")).dropDuplicates(["id"])
     chosen = chosen.orderBy(F.xxhash64("id"), "id").limit(sample).withColumn("half", F.pmod(F.xxhash64("id", F.lit(7)), F.lit(2)))
     rows = stored(docs.select("id", "text").join(F.broadcast(chosen), "id"), "toxic-sample")
-    size = {(r["half"], r["toxic"]): r["n"] for r in rows.groupBy("half", "toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
-    n1, n0 = size.get((0, 1), 0), size.get((0, 0), 0)
-    if not n1 or not n0:
+    size = {r["toxic"]: r["n"] for r in rows.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
+    if not size.get(1) or not size.get(0):
         return empty
-    share = n1 / (n1 + n0)
-    counts = rows.where(F.col("half") == 0).select("text", "toxic").mapInPandas(trimmed(_counts), "token string, toxic long, other long")
-    counts = counts.groupBy("token").agg(F.sum("toxic").alias("toxic"), F.sum("other").alias("other"))
+    share = size[1] / (size[1] + size[0])
+    high = 1 / (1 + math.exp(-(_logit(share) + DRIFT)))
+    counts = rows.select("text", "toxic", "half").mapInPandas(trimmed(_counts), "token string, o0 long, t0 long, o1 long, t1 long")
+    counts = counts.groupBy("token").agg(*[F.sum(c).alias(c) for c in ("o0", "t0", "o1", "t1")])
+    # Odds from half 0, from half 1 and from both; a posterior of each for stems, then for tokens.
+    parts = {"a": (F.col("t0"), F.col("o0")), "b": (F.col("t1"), F.col("o1")), "all": (F.col("t0") + F.col("t1"), F.col("o0") + F.col("o1"))}
     is_stem = F.col("token").startswith("\0")
-    stems = counts.where(is_stem).select(F.substring("token", 2, STEM).alias("stem"), ((F.col("toxic") + STEM_WEIGHT * share) / (F.col("toxic") + F.col("other") + STEM_WEIGHT)).alias("p"))
+    stems = counts.where(is_stem).select(F.substring("token", 2, STEM).alias("stem"), *[((t + STEM_WEIGHT * share) / (t + o + STEM_WEIGHT)).alias(f"p_{k}") for k, (t, o) in parts.items()])
     tokens = counts.where(~is_stem).withColumn("stem", F.substring("token", 1, STEM)).join(stems, "stem")
-    tokens = tokens.select("token", "stem", "p", ((F.col("toxic") + TOKEN_WEIGHT * F.col("p")) / (F.col("toxic") + F.col("other") + TOKEN_WEIGHT)).alias("q"))
-    high = 1 / (1 + math.exp(-(_logit(share) + DRIFT)))
+    tokens = tokens.select("token", *[f"p_{k}" for k in parts], *[((t + TOKEN_WEIGHT * F.col(f"p_{k}")) / (t + o + TOKEN_WEIGHT)).alias(f"q_{k}") for k, (t, o) in parts.items()])
     # What is not kept scores as its stem; at most as many rows as the bounded sample has tokens.
-    kept = tokens.where((F.col("q") > high) | (F.col("p") > high)).collect()
+    stem_rows = stems.where(F.greatest(*[F.col(f"p_{k}") for k in parts]) > high).collect()
+    token_rows = tokens.where(F.greatest(*[F.col(f"{x}_{k}") for k in parts for x in "pq"]) > high).collect()
     worth = lambda p: min(_logit(p) - _logit(share), TOP) - DRIFT
-    model = empty | {
-        "stems": {r["stem"]: worth(r["p"]) for r in stems.where(F.col("p") > high).collect()},
-        "tokens": {r["token"]: worth(r["q"]) for r in kept},
-    }
-    # Calibration on the other half.
-    clean = rows.where((F.col("half") == 1) & (F.col("toxic") == 0)).select("text")
+    odds = {k: (
+        {r["token"]: worth(r[f"q_{k}"]) for r in token_rows if max(r[f"q_{k}"], r[f"p_{k}"]) > high},
+        {r["stem"]: worth(r[f"p_{k}"]) for r in stem_rows if r[f"p_{k}"] > high}) for k in parts}
+    model = empty | {"tokens": odds["all"][0], "stems": odds["all"][1]}
+    # Calibration: each half is scored by the odds of the other.
+    clean = rows.where(F.col("toxic") == 0).select("text", "half")
+    other = lambda: (TokenScores(*odds["b"]), TokenScores(*odds["a"]))
 
     def histogram(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        look = TokenScores(model["tokens"], model["stems"])
+        looks = other()
         for batch in batches:
             tally: Counter = Counter()
-            for text in batch["text"]:
-                n, _, value = runs(text, look)
+            for text, half in zip(batch["text"], batch["half"], strict=True):
+                n, _, value = runs(text, looks[half])
                 some = value[value != 0]
                 tally[-DRIFT] += n - len(some)
                 tally.update(np.round(some, 2).tolist())
@@ -166,20 +170,21 @@ def fit(docs: DataFrame, labels: DataFrame, *, sample: int = 20_000, significanc
     model["lambda"] = low
 
     def largest(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        look = TokenScores(model["tokens"], model["stems"])
+        looks = other()
         for batch in batches:
-            found = [runs(text, look)[:2] for text in batch["text"]]
+            found = [runs(text, looks[half])[:2] for text, half in zip(batch["text"], batch["half"], strict=True)]
             yield pd.DataFrame({"docs": [len(found)], "mass": [sum(n * math.exp(-low * max([0.0, *(s for *_, s in maximal_segments(r))])) for n, r in found)]})
 
     k = clean.mapInPandas(largest, "docs long, mass double").agg(F.sum("docs").alias("docs"), F.sum("mass").alias("mass")).collect()[0]
     model["K"] = (k["docs"] or 1) / max(k["mass"] or 1.0, 1.0)
 
     def evidence(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        look = TokenScores(model["tokens"], model["stems"])
+        looks = other()
         for batch in batches:
-            yield pd.DataFrame({"x": [_evidence(passages(text, model, look)) for text in batch["text"]], "y": batch["toxic"].astype(float)})
+            x = [_evidence(passages(text, model, looks[half])) for text, half in zip(batch["text"], batch["half"], strict=True)]
+            yield pd.DataFrame({"x": x, "y": batch["toxic"].astype(float)})
 
-    pairs = rows.where(F.col("half") == 1).select("text", "toxic").mapInPandas(evidence, "x double, y double").toPandas()
+    pairs = rows.select("text", "toxic", "half").mapInPandas(evidence, "x double, y double").toPandas()
     model["curve"] = _curve(pairs["x"].to_numpy(), pairs["y"].to_numpy()) if len(pairs) else (-30.0, 0.0)
     return model
 
