@@ -63,6 +63,14 @@ def test_empty_tables(spark, labels, items, name):
     assert OPS[name](docs, items.limit(0), labels.limit(0)).count() == 0
 
 
+@pytest.mark.parametrize("name", OPS)
+@pytest.mark.parametrize("text", [None, " "])
+def test_nothing_but_empty_texts(spark, labels, items, name, text):
+    docs = spark.createDataFrame([(i, text, "en", "a", 0, 1) for i in range(1, 13)], SCHEMA.format("score"))
+    rows = OPS[name](docs, items, labels).count()
+    assert rows == 12 if name in COUNTS or name.startswith(("drop", "reject")) else rows == 0
+
+
 def test_values_of_odd_rows(spark, labels, items):
     docs = spark.createDataFrame(ROWS, SCHEMA.format("size"))
     lm = {r.doc_id: r for r in language_model.score_documents(docs).collect()}

@@ -149,7 +149,8 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id",
             vocabulary = Vocabulary(index["names"])
             for batch in batches:
                 found = [(doc, index["ids"][item], *rest) for doc, text in zip(batch["doc"], batch["text"], strict=True) for item, *rest in leaks(text, index, vocabulary, min_match, identity)]
-                yield pd.DataFrame(found, columns=["doc", "item", "doc_start", "doc_end", "item_start", "item_end", "n_match", "identity"])
+                if found:
+                    yield pd.DataFrame(found, columns=["doc", "item", "doc_start", "doc_end", "item_start", "item_end", "n_match", "identity"])
 
         found = rows.mapInPandas(trimmed(search), SCHEMA)
         out = found if out is None else out.unionByName(found)

@@ -110,7 +110,8 @@ def nearest(rows: DataFrame, *, id_col: str = "vec_id", vector_col: str = "embed
                 for dim, same in rows.groupby(rows["v"].map(len)):
                     index = CollisionIndex(same["id"].to_numpy(), np.stack(same["v"].to_list()), lines, seed)
                     found = [(q, i, s) for q, x in held.value if len(x) == dim for s, i in index.search(q, x, k)[0]]
-                    yield pd.DataFrame(found, columns=["query_id", "id", "score"])
+                    if found:
+                        yield pd.DataFrame(found, columns=["query_id", "id", "score"])
 
             kept, size = [], 0
             for batch in batches:

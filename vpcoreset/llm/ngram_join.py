@@ -69,7 +69,9 @@ def _sign(width: int):
         for batch in batches:
             sets = [shingles(words, width) for words in hash_texts(batch["text"])]
             full = [i for i, s in enumerate(sets) if len(s)]
-            sig = signatures([sets[i] for i in full]) if full else np.zeros((0, _N), np.uint16)
+            if not full:
+                continue
+            sig = signatures([sets[i] for i in full])
             yield pd.DataFrame({
                 "id": batch["id"].to_numpy()[full],
                 "key": [hashlib.blake2b(sets[i].tobytes(), digest_size=16).digest() for i in full],

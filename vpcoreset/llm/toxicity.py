@@ -111,7 +111,8 @@ def _counts(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             seen[toxic].update(words)
             seen[toxic].update({"\0" + w[:STEM] for w in words})
         words = list(seen[0].keys() | seen[1].keys())
-        yield pd.DataFrame({"token": words, "toxic": [seen[1][w] for w in words], "other": [seen[0][w] for w in words]})
+        if words:
+            yield pd.DataFrame({"token": words, "toxic": [seen[1][w] for w in words], "other": [seen[0][w] for w in words]})
 
 
 def _logit(p: float) -> float:
