@@ -305,3 +305,30 @@ def test_standardize_constant_column(spark):
     df = spark.createDataFrame([(i, 5.0, float(i)) for i in range(4)], "id long, a double, b double")
     out = standardize(split_by_names(df, [["a"], ["b"]])).concat()
     assert out.agg(F.max("a")).collect()[0][0] == 0.0 and abs(out.agg(F.avg("b")).collect()[0][0]) < 1e-12
+
+
+@pytest.mark.parametrize("block", [50, 8_192])
+def test_tau_takes_all_pairs(table, block):
+    df, ds, x, _ = table
+    d = lambda m: ((m[:, None] - m[None]) ** 2).sum(2)[np.triu_indices(len(m), 1)]
+    got = {r.party: r.tau for r in assumptions.tau(ds, block=block).collect()}
+    for name, cols in (("p1", [0, 1]), ("p2", [2]), ("p3", [3, 4])):
+        assert np.isclose(got[name], (d(x) / d(x[:, cols])).max(), rtol=1e-9)
+    same = df.where("id = 5").withColumn("id", F.lit(1000)).withColumn("e", F.lit(77.0))
+    more = split_by_names(df.unionByName(df).unionByName(same).drop("y", "w"), [["a", "b"], ["c"], ["d", "e"]])
+    got = {r.party: r.tau for r in assumptions.tau(more, block=block).collect()}
+    assert got["p1"] == got["p2"] == np.inf and 1 < got["p3"] < np.inf
+
+
+def test_tau_query_takes_all_vectors(spark, sf):
+    from vpcoreset.queries import QUERIES
+
+    x = np.array([r[0] for r in spark.read.parquet(f"{sf}/embeddings.parquet").select("embedding").collect()], float)
+    got = {r.party: r.tau for r in QUERIES["tau_emb"](spark, sf).collect()}
+    best = {"p1": 1.0, "p2": 1.0}
+    for i in range(len(x) - 1):
+        d = (x[i + 1 :] - x[i]) ** 2
+        for name, part in (("p1", d[:, :48]), ("p2", d[:, 48:])):
+            some = part.sum(1) > 0
+            best[name] = max(best[name], (d.sum(1)[some] / part.sum(1)[some]).max(initial=1.0))
+    assert {k: round(v, 4) for k, v in got.items()} == {k: round(v, 4) for k, v in best.items()}
