@@ -332,3 +332,12 @@ def test_tau_query_takes_all_vectors(spark, sf):
             some = part.sum(1) > 0
             best[name] = max(best[name], (d.sum(1)[some] / part.sum(1)[some]).max(initial=1.0))
     assert {k: round(v, 4) for k, v in got.items()} == {k: round(v, 4) for k, v in best.items()}
+
+
+def test_capped_solver_takes_all_rows(spark):
+    from vpcoreset.queries import QUERIES
+
+    d = "/root/testdata/sf0.1"
+    n = spark.read.parquet(f"{d}/documents.parquet").count()
+    r = QUERIES["saga_full_capped"](spark, d).collect()[0]
+    assert n > 5_000 and r.steps == 3 * n and not r.converged
