@@ -3,6 +3,7 @@
 import gzip
 import hashlib
 import io
+import itertools
 import math
 import random
 import re
@@ -184,6 +185,31 @@ def test_leaks_are_exact_runs_of_the_tables(spark):
     assert want <= got and len(got - want) <= 0.1 * len(want) + 1
 
 
+@pytest.mark.parametrize("size,changed", [(5, 1), (6, 1), (7, 1), (8, 1), (9, 1), (10, 1), (10, 2), (13, 2), (15, 2), (15, 3), (17, 3), (20, 3), (20, 4)])
+def test_leaks_of_short_items(size, changed):
+    """Up to a fifth of the words substituted, anywhere: always found; one more is not."""
+    rng = random.Random(size)
+    item = [f"w{i}" for i in range(size)]
+    index = decontaminate.build_index([(1, " ".join(item)), (2, " ".join(f"v{i}" for i in range(30)))])
+    look = decontaminate.Vocabulary(index["names"])
+    every = [set(c) for c in itertools.combinations(range(size), changed)]
+    for at in every if len(every) < 700 else [set(range(3, size, 4)), *rng.sample(every, 500)]:
+        at = set(sorted(at)[:changed])
+        text = " ".join(["x"] * 5 + ["other" if i in at else w for i, w in enumerate(item)] + ["x"] * 5)
+        (found,) = decontaminate.leaks(text, index, look, 10, 0.8)
+        assert found[0] == 0 and found[5] >= min(10, math.ceil(0.8 * size)) and found[6] >= 0.8
+    few = " ".join(["other"] * (size - math.ceil(0.8 * size) + 1) + item[size - math.ceil(0.8 * size) + 1 :])
+    assert size > 12 or not list(decontaminate.leaks(few, index, look, 10, 0.8))
+
+
+@settings(max_examples=100, deadline=None)
+@given(st.lists(st.booleans(), max_size=30))
+def test_longest_stretch(equal):
+    s, e = decontaminate.longest_stretch(np.array(equal, bool), 0.8)
+    best = max((sum(equal[a:b]) for a in range(len(equal)) for b in range(a + 1, len(equal) + 1) if sum(equal[a:b]) >= 0.8 * (b - a) - 1e-9), default=0)
+    assert sum(equal[s:e]) == best and best >= 0.8 * (e - s) - 1e-9
+
+
 # ---- n-gram join
 
 

@@ -3,8 +3,9 @@
 A seed is a fixed mask over a run of words: only its selected positions are hashed, so a hit survives
 substituted words at the ignored ones. All hashes of the test items form a table that is joined with
 the hashes of the documents; each hit names a diagonal (document position less item position), along which
-the item is compared word by word, without gaps. The best stretch (matches +1, mismatches -3) is a leak
-if it holds ``min_match`` equal words, or all of a shorter item, and ``identity`` of its words are equal.
+the item is compared word by word, without gaps. A stretch is a leak if ``identity`` of its words are equal and it
+holds enough of them: ``min_match``, or ``identity`` of the words of a shorter item. The best stretch (matches +1,
+mismatches -3) is reported where it holds ``min_match`` or all words of the item, otherwise the stretch with the most equal words.
 
 The test items are taken in blocks of at most ``block_chars`` characters; a block's table is broadcast, and
 each block reads the documents once. So the broadcast has a bound whatever the size of the test set.
@@ -16,6 +17,7 @@ earliest; repeated rows are reported each; columns other than ids and texts are
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -28,7 +30,8 @@ from vpcoreset.llm.common import mix64, trimmed
 
 # Selected positions of each mask. The first spares every 5th, 6th or 7th word, the second every 4th, the third every 3rd.
 MASKS = ((0, 1, 2, 3, 5, 6), (0, 1, 2, 4, 5, 6), (0, 1, 3, 4, 6, 7), (0, 1, 3, 6, 7, 9))
-SHORT = ((0, 1, 2, 3, 4), (0, 1, 2, 3, 4, 5))  # for items of 5 and 6 words
+#: Further masks, with the most words of the items that they are for: together they find every item of 5 to 22 words of which a fifth is substituted, wherever.
+SHORT = ((20, (0, 1, 2, 3, 4)), (20, (0, 1, 2, 4, 6)), (8, (0, 1, 2, 3)), (8, (0, 1, 2, 4)), (8, (0, 1, 3, 4)), (8, (0, 2, 3, 4)))
 EDGES = "!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~«»„“”‘’…¡¿"
 SCHEMA = "doc string, item string, doc_start int, doc_end int, item_start int, item_end int, n_match int, identity double"
 #: Words that a task remembers; others are looked up each time.
@@ -72,6 +75,11 @@ def seed_hashes(words: np.ndarray, mask: tuple[int, ...], no: int) -> tuple[np.n
     return at, h
 
 
+def masks_for(words: int) -> list[tuple[int, ...]]:
+    """The masks of an item of so many words; those of longer items come first."""
+    return [*MASKS, *[mask for most, mask in SHORT if words <= most]]
+
+
 def build_index(items: list[tuple[int, str]]) -> dict:
     """Words and seed table of a block of test items."""
     names: dict[str, int] = {}
@@ -79,9 +87,9 @@ def build_index(items: list[tuple[int, str]]) -> dict:
     coded = [np.array([names.setdefault(w, len(names) + 1) for w in words], np.int64) for words in plain]
     h, item, place = [], [], []
     for i, words in enumerate(coded):
-        for no, mask in enumerate(MASKS + SHORT):
-            if no >= len(MASKS) and len(words) != mask[-1] + 1:
-                continue
+        if len(words) < 5:
+            continue
+        for no, mask in enumerate(masks_for(len(words))):
             at, x = seed_hashes(words, mask, no)
             h.append(x)
             item.append(np.full(len(x), i))
@@ -89,7 +97,7 @@ def build_index(items: list[tuple[int, str]]) -> dict:
     h = np.concatenate(h) if h else np.zeros(0, np.uint64)
     order = np.argsort(h, kind="stable")
     return {
-        "names": names, "ids": [i for i, _ in items], "coded": coded, "short": any(len(c) < 7 for c in coded),
+        "names": names, "ids": [i for i, _ in items], "coded": coded, "masks": masks_for(min((len(c) for c in coded if len(c) >= 5), default=99)),
         "hash": h[order], "item": (np.concatenate(item) if item else np.zeros(0, int))[order], "place": (np.concatenate(place) if place else np.zeros(0, int))[order],
     }
 
@@ -103,11 +111,21 @@ def best_stretch(equal: np.ndarray) -> tuple[int, int]:
     return start, end
 
 
+def longest_stretch(equal: np.ndarray, identity: float) -> tuple[int, int]:
+    """Start and end of the stretch with the most equal words of which ``identity`` of the words are equal; between equal words, or empty."""
+    total = np.concatenate([[0], np.cumsum(equal)])
+    level = total - identity * np.arange(len(total))
+    start = np.searchsorted(-np.minimum.accumulate(level), -level - 1e-9, "left")
+    end = int(np.argmax(total - total[start]))
+    at = np.flatnonzero(equal[start[end] : end]) + start[end]
+    return (int(at[0]), int(at[-1]) + 1) if len(at) else (0, 0)
+
+
 def leaks(text: str | None, index: dict, vocabulary: Vocabulary, min_match: int, identity: float) -> Iterator[tuple]:
     """(item number, document start and end in white-space words, item start and end, matches, identity)."""
     words, at = vocabulary.read(text)
     diagonals: set[tuple[int, int]] = set()
-    for no, mask in enumerate(MASKS + (SHORT if index["short"] else ())):
+    for no, mask in enumerate(index["masks"]):
         where, h = seed_hashes(words, mask, no)
         first = np.searchsorted(index["hash"], h, "left")
         hit = np.flatnonzero(index["hash"][np.minimum(first, len(index["hash"]) - 1)] == h) if len(index["hash"]) else ()
@@ -121,7 +139,12 @@ def leaks(text: str | None, index: dict, vocabulary: Vocabulary, min_match: int,
         equal = words[a + shift : b + shift] == coded[a:b]
         s, e = best_stretch(equal)
         n = int(equal[s:e].sum())
-        if n >= min(min_match, len(coded)) and n >= identity * (e - s) and (item not in best or n > best[item][4]):
+        if n < min(min_match, len(coded)) or n < identity * (e - s):
+            s, e = longest_stretch(equal, identity)
+            n = int(equal[s:e].sum())
+            if n < min(min_match, math.ceil(identity * len(coded) - 1e-9)):
+                continue
+        if item not in best or n > best[item][4]:
             best[item] = (int(at[s + a + shift]), int(at[e - 1 + a + shift]) + 1, s + a, e + a, n, n / (e - s))
     for item, found in best.items():
         yield item, *found
