@@ -495,3 +495,13 @@ def test_names():
     made = re.findall(r"\w+ (\w+)\.", act(crowd)[0])
     assert len(set(made)) == 60
     assert act("Nothing here. The End")[1] == []
+
+
+@pytest.mark.parametrize("text,want", [
+    ("Call 212-555-0199 2024 now", [("phone", "212-555-0199")]), ("SSN 123-45-6789 50122", [("ssn", "123-45-6789")]),
+    ("card 4111 1111 1111 1111 12", [("card", "4111 1111 1111 1111")]), ("DE89370400440532013000 2024", [("iban", "DE89370400440532013000")]),
+    ("no card 4111 1111 1111 1112 here", [])])
+def test_rejected_candidates_leave_other_kinds(text, want):
+    new, spans = pii.Surrogates("k")(text)
+    assert [(k, text[a:b]) for k, a, b in spans] == want
+    assert all(x not in new for _, x in want)

@@ -15,7 +15,7 @@ parts of names of one document are checked for collisions and get different surr
 numbered spellings follow. A surname that returns behind a title takes the surrogate of its bearer.
 
 Defined results: null stays null, text without entities is unchanged; of overlapping matches the leftmost counts,
-then the order of KINDS; repeated rows are treated alike; other columns are kept by ``anonymise`` and the columns
+then the order of KINDS, without candidates that fail their check; repeated rows are treated alike; other columns are kept by ``anonymise`` and the columns
 it adds take the place of ones with the same name. Texts of any length are treated whole.
 """
 
@@ -58,6 +58,8 @@ PATTERN = re.compile(
     r"|(?P<ip>(?<![\w.])(?:[0-9]{1,3}\.){3}[0-9]{1,3}(?!\w|\.[0-9]))"
     rf"|(?P<name>\b(?:(?:{'|'.join(TITLES)})\.? {_CAP}(?: {_CAP})?|(?:{'|'.join(_GENDER)}) {_CAP})\b)"
 )
+#: Each kind alone, for candidates of another kind that fail their check.
+ALONE = {kind: re.compile(PATTERN.pattern[m.start() :].split("|(?P<")[0]) for kind in KINDS if (m := re.search(rf"\(\?P<{kind}>", PATTERN.pattern))}
 #: A text without any of these cannot hold an entity; the test is far cheaper than the pattern.
 HINT = re.compile(rf"@|[0-9][0-9.() +-]{{5,}}[0-9]|\b[A-Z]{{2}}[0-9]{{2}}|\b(?:{'|'.join([*TITLES, *_GENDER])})\b")
 FOUND = T.ArrayType(T.StructType([T.StructField("kind", T.StringType()), T.StructField("start", T.IntegerType()), T.StructField("end", T.IntegerType())]))
@@ -222,6 +224,25 @@ class Surrogates:
         out.append(self._pick(f"family:{script}", surname, choices, family))
         return " ".join(out)
 
+    def _remembered(self, kind: str, value: str) -> str | None:
+        if (kind, value) not in self.memo:
+            if len(self.memo) > 1 << 17:
+                self.memo.clear()
+            self.memo[kind, value] = getattr(self, kind)(value)
+        return self.memo[kind, value]
+
+    @staticmethod
+    def _candidates(text: str, m: re.Match) -> Iterator[tuple[str, int]]:
+        """(kind, end) of a match, then without its last groups after a space, then of the kinds that follow, at the same start."""
+        start = m.start()
+        for kind in KINDS[KINDS.index(m.lastgroup) :]:
+            if found := m if kind == m.lastgroup else ALONE[kind].match(text, start):
+                end = found.end()
+                yield kind, end
+                while kind in ("iban", "card") and (end := text.rfind(" ", start, end)) > start:
+                    if ALONE[kind].fullmatch(text, start, end):
+                        yield kind, end
+
     def __call__(self, text: str | None) -> tuple[str | None, list[tuple[str, int, int]]]:
         """The text with surrogates, and (kind, start, end) of the entities in the original."""
         if not text or not HINT.search(text):
@@ -231,21 +252,17 @@ class Surrogates:
         genders: dict[str, str] = {}
         out, spans, at, search = [], [], 0, 0
         while m := PATTERN.search(text, search):
-            kind, value = m.lastgroup, m.group()
-            if kind == "name":
-                new = self.name(value, given, family, genders)
-            elif (kind, value) in self.memo:
-                new = self.memo[kind, value]
-            else:
-                if len(self.memo) > 1 << 17:
-                    self.memo.clear()
-                new = self.memo[kind, value] = getattr(self, kind)(value)
-            if new is None:  # not of its kind after all: go on behind its first run of digits or letters
-                search = m.start() + max(1, len(re.match(r"\w*", value).group()))
+            for kind, end in self._candidates(text, m):
+                value = text[m.start() : end]
+                new = self.name(value, given, family, genders) if kind == "name" else self._remembered(kind, value)
+                if new is not None:
+                    break
+            else:  # of no kind after all: go on behind its first run of digits or letters
+                search = m.start() + max(1, len(re.match(r"\w*", m.group()).group()))
                 continue
             out += [text[at : m.start()], new]
-            spans.append((kind, m.start(), m.end()))
-            at = search = m.end()
+            spans.append((kind, m.start(), end))
+            at = search = end
         return "".join([*out, text[at:]]), spans
 
 
