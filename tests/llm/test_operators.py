@@ -505,3 +505,18 @@ def test_rejected_candidates_leave_other_kinds(text, want):
     new, spans = pii.Surrogates("k")(text)
     assert [(k, text[a:b]) for k, a, b in spans] == want
     assert all(x not in new for _, x in want)
+
+
+def test_every_toxic_passage_is_listed():
+    bad = ["vile", "rotten", "filth", "scum"]
+    model = {"tokens": dict.fromkeys(bad, 4.0), "stems": {}, "lambda": 1.0, "K": 1.0, "curve": (-3.0, 1.0), "significance": 0.05}
+    look = toxicity.TokenScores(model["tokens"], {})
+    calm = ["calm"] * 60
+    twice = " ".join([*calm, *bad, *calm, *bad, *calm])
+    found = toxicity.passages(twice, model, look)
+    assert [(a, b) for a, b, *_ in found] == [(60, 64), (124, 128)]
+    # Isolated hits before a passage take nothing from it, and its repeat is no further evidence.
+    late = " ".join(x for w in bad for x in (*calm, w)) + " " + " ".join([*calm, *bad])
+    assert [(a, b) for a, b, *_ in toxicity.passages(late, model, look)] == [(304, 308)]
+    once = toxicity.passages(" ".join([*calm, *bad, *calm, *calm, "calm", "calm", "calm", "calm"]), model, look)
+    assert 0 < toxicity._evidence(twice, found, model, look) == pytest.approx(toxicity._evidence(" ".join([*calm, *bad, *calm, *calm, *["calm"] * 4]), once, model, look))

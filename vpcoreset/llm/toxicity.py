@@ -4,8 +4,8 @@ Tokens are white-space words in lower case without punctuation at their ends. A
 gives, for each token, the number of toxic and other documents that hold it. Its odds are those of
 a Dirichlet posterior whose prior is the posterior of the token's stem (the first four letters),
 whose prior in turn is the share of toxic documents; so unseen inflections of a toxic stem count.
-A token scores its log-odds against that share, less a drift that makes ordinary text negative; its repeats in a
-document score as ordinary text.
+A token scores its log-odds against that share, less a drift that makes ordinary text negative, at each of its places;
+in the evidence for the document a token of the passages counts once.
 
 A linear scan finds all maximal segments of positive total. A segment of score S in n tokens has
 the expectation ``E = K n exp(-lambda S)`` in ordinary text: lambda solves the moment equation on
@@ -90,12 +90,8 @@ def runs(text: str | None, look: TokenScores) -> tuple[int, list[tuple[int, int,
     """Number of tokens, the runs of a text (scored tokens one by one, the others together) and its token scores; those without score drift down."""
     words = text.split() if text else []
     value = np.fromiter(map(look.__getitem__, words), float, len(words))
-    out, at, told = [], 0, set()
+    out, at = [], 0
     for i in np.flatnonzero(value).tolist():
-        if (word := words[i].lower().strip(EDGES)) in told:  # a repeated token is no further evidence: odds are by document
-            value[i] = 0
-            continue
-        told.add(word)
         if i > at:
             out.append((at, i, -DRIFT * (i - at)))
         out.append((i, i + 1, float(value[i])))
@@ -180,7 +176,7 @@ def fit(docs: DataFrame, labels: DataFrame, *, sample: int = 20_000, significanc
     def evidence(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         look = TokenScores(model["tokens"], model["stems"])
         for batch in batches:
-            yield pd.DataFrame({"x": [_evidence(passages(text, model, look)) for text in batch["text"]], "y": batch["toxic"].astype(float)})
+            yield pd.DataFrame({"x": [_evidence(text, passages(text, model, look), model, look) for text in batch["text"]], "y": batch["toxic"].astype(float)})
 
     pairs = rows.where(F.col("half") == 1).select("text", "toxic").mapInPandas(evidence, "x double, y double").toPandas()
     model["curve"] = _curve(pairs["x"].to_numpy(), pairs["y"].to_numpy()) if len(pairs) else (-30.0, 0.0)
@@ -198,8 +194,20 @@ def passages(text: str | None, model: dict, look: TokenScores) -> list[tuple[int
     return out
 
 
-def _evidence(found: list[tuple[int, int, float, float]]) -> float:
-    return math.log1p(sum(-math.log(max(e, 1e-300)) for *_, e in found))
+def _evidence(text: str | None, found: list[tuple[int, int, float, float]], model: dict, look: TokenScores) -> float:
+    """Evidence of the passages of a text; a token that an earlier place in them holds counts as ordinary text, since odds are by document."""
+    if not found:
+        return 0.0
+    words, told, total = text.split(), set(), 0.0
+    for a, b, s, _ in found:
+        for raw in words[a:b]:
+            if value := look[raw]:
+                if (word := raw.lower().strip(EDGES)) in told:
+                    s -= value + DRIFT
+                told.add(word)
+        e = model["K"] * len(words) * math.exp(-model["lambda"] * s) if s > 0 else 1.0
+        total += max(0.0, -math.log(max(e, 1e-300))) if e < model["significance"] else 0.0
+    return math.log1p(total)
 
 
 def _curve(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
@@ -227,7 +235,7 @@ def score_toxicity(docs: DataFrame, model: dict, *, threshold: float = 0.3) -> D
         a, b = m["curve"]
         for batch in batches:
             found = [passages(text, m, look) for text in batch["text"]]
-            value = np.array([1 / (1 + math.exp(-max(-30.0, min(30.0, a + b * _evidence(f))))) for f in found]) if m["tokens"] or m["stems"] else np.zeros(len(found))
+            value = np.array([1 / (1 + math.exp(-max(-30.0, min(30.0, a + b * _evidence(t, f, m, look))))) for t, f in zip(batch["text"], found, strict=True)]) if m["tokens"] or m["stems"] else np.zeros(len(found))
             yield pd.DataFrame({
                 "id": batch["id"], "score": value, "predicted": (value >= threshold).astype("int32"),
                 "passages": [[{"start": p[0], "end": p[1], "score": p[2], "evalue": p[3]} for p in f] for f in found],
@@ -259,6 +267,6 @@ def reject_toxic(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id",
         some = bool(m["tokens"] or m["stems"])
         for batch in batches:
             texts = batch.column(text_col).to_pylist()
-            yield batch.filter(pa.array([not some or 1 / (1 + math.exp(-max(-30.0, min(30.0, a + b * _evidence(passages(t, m, look)))))) < threshold for t in texts], pa.bool_()))
+            yield batch.filter(pa.array([not some or 1 / (1 + math.exp(-max(-30.0, min(30.0, a + b * _evidence(t, passages(t, m, look), m, look))))) < threshold for t in texts], pa.bool_()))
 
     return docs.mapInArrow(trimmed(keep), docs.schema)
