@@ -520,3 +520,12 @@ def test_every_toxic_passage_is_listed():
     assert [(a, b) for a, b, *_ in toxicity.passages(late, model, look)] == [(304, 308)]
     once = toxicity.passages(" ".join([*calm, *bad, *calm, *calm, "calm", "calm", "calm", "calm"]), model, look)
     assert 0 < toxicity._evidence(twice, found, model, look) == pytest.approx(toxicity._evidence(" ".join([*calm, *bad, *calm, *calm, *["calm"] * 4]), once, model, look))
+
+
+def test_mix_sorts_no_source_of_whole_rate(spark, monkeypatch):
+    docs = spark.createDataFrame([(i, "a b c", s) for i, s in enumerate("p" * 300 + "q" * 300 + "r" * 30)], "doc_id long, text string, source string")
+    written, keep = [], mixing.stored
+    monkeypatch.setattr(mixing, "stored", lambda df, name: written.append(keep(df, name)) or written[-1])
+    got = mixing.pareto_mix(docs, share=2.0).groupBy("source").agg(F.min("copies").alias("a"), F.max("copies").alias("b")).collect()
+    assert {(r.source, r.a, r.b) for r in got} == {(s, 2, 2) for s in "pqr"}
+    assert written[-1].count() == 0

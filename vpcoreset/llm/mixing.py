@@ -91,7 +91,8 @@ def pareto_mix(
     ranked = ranked.withColumn("cut1", F.least(F.floor(F.col("at") * CUTS), F.lit(CUTS - 1)))
     ranked = ranked.withColumn("cut2", F.least(F.floor((F.col("at") * CUTS - F.col("cut1")) * CUTS), F.lit(CUTS - 1)))
 
-    first = ranked.groupBy("source_key", "cut1").agg(F.sum("size").alias("words"), F.max("wanted").alias("wanted"))
+    # A source of which nothing more is wanted has no threshold: none of its rows is sorted.
+    first = ranked.where(F.col("wanted") > 0).groupBy("source_key", "cut1").agg(F.sum("size").alias("words"), F.max("wanted").alias("wanted"))
     edge1 = _threshold(first, "cut1", "wanted", "before1").withColumnRenamed("cut1", "edge1")
     second = ranked.join(edge1, "source_key").where(F.col("cut1") == F.col("edge1"))
     second = second.groupBy("source_key", "cut2").agg(F.sum("size").alias("words"), F.max(F.col("wanted") - F.col("before1")).alias("left"), F.max("edge1").alias("edge1"), F.max("before1").alias("before1"))
