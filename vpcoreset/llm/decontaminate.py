@@ -7,8 +7,8 @@ the item is compared word by word, without gaps. A stretch is a leak if ``identi
 holds enough of them: ``min_match``, or ``identity`` of the words of a shorter item. The best stretch (matches +1,
 mismatches -3) is reported where it holds ``min_match`` or all words of the item, otherwise the stretch with the most equal words.
 
-The test items are taken in blocks of at most ``block_chars`` characters; a block's table is broadcast, and
-each block reads the documents once. So the broadcast has a bound whatever the size of the test set.
+The test items are taken in blocks of at most ``block_chars`` characters. A block's table is broadcast, meets all
+documents, and is given up before the next one: broadcasts are bounded, each and in sum, whatever the size of the test set.
 
 Defined results: null or empty texts and items leak nothing; items of fewer than five words are no evidence and
 match nothing; of several stretches of one item in one document the longest is reported, ties to the
@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vpcoreset.llm.common import mix64, trimmed
+from vpcoreset.llm.common import mix64, stored, trimmed
 
 # Selected positions of each mask. The first spares every 5th, 6th or 7th word, the second every 4th, the third every 3rd.
 MASKS = ((0, 1, 2, 3, 5, 6), (0, 1, 2, 4, 5, 6), (0, 1, 3, 4, 6, 7), (0, 1, 3, 6, 7, 9))
@@ -150,14 +150,14 @@ def leaks(text: str | None, index: dict, vocabulary: Vocabulary, min_match: int,
         yield item, *found
 
 
-def _blocks(spark, benchmark: DataFrame, item_col: str, text_col: str, block_chars: int) -> Iterator:
-    """Broadcast indexes of blocks of test items; a block holds about ``block_chars`` characters."""
+def _blocks(spark, benchmark: DataFrame, item_col: str, text_col: str, block_chars: int) -> Iterator[tuple]:
+    """(broadcast index, whether it is the only one) for each block of test items of about ``block_chars`` characters."""
     items = benchmark.select(F.col(item_col).cast("string").alias("item"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     chars = items.agg(F.sum(F.length("text") + 16)).collect()[0][0] or 0
     blocks = -(-chars // block_chars) or 1
     for block in range(blocks):
         part = items if blocks == 1 else items.where(F.pmod(F.xxhash64("item", "text"), F.lit(blocks)) == block)
-        yield spark.sparkContext.broadcast(build_index(sorted(((r["item"], r["text"]) for r in part.collect()), key=lambda x: (x[0] is None, x[0] or "", x[1]))))
+        yield spark.sparkContext.broadcast(build_index(sorted(((r["item"], r["text"]) for r in part.collect()), key=lambda x: (x[0] is None, x[0] or "", x[1])))), blocks == 1
 
 
 def find_leaks(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text",
@@ -165,7 +165,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id",
     """One row for each document and test item that share a leak."""
     rows = docs.select(F.col(id_col).cast("string").alias("doc"), F.col(text_col).alias("text"))
     out = None
-    for held in _blocks(docs.sparkSession, benchmark, item_col, item_text_col, block_chars):
+    for held, only in _blocks(docs.sparkSession, benchmark, item_col, item_text_col, block_chars):
 
         def search(batches: Iterator[pd.DataFrame], held=held) -> Iterator[pd.DataFrame]:
             index = held.value
@@ -176,6 +176,9 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id",
                     yield pd.DataFrame(found, columns=["doc", "item", "doc_start", "doc_end", "item_start", "item_end", "n_match", "identity"])
 
         found = rows.mapInPandas(trimmed(search), SCHEMA)
+        if not only:  # one block at a time: its leaks are written, its table is given up
+            found = stored(found, "leaks")
+            held.destroy()
         out = found if out is None else out.unionByName(found)
     return out.select(
         F.col("doc").cast(docs.schema[id_col].dataType).alias(id_col), F.col("item").cast(benchmark.schema[item_col].dataType).alias(item_col),
@@ -185,7 +188,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id",
 def drop_leaking(docs: DataFrame, benchmark: DataFrame, *, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text",
                  min_match: int = 10, identity: float = 0.8, block_chars: int = 8_000_000) -> DataFrame:
     """The rows of docs, all columns, that share a leak with no test item."""
-    for held in _blocks(docs.sparkSession, benchmark, item_col, item_text_col, block_chars):
+    for held, only in _blocks(docs.sparkSession, benchmark, item_col, item_text_col, block_chars):
 
         def keep(batches: Iterator[pa.RecordBatch], held=held) -> Iterator[pa.RecordBatch]:
             index = held.value
@@ -195,4 +198,7 @@ def drop_leaking(docs: DataFrame, benchmark: DataFrame, *, text_col: str = "text
                 yield batch.filter(pa.array(clean, pa.bool_()))
 
         docs = docs.mapInArrow(trimmed(keep), docs.schema)
+        if not only:
+            docs = stored(docs, "without-leaks")
+            held.destroy()
     return docs

@@ -14,8 +14,10 @@ holds the threshold is cut again, and only the interval of that which holds it i
 millionth of a source.
 
 Defined results: a null text is empty (size 0, taken 0); a null source is a source of its own,
-last; an empty table gives an empty result; ties of rank go by id, and rows that repeat an id share
-its random number, each being ranked as a row. Columns other than id, text and source are ignored.
+last; an empty table gives an empty result. The random number of a row comes from its id and a digest of its text
+(and null ids are spelled as nothing), so rows that repeat an id, or have none, are still told apart; ties of rank go by
+id, digest and importance, and rows equal in all of these are interchangeable: the result, as a set of rows, is
+the same under any order of the input. Columns other than id, text and source are ignored, or handed on by ``mix_documents``.
 """
 
 from __future__ import annotations
@@ -52,10 +54,67 @@ def source_targets(sizes: DataFrame, share: float, weights: tuple[float, ...], c
 
 
 def _threshold(sums: DataFrame, cut: str, wanted: str, before: str) -> DataFrame:
-    """The interval in which the running words pass what is wanted; sums: (source_key, cut, words, wanted)."""
-    run = F.sum("words").over(W.partitionBy("source_key").orderBy(cut))
+    """The interval in which the running words pass what is wanted; sums: (__source, cut, words, wanted)."""
+    run = F.sum("words").over(W.partitionBy("__source").orderBy(cut))
     held = sums.withColumn("upto", run).where((F.col("upto") > F.col(wanted)) & (F.col("upto") - F.col("words") <= F.col(wanted)))
-    return held.select("source_key", cut, (F.col("upto") - F.col("words")).alias(before))
+    return held.select("__source", cut, (F.col("upto") - F.col("words")).alias(before))
+
+
+def _sized(docs: DataFrame, id_col: str, text_col: str, source_col: str, key: str, importance: str | None) -> list:
+    """Columns that the ranking reads: id, source, its key, size, digest of the text, random number and importance."""
+    text = F.coalesce(F.col(text_col), F.lit(""))
+    source_key = F.when(F.col(source_col).isNull(), F.lit("1")).otherwise(F.concat(F.lit("0"), F.col(source_col)))
+    digest = F.md5(text)
+    told = F.concat(F.lit(f"{key}:"), F.coalesce(F.col(id_col).cast("string"), F.lit("")), F.lit(":"), digest)
+    u = (F.conv(F.substring(F.md5(told), 1, 13), 16, 10).cast("long") + F.lit(0.5)) / F.lit(float(1 << 52))
+    g = F.coalesce(F.greatest(F.col(importance).cast("double"), F.lit(0.0)), F.lit(1.0)) if importance else F.lit(1.0)
+    return [
+        F.col(id_col).alias("__id"), source_key.alias("__source"), F.regexp_count(text, F.lit(WORD)).cast("long").alias("__size"),
+        digest.alias("__digest"), u.alias("__u"), g.alias("__g"),
+    ]
+
+
+def _placed(rows: DataFrame, per: DataFrame) -> DataFrame:
+    """Rows with their due copies, their place in the order of ranks (0 to 1) and its two intervals."""
+    p = F.least(F.lit(1.0), F.col("__part") * F.coalesce(F.try_divide(F.col("__g"), F.col("__mean")), F.lit(1.0)))
+    odds_u, odds_p = F.col("__u") / (1 - F.col("__u")), F.try_divide(F.col("__p"), 1 - F.col("__p"))
+    rank = F.when(F.col("__p") >= 1, 0.0).otherwise(F.try_divide(odds_u, odds_p))
+    at = F.when(F.col("__p") <= 0, 1.0).otherwise(rank / (1 + rank))
+    out = rows.join(per, "__source").withColumn("__p", p).withColumn("__at", at)
+    out = out.withColumn("__cut1", F.least(F.floor(F.col("__at") * CUTS), F.lit(CUTS - 1)))
+    return out.withColumn("__cut2", F.least(F.floor((F.col("__at") * CUTS - F.col("__cut1")) * CUTS), F.lit(CUTS - 1)))
+
+
+def _mixed(docs: DataFrame, id_col: str, text_col: str, source_col: str, share: float, weights: tuple[float, ...], cap: float, key: str, importance: str | None, whole: bool) -> DataFrame:
+    """Rows with ``__size``, ``__total``, ``__target`` and ``__copies``; with ``whole`` the documents themselves, else narrow ones."""
+    narrow = stored(docs.select(F.col(source_col).alias("source"), *_sized(docs, id_col, text_col, source_col, key, importance)), "mix-sizes")
+    sizes = narrow.select(F.col("__source").alias("source_key"), F.col("__size").alias("size"))
+    per = source_targets(sizes, share, weights, cap).toDF("__source", "__total", "__target")
+    mean = narrow.groupBy("__source").agg(F.try_divide(F.sum(F.col("__g") * F.col("__size")), F.sum("__size")).alias("__mean"))
+    rate = F.coalesce(F.try_divide(F.col("__target"), F.col("__total")), F.lit(0.0))
+    per = per.join(mean, "__source").withColumn("__whole", F.floor(rate)).withColumn("__part", rate - F.col("__whole"))
+    per = stored(per.withColumn("__wanted", F.col("__target") - F.col("__whole") * F.col("__total")), "mix-sources")
+
+    # A source of which nothing more is wanted has no threshold: none of its rows is sorted.
+    ranked = _placed(narrow, per)
+    first = ranked.where(F.col("__wanted") > 0).groupBy("__source", "__cut1").agg(F.sum("__size").alias("words"), F.max("__wanted").alias("wanted"))
+    edge1 = _threshold(first, "__cut1", "wanted", "__before1").withColumnRenamed("__cut1", "__edge1")
+    second = ranked.join(edge1, "__source").where(F.col("__cut1") == F.col("__edge1"))
+    second = second.groupBy("__source", "__cut2").agg(F.sum("__size").alias("words"), F.max(F.col("__wanted") - F.col("__before1")).alias("left"))
+    edge2 = _threshold(second, "__cut2", "left", "__before2").withColumnRenamed("__cut2", "__edge2")
+    edges = stored(per.join(edge1, "__source", "left").join(edge2, "__source", "left"), "mix-edges")
+
+    rows = docs.select("*", *_sized(docs, id_col, text_col, source_col, key, importance)) if whole else narrow
+    ranked = _placed(rows, edges)
+    # Without an edge all words are wanted, or none of them are.
+    below = F.when(F.col("__edge1").isNull(), F.col("__wanted") > 0).otherwise(
+        (F.col("__cut1") < F.col("__edge1")) | ((F.col("__cut1") == F.col("__edge1")) & (F.col("__cut2") < F.col("__edge2"))))
+    inside = F.coalesce((F.col("__cut1") == F.col("__edge1")) & (F.col("__cut2") == F.col("__edge2")), F.lit(False))
+    order = W.partitionBy("__source").orderBy("__at", "__id", "__digest", "__g").rowsBetween(W.unboundedPreceding, 0)
+    sure = ranked.where(~inside).withColumn("__extra", F.coalesce(below, F.lit(False)).cast("long"))
+    close = ranked.where(inside).withColumn("__middle", F.col("__before1") + F.col("__before2") + F.sum("__size").over(order) - F.col("__size") / 2)
+    close = close.withColumn("__extra", (F.col("__middle") <= F.col("__wanted")).cast("long")).drop("__middle")
+    return sure.unionByName(close).withColumn("__copies", (F.col("__whole") + F.col("__extra")).cast("long"))
 
 
 def pareto_mix(
@@ -65,64 +124,42 @@ def pareto_mix(
     """(id, source, size, source_size, target, copies, taken) of every row of docs.
 
     ``importance`` names a non-negative column that makes inclusion unequal inside a source; null
-    means 1. Without it inclusion differs between sources only. The random number of a document
-    depends on ``key`` and its id alone, so reruns agree.
+    means 1. Without it inclusion differs between sources only.
     """
-    source_key = F.when(F.col(source_col).isNull(), F.lit("1")).otherwise(F.concat(F.lit("0"), F.col(source_col)))
-    u = (F.conv(F.substring(F.md5(F.concat_ws(":", F.lit(key), F.col(id_col).cast("string"))), 1, 13), 16, 10).cast("long") + F.lit(0.5)) / F.lit(float(1 << 52))
-    g = F.coalesce(F.greatest(F.col(importance).cast("double"), F.lit(0.0)), F.lit(1.0)) if importance else F.lit(1.0)
-    rows = docs.select(
-        F.col(id_col).alias("id"), F.col(source_col).alias("source"), source_key.alias("source_key"),
-        F.regexp_count(F.coalesce(F.col(text_col), F.lit("")), F.lit(WORD)).cast("long").alias("size"), u.alias("u"), g.alias("g"),
+    out = _mixed(docs, id_col, text_col, source_col, share, weights, cap, key, importance, False)
+    return out.select(
+        F.col("__id").alias(id_col), F.col("source").alias(source_col), F.col("__size").alias("size"), F.col("__total").alias("source_size"),
+        F.col("__target").alias("target"), F.col("__copies").alias("copies"), (F.col("__copies") * F.col("__size")).alias("taken"),
     )
-    rows = stored(rows, "mix-sizes")
-    per = source_targets(rows, share, weights, cap)
-    mean = rows.groupBy("source_key").agg(F.try_divide(F.sum(F.col("g") * F.col("size")), F.sum("size")).alias("mean_g"))
-    rate = F.coalesce(F.try_divide(F.col("target"), F.col("source_size")), F.lit(0.0))
-    per = per.join(mean, "source_key").withColumn("whole", F.floor(rate)).withColumn("part", rate - F.col("whole"))
-    per = per.withColumn("wanted", F.col("target") - F.col("whole") * F.col("source_size"))
-    per = stored(per, "mix-sources")
-
-    p = F.least(F.lit(1.0), F.col("part") * F.coalesce(F.try_divide(F.col("g"), F.col("mean_g")), F.lit(1.0)))
-    odds_u, odds_p = F.col("u") / (1 - F.col("u")), F.try_divide(F.col("p"), 1 - F.col("p"))
-    rank = F.when(F.col("p") <= 0, 1.0).when(F.col("p") >= 1, 0.0).otherwise(F.try_divide(odds_u, odds_p))
-    at = F.when(F.col("p") <= 0, 1.0).otherwise(rank / (1 + rank))
-    ranked = rows.join(per, "source_key").withColumn("p", p).withColumn("at", at)
-    ranked = ranked.withColumn("cut1", F.least(F.floor(F.col("at") * CUTS), F.lit(CUTS - 1)))
-    ranked = ranked.withColumn("cut2", F.least(F.floor((F.col("at") * CUTS - F.col("cut1")) * CUTS), F.lit(CUTS - 1)))
 
-    # A source of which nothing more is wanted has no threshold: none of its rows is sorted.
-    first = ranked.where(F.col("wanted") > 0).groupBy("source_key", "cut1").agg(F.sum("size").alias("words"), F.max("wanted").alias("wanted"))
-    edge1 = _threshold(first, "cut1", "wanted", "before1").withColumnRenamed("cut1", "edge1")
-    second = ranked.join(edge1, "source_key").where(F.col("cut1") == F.col("edge1"))
-    second = second.groupBy("source_key", "cut2").agg(F.sum("size").alias("words"), F.max(F.col("wanted") - F.col("before1")).alias("left"), F.max("edge1").alias("edge1"), F.max("before1").alias("before1"))
-    edge2 = _threshold(second, "cut2", "left", "before2").withColumnRenamed("cut2", "edge2")
-    edges = stored(edge1.join(edge2, "source_key", "left"), "mix-edges")
-
-    ranked = ranked.join(edges, "source_key", "left")
-    # Without an edge all words are wanted, or none of them are.
-    below = F.when(F.col("edge1").isNull(), F.col("wanted") > 0).otherwise(
-        (F.col("cut1") < F.col("edge1")) | ((F.col("cut1") == F.col("edge1")) & (F.col("cut2") < F.col("edge2"))))
-    inside = F.coalesce((F.col("cut1") == F.col("edge1")) & (F.col("cut2") == F.col("edge2")), F.lit(False))
-    run = F.sum("size").over(W.partitionBy("source_key").orderBy("at", "id").rowsBetween(W.unboundedPreceding, 0))
-    sure = ranked.where(~inside).withColumn("extra", below.cast("long"))
-    close = ranked.where(inside).withColumn("middle", F.col("before1") + F.col("before2") + run - F.col("size") / 2)
-    close = close.withColumn("extra", (F.col("middle") <= F.col("wanted")).cast("long")).drop("middle")
-    copies = (F.col("whole") + F.coalesce(F.col("extra"), F.lit(0))).cast("long")
-    return sure.unionByName(close).select(
-        F.col("id").alias(id_col), F.col("source").alias(source_col), "size", "source_size", "target",
-        copies.alias("copies"), (copies * F.col("size")).alias("taken"),
+
+def mix_documents(
+    docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", share: float = 1.5,
+    weights: tuple[float, ...] = (3, 1, 2), cap: float = 2.0, key: str = "mix", importance: str | None = None,
+) -> DataFrame:
+    """docs, all columns, with size, source_size, target, copies and taken (in the place of columns of these names).
+
+    Texts are read a second time and not shuffled: a row decides by the stored thresholds of its source.
+    """
+    added = ("size", "source_size", "target", "copies", "taken")
+    docs = docs.drop(*[c for c in added if c in docs.columns])
+    out = _mixed(docs, id_col, text_col, source_col, share, weights, cap, key, importance, True)
+    return out.select(
+        *docs.columns, F.col("__size").alias("size"), F.col("__total").alias("source_size"), F.col("__target").alias("target"),
+        F.col("__copies").alias("copies"), (F.col("__copies") * F.col("__size")).alias("taken"),
     )
 
 
-#: The same in one pass of SQL windows, for checking: it sorts each source whole.
-MIX_SQL = """
+def mix_sql(importance: str | None = None, joined: str = "") -> str:
+    """The same in one pass of SQL windows, for checking: it sorts each source whole. ``joined`` may bring the importance."""
+    return f"""
 WITH sized AS (
-  SELECT doc_id, source, CASE WHEN source IS NULL THEN '1' ELSE '0' || source END AS source_key,
+  SELECT doc_id, source, CASE WHEN source IS NULL THEN '1' ELSE '0' || source END AS source_key, md5(coalesce(text, '')) AS digest,
          CAST(len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+')) AS BIGINT) AS size,
-         (CAST('0x' || substr(md5('mix:' || doc_id), 1, 13) AS BIGINT) + 0.5::DOUBLE) / 4503599627370496::DOUBLE AS u
-  FROM {documents}),
-per AS (SELECT source_key, CAST(sum(size) AS BIGINT) AS source_size FROM sized GROUP BY 1),
+         (CAST('0x' || substr(md5('mix:' || coalesce(CAST(doc_id AS VARCHAR), '') || ':' || md5(coalesce(text, ''))), 1, 13) AS BIGINT) + 0.5::DOUBLE) / 4503599627370496::DOUBLE AS u,
+         coalesce(greatest(({importance or '1'})::DOUBLE, 0), 1) AS g
+  FROM documents{joined}),
+per AS (SELECT source_key, CAST(sum(size) AS BIGINT) AS source_size, sum(g * size) / nullif(sum(size), 0) AS mean_g FROM sized GROUP BY 1),
 ranked AS (SELECT *, CASE (row_number() OVER (ORDER BY source_key) - 1) % 3 WHEN 0 THEN 3 WHEN 1 THEN 1 ELSE 2 END::DOUBLE AS w FROM per),
 capped AS (SELECT *, 2.0::DOUBLE * source_size AS most FROM ranked),
 filled AS (
@@ -131,17 +168,17 @@ filled AS (
          sum(w) OVER () - sum(w) OVER (ORDER BY most / w, source_key) + w AS w_from FROM capped),
 marked AS (SELECT *, (budget - most_before) * w >= most * w_from AS is_full FROM filled),
 aimed AS (
-  SELECT source_key, source_size, CASE WHEN is_full THEN most ELSE
+  SELECT source_key, source_size, mean_g, CASE WHEN is_full THEN most ELSE
          (budget - sum(CASE WHEN is_full THEN most ELSE 0 END) OVER ()) / sum(CASE WHEN is_full THEN 0 ELSE w END) OVER () * w END AS target
   FROM marked),
 due AS (
   SELECT *, CASE WHEN source_size > 0 THEN target / source_size ELSE 0 END AS rate FROM aimed),
 placed AS (
-  SELECT doc_id, source, size, source_key, source_size, target, floor(rate) AS whole, target - floor(rate) * source_size AS wanted,
-         rate - floor(rate) AS p, u FROM sized JOIN due USING (source_key)),
-odds AS (SELECT *, CASE WHEN p <= 0 THEN 1.0 ELSE ((u / (1 - u)) / (p / (1 - p))) END AS r FROM placed),
+  SELECT doc_id, source, size, digest, source_key, source_size, target, g, floor(rate) AS whole, target - floor(rate) * source_size AS wanted,
+         least(1.0::DOUBLE, (rate - floor(rate)) * coalesce(g / mean_g, 1)) AS p, u FROM sized JOIN due USING (source_key)),
+odds AS (SELECT *, CASE WHEN p >= 1 THEN 0.0 WHEN p > 0 THEN ((u / (1 - u)) / (p / (1 - p))) END AS r FROM placed),
 cut AS (
-  SELECT *, sum(size) OVER (PARTITION BY source_key ORDER BY CASE WHEN p <= 0 THEN 1.0 ELSE r / (1 + r) END, doc_id
+  SELECT *, sum(size) OVER (PARTITION BY source_key ORDER BY CASE WHEN p <= 0 THEN 1.0 ELSE r / (1 + r) END, doc_id NULLS FIRST, digest, g
          ROWS UNBOUNDED PRECEDING) - size / 2.0 AS middle FROM odds)
 SELECT doc_id, source, size, source_size, target,
        CAST(whole + CASE WHEN wanted > 0 AND middle <= wanted THEN 1 ELSE 0 END AS BIGINT) AS copies,

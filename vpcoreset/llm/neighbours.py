@@ -7,9 +7,9 @@ collisions is verified: its cosine with the query is computed in double precisio
 The search of a query ends when a vector nearer than its k-th best would, with ``sure`` standard deviations to spare,
 have passed the threshold already, when ``enough`` of all vectors are verified, or when all are.
 
-Every row is indexed: tasks build the arrays for chunks of up to ``chunk`` rows and keep the best k of each for every
-query; the best k over chunks are the result. Queries are taken in blocks of at most ``block``, and only such a block
-is broadcast; the stated query set meets all rows block by block.
+Every row is indexed: rows are dealt to chunks of about ``chunk`` by a hash of their id, a task builds the arrays of a
+chunk, and the best k over chunks are the result, whatever the layout of files. Queries are taken in blocks of at most
+``block``; a block is broadcast, meets all chunks, and is given up before the next one.
 
 Defined results: vectors that are null, zero, or hold null or non-finite components take no part, as query or
 candidate; vectors of different lengths are never compared; equal cosines rank by smaller id; a query id that repeats is
@@ -28,6 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from vpcoreset.llm.common import groups, stored, trimmed
 
 #: Projections of unit vectors are normal numbers; none comes near half of this, and windows stop at it.
 GAP = 1_000.0
@@ -96,6 +97,11 @@ def nearest(rows: DataFrame, *, id_col: str = "vec_id", vector_col: str = "embed
     v = F.col(vector_col)
     ok = v.isNotNull() & (F.size(v) > 0) & F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists(v, lambda x: x != 0)
     rows = rows.where(F.coalesce(ok, F.lit(False)) & F.col(id_col).isNotNull()).select(F.col(id_col).alias("id"), v.cast("array<double>").alias("v"))
+    rows = stored(rows, "vectors")
+    chunks = -(-rows.count() // chunk) or 1
+    # Chunks by hash of the id: what a query finds does not depend on files, partitions or batches.
+    dealt = rows.withColumn("chunk", F.pmod(F.xxhash64("id"), F.lit(chunks)).cast("int"))
+    dealt = dealt.repartition(min(chunks, 65_536), "chunk").sortWithinPartitions("chunk", "id")
     queries = rows.where(F.pmod(F.col("id"), F.lit(every)) == 0)
     blocks = -(-queries.count() // block) or 1
     out = None
@@ -105,27 +111,18 @@ def nearest(rows: DataFrame, *, id_col: str = "vec_id", vector_col: str = "embed
         held = rows.sparkSession.sparkContext.broadcast([(i, np.array(x)) for i, x in asked])
 
         def search(batches: Iterator[pd.DataFrame], held=held) -> Iterator[pd.DataFrame]:
-            def answer(part: list[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-                rows = pd.concat(part, ignore_index=True)
-                for dim, same in rows.groupby(rows["v"].map(len)):
+            for own in groups(batches, ["chunk"]):
+                for dim, same in own.groupby(own["v"].map(len)):
                     index = CollisionIndex(same["id"].to_numpy(), np.stack(same["v"].to_list()), lines, seed)
                     found = [(q, i, s) for q, x in held.value if len(x) == dim for s, i in index.search(q, x, k)[0]]
                     if found:
                         yield pd.DataFrame(found, columns=["query_id", "id", "score"])
 
-            kept, size = [], 0
-            for batch in batches:
-                for at in range(0, len(batch), chunk):
-                    piece = batch.iloc[at : at + chunk]
-                    if size and size + len(piece) > chunk:
-                        yield from answer(kept)
-                        kept, size = [], 0
-                    kept.append(piece)
-                    size += len(piece)
-            if size:
-                yield from answer(kept)
-
-        found = rows.mapInPandas(search, "query_id long, id long, score double")
+        found = dealt.mapInPandas(trimmed(search), "query_id long, id long, score double")
+        if blocks > 1:  # one block of queries at a time: its finds are written, its broadcast is given up
+            best = F.row_number().over(W.partitionBy("query_id").orderBy(F.desc("score"), "id"))
+            found = stored(found.withColumn("rank", best).where(F.col("rank") <= k).drop("rank"), "found")
+            held.destroy()
         out = found if out is None else out.unionByName(found)
     best = F.row_number().over(W.partitionBy("query_id").orderBy(F.desc("score"), "id"))
     return out.withColumn("rank", best).where(F.col("rank") <= k).select("query_id", "rank", F.col("id").alias(id_col), "score")

@@ -17,12 +17,13 @@ Bound: the odds and the curve are fitted on at most ``sample`` labelled rows (by
 half each; all documents are scored, and whole.
 
 Defined results: null and empty texts have no passage and the curve's lowest score; without any
-usable labels every score is 0; repeated rows are scored alike, each; columns other than id and text
+usable labels every score is 0; of labels of one id that differ the toxic one counts; repeated rows are scored alike, each; columns other than id and text
 are ignored; texts of any length are scanned whole.
 """
 
 from __future__ import annotations
 
+import hashlib
 import math
 from collections import Counter
 from collections.abc import Iterator
@@ -40,10 +41,18 @@ EDGES = "!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~«»„“”‘’…¡¿"
 SCHEMA = "id string, score double, predicted int, passages array<struct<start:int,end:int,score:double,evalue:double>>"
 #: Tokens that a task remembers; others are worked out each time.
 MEMO = 1 << 17
-#: Longer tokens have no odds of their own and score as their stem.
+#: A longer token is known by its first letters and a digest of the whole.
 LONGEST = 64
 
 
+def plain(raw: str) -> str:
+    """The token of a raw word: lower case, no punctuation at its ends, bounded in length."""
+    word = raw.lower().strip(EDGES)
+    if len(word) <= LONGEST:
+        return word
+    return word[: LONGEST - 32] + hashlib.blake2b(word.encode("utf-8", "surrogatepass"), digest_size=16).hexdigest()
+
+
 def maximal_segments(scores: list[tuple[int, int, float]]) -> list[tuple[int, int, float]]:
     """All maximal scoring segments of runs (start, end, total), in linear time.
 
@@ -78,7 +87,7 @@ class TokenScores(dict):
         self.tokens, self.stems = tokens, stems
 
     def __missing__(self, raw: str) -> float:
-        word = raw.lower().strip(EDGES)
+        word = plain(raw)
         known = self.tokens.get(word)
         value = known if known is not None else self.stems.get(word[:STEM], 0.0)
         if len(self) < MEMO:
@@ -103,7 +112,7 @@ def _counts(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     for batch in batches:
         seen: tuple[Counter, Counter] = (Counter(), Counter())
         for text, toxic in zip(batch["text"], batch["toxic"], strict=True):
-            words = {x for w in set((text or "").split()) if 0 < len(x := w.lower().strip(EDGES)) <= LONGEST}
+            words = {x for w in set((text or "").split()) if (x := plain(w))}
             seen[toxic].update(words)
             seen[toxic].update({"\0" + w[:STEM] for w in words})
         words = list(seen[0].keys() | seen[1].keys())
@@ -118,7 +127,7 @@ def _logit(p: float) -> float:
 def fit(docs: DataFrame, labels: DataFrame, *, sample: int = 20_000, significance: float = 0.05) -> dict:
     """Model from (id, text) rows and (id, toxic) labels."""
     empty = {"tokens": {}, "stems": {}, "lambda": 1.0, "K": 1.0, "curve": (-30.0, 0.0), "significance": significance}
-    chosen = labels.where(F.col("toxic").isin(0, 1) & F.col("id").isNotNull()).select("id", F.col("toxic").cast("int").alias("toxic")).dropDuplicates(["id"])
+    chosen = labels.where(F.col("toxic").isin(0, 1) & F.col("id").isNotNull()).groupBy("id").agg(F.max("toxic").cast("int").alias("toxic"))
     chosen = chosen.orderBy(F.xxhash64("id"), "id").limit(sample).withColumn("half", F.pmod(F.xxhash64("id", F.lit(7)), F.lit(2)))
     rows = stored(docs.select("id", "text").join(F.broadcast(chosen), "id"), "toxic-sample")
     size = {(r["half"], r["toxic"]): r["n"] for r in rows.groupBy("half", "toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
@@ -202,7 +211,7 @@ def _evidence(text: str | None, found: list[tuple[int, int, float, float]], mode
     for a, b, s, _ in found:
         for raw in words[a:b]:
             if value := look[raw]:
-                if (word := raw.lower().strip(EDGES)) in told:
+                if (word := plain(raw)) in told:
                     s -= value + DRIFT
                 told.add(word)
         e = model["K"] * len(words) * math.exp(-model["lambda"] * s) if s > 0 else 1.0

@@ -14,7 +14,7 @@ Duplicates: of pages with equal payloads of at least ``least`` bytes the one wit
 response, the others are revisit records without payload that name it.
 
 Defined results: a null payload is empty; smaller payloads are always responses; pages that repeat id and
-payload are written and returned each (the repeats of the response are revisits of it, one by row stays);
+payload are written and returned each, those of the response as responses;
 a page without an id is a response, and read back without one; an empty table writes no file and gives no row; columns other than id, url and html are ignored.
 """
 
@@ -259,8 +259,11 @@ def read_packages(manifest: DataFrame, *, chunk: int = 256, payloads: bool = Tru
                         out.append((page("WARC-Record-ID"), fields["WARC-Target-URI"], payload if payloads else None, int(fields["X-Payload-Length"]), digest, kind, page("WARC-Refers-To"), sound))
                 yield pd.DataFrame(out, columns=[x.split()[0] for x in RECORD.split(", ")])
 
-    spans = manifest.select("path").repartition("path").mapInPandas(ranges, "path string, at array<long>, size array<long>")
-    return spans.repartition("path", F.element_at("at", 1)).mapInPandas(read, RECORD).withColumns({k: F.col(k).cast("long") for k in ("page_id", "refers_to")})
+    # Counts are given, since ranges are a few bytes a record and would be coalesced into one task, which then reads all archives.
+    size = manifest.agg(F.count(F.lit(1)).alias("files"), F.coalesce(F.sum("records"), F.lit(0)).alias("records")).collect()[0]
+    files, tasks = min(size["files"], 4096) or 1, min(-(-size["records"] // (8 * chunk)), 65_536) or 1
+    spans = manifest.select("path").repartition(files, "path").mapInPandas(ranges, "path string, at array<long>, size array<long>")
+    return spans.repartition(tasks, "path", F.element_at("at", 1)).mapInPandas(read, RECORD).withColumns({k: F.col(k).cast("long") for k in ("page_id", "refers_to")})
 
 
 def plan_records(pages: DataFrame, *, id_col: str = "page_id", url_col: str = "url", text_col: str = "html", least: int = 1000) -> DataFrame:
@@ -268,9 +271,12 @@ def plan_records(pages: DataFrame, *, id_col: str = "page_id", url_col: str = "u
     payload = F.encode(F.coalesce(F.col(text_col), F.lit("")), "UTF-8")
     rows = pages.select(F.col(id_col).cast("long").alias("page_id"), F.col(url_col).alias("url"), payload.alias("payload"))
     rows = rows.withColumns({"payload_digest": F.sha1("payload"), "payload_bytes": F.octet_length("payload").cast("long")})
-    best = rows.where(F.col("payload_bytes") >= least).groupBy("payload_digest").agg(F.max("page_id").alias("best"), F.count(F.lit(1)).alias("n"))
-    rows = rows.join(best.where(F.col("n") > 1).drop("n"), "payload_digest", "left")
-    revisit = F.coalesce(F.col("best") != F.col("page_id"), F.lit(False))
+    # Decided on digests and ids alone; payloads meet only the rows that are to be revisits, by id and digest.
+    told = rows.where((F.col("payload_bytes") >= least) & F.col("page_id").isNotNull()).select("page_id", "payload_digest")
+    best = told.groupBy("payload_digest").agg(F.max("page_id").alias("best"), F.min("page_id").alias("other")).where("best <> other").drop("other")
+    revisits = told.join(best, "payload_digest").where(F.col("page_id") != F.col("best")).distinct()
+    rows = rows.join(revisits, ["page_id", "payload_digest"], "left")
+    revisit = F.col("best").isNotNull()
     return rows.select(
         F.coalesce(F.col("page_id").cast("string"), F.lit("none")).alias("page_id"), "url", "payload", "payload_digest", "payload_bytes",
         F.when(revisit, "revisit").otherwise("response").alias("record_type"), F.when(revisit, F.col("best").cast("string")).alias("refers_to"))
