@@ -15,11 +15,13 @@ def toxic_out(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of every group of near duplicates the document of the least id; rows that repeat an id go with it, rows without id stay."""
+    """Of every group of near duplicates the document of the least id; of rows that repeat it the least one, rows without id stay."""
     grouped = ngram_join.ngram_join(docs)
     kept = grouped.where(F.col("class_id") == F.col("doc_id")).select("doc_id").distinct()
-    named = docs.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return named.select(docs.columns).unionByName(docs.where(F.col("doc_id").isNull()))
+    named = docs.join(kept, "doc_id", "left_semi")
+    rest = [c for c in docs.columns if c != "doc_id"]
+    first = named.groupBy("doc_id").agg(F.min(F.struct(*rest)).alias("row")).select("doc_id", "row.*")
+    return first.select(docs.columns).unionByName(docs.where(F.col("doc_id").isNull()))
 
 
 def leaks_out(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -34,8 +36,8 @@ def surrogates_in(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """What the training mix takes of each document."""
-    return mixing.pareto_mix(docs)
+    """The documents with the copies that the training mix takes of them."""
+    return mixing.mix_documents(docs)
 
 
 STAGES = [
