@@ -1,21 +1,28 @@
 """Surrogates for personal data.
 
-Detected entities: e-mail addresses, telephone numbers, payment card numbers (by their check digit), IPv4
-addresses, US social security numbers, IBANs (by their check digits) and personal names (a known given name or
-a title before capitalised words). Each is replaced by a keyed surrogate of its type and format.
-
-Numbers and letters go through a keyed permutation (a Feistel network on the digits or letters, walked on
-until the result is of the same class), so equal values get equal surrogates in all documents, and different
-values never meet: distinctness needs no table. Phones are permuted in their national digits whatever their
-punctuation, cards keep brand digit and check digit, addresses stay in their class of network, e-mail hosts
-end in the reserved domain ``example``.
-
-Names take given names and surnames of the same gender and script from fixed lists, by key. Different
-parts of names of one document are checked for collisions and get different surrogates; once a list is used up,
-numbered spellings follow. A surname that returns behind a title takes the surrogate of its bearer.
-
-Defined results: null stays null, text without entities is unchanged; of overlapping matches the leftmost counts,
-then the order of KINDS, without candidates that fail their check; repeated rows are treated alike; other columns are kept by ``anonymise`` and the columns
+Detected entities: e-mail addresses in any script, telephone numbers, payment card numbers (by their check digit), IPv4
+addresses, US social security numbers, IBANs (by their check digits) and personal names. Each is replaced by a keyed
+surrogate of its type and format.
+
+Numbers and letters go through keyed permutations without fixed points: a Feistel network, one step on, and the
+network backwards, which moves every string along a single cycle; where a class must be kept (a public address, a valid
+area) the cycle is walked on to its next member. So equal values get equal surrogates in all documents, different values
+never meet, no value stays as it is, and none of this needs a table. Phones are permuted in their national digits whatever
+their punctuation, cards keep brand digit and check digit, addresses stay in their class of network, e-mail hosts end in
+the reserved domain ``example``. An address part with letters of other scripts than Latin and Cyrillic becomes a keyed
+code of 80 bits.
+
+Names are found by structure: a title before capitalised words, a known given name, a verb of speech or action beside
+two or more capitalised words, a phrase of introduction, a salutation, a closing formula, a field label, an e-mail address
+beside or spelling the name, and a name joined to a found one. Later bare mentions of the parts of a found name are replaced, too.
+A part's surrogate depends on the key and the part alone: known given names move along a keyed cycle of the names of
+their gender and script, known surnames along that of theirs; any other part has its vowels and consonants permuted each
+among themselves, keeps the letter that tells a given name's gender and the ending of a Cyrillic surname, and never
+becomes a known name. So people keep one surrogate over the corpus and never share one; a check in each text makes sure of it.
+
+Defined results: null stays null, text without entities is unchanged; of overlapping matches numbers and addresses go before
+names, then the leftmost counts, then the order of KINDS, without candidates that fail their check; repeated rows are treated
+alike; other columns are kept by ``anonymise`` and the columns
 it adds take the place of ones with the same name. Texts of any length are treated whole.
 """
 
@@ -31,10 +38,10 @@ from pyspark.sql import types as T
 
 from vpcoreset.llm.common import trimmed
 
-# Names by script and gender, and surnames (male and female form).
+# Names by script and gender, and surnames (Cyrillic ones in the male form). They lend natural spellings; detection does not end with them.
 GIVEN = {
-    ("latin", "m"): "James John Robert Michael William David Richard Thomas Charles Daniel Matthew Anthony Steven Paul Andrew Kevin Brian George Edward Peter Hans Klaus Jürgen Pierre Jacques Carlos Miguel Javier",
-    ("latin", "f"): "Mary Patricia Jennifer Linda Elizabeth Barbara Susan Jessica Sarah Karen Nancy Margaret Sandra Ashley Emily Michelle Carol Amanda Laura Helen Ursula Heike Brigitte Nathalie Camille Carmen Lucía Pilar",
+    ("latin", "m"): "James John Robert Michael William David Richard Thomas Charles Daniel Matthew Anthony Steven Paul Andrew Kevin Brian George Edward Peter Hans Klaus Jürgen Pierre Jacques Carlos Miguel Javier Juan Luis José Marco Giovanni Ahmed Mohammed Ali Wei Hiroshi Raj Ivan Lukas Felix",
+    ("latin", "f"): "Mary Patricia Jennifer Linda Elizabeth Barbara Susan Jessica Sarah Karen Nancy Margaret Sandra Ashley Emily Michelle Carol Amanda Laura Helen Ursula Heike Brigitte Nathalie Camille Carmen Lucía Pilar Maria Anna Sofia Giulia Fatima Aisha Yuki Priya Olga Emma Julia Sophie Marie Lena",
     ("cyrillic", "m"): "Александр Дмитрий Сергей Андрей Алексей Михаил Николай Владимир Иван Пётр",
     ("cyrillic", "f"): "Анна Мария Елена Ольга Наталья Татьяна Ирина Светлана Екатерина Юлия",
 }
@@ -42,28 +49,78 @@ SURNAMES = {
     "latin": "Smith Johnson Williams Brown Jones Miller Davis Wilson Anderson Taylor Moore Jackson Martin Thompson White Harris Clark Lewis Robinson Walker Young Allen King Wright Scott Hill Green Adams Baker Nelson Carter Mitchell",
     "cyrillic": "Иванов Смирнов Кузнецов Попов Васильев Петров Соколов Михайлов Новиков Фёдоров Морозов Волков",
 }
-TITLES = {"Mr": "m", "Herr": "m", "Señor": "m", "Monsieur": "m", "Mrs": "f", "Ms": "f", "Miss": "f", "Frau": "f", "Señora": "f", "Madame": "f", "Dr": "", "Prof": ""}
+TITLES = "Mr Mrs Ms Miss Dr Prof Herr Frau Señor Señora Monsieur Madame Sr Sra Mme Sir Lady господин госпожа Господин Госпожа".split()
+#: Verbs beside which two capitalised words are a person, and phrases, formulas and labels before a name.
+VERBS = (
+    "said says asked replied wrote writes told added explained called met visited lives works worked joined signed sent emailed phoned thanked thinks believes left arrived answered "
+    "sagte sagt schrieb fragte erklärte antwortete traf rief wohnt arbeitet dit écrit demande répond habite travaille dijo dice escribió respondió vive trabaja "
+    "сказал сказала написал написала говорит ответил ответила ушёл ушла ушли живёт работает").split()
+BEFORE = "said says asked told met sagte dijo traf".split()
+INTRODUCED = ("name is", "Name ist", "am called", "heiße", "m'appelle", "me llamo", "Me llamo", "nombre es", "зовут", "I am", "I'm", "bin", "soy", "suis")
+GREETED = "Dear Hello Hi Liebe Lieber Cher Chère Estimado Estimada Querido Querida Уважаемый Уважаемая".split()
+CLOSED = ("Regards", "regards", "Sincerely", "sincerely", "faithfully", "truly", "wishes", "Cheers", "Thanks", "Grüßen", "Grüße", "Cordialement", "Saludos", "Atentamente", "уважением")
+LABELS = "Name Author From To Contact Patient Customer Client Employee Attn Kunde Nombre Nom Имя name author contact".split()
+JOINED = ("and", "und", "et", "y", "и", "&", "with", "mit")
+#: Capitalised words that open sentences or name no person.
+OPENERS = frozenset([*TITLES, *"Later Soon Finally Meanwhile However Also Now Once Last Next Every Each Some Most Many My Your His Her Our Their Mein Meine Mon Ma Mi Später Dann Puis Ensuite Luego Después Потом Затем Г-н Г-жа The This That These Those When While Then Yesterday Today Tomorrow After Before But And Or As If In On At For From Of It He She They We You Who Sir Madam Customer All Team Friends Reader World Der Die Das Und Aber Als Gestern Heute Le La Les Un Une Et Mais Hier El Los Las Pero Ayer Hoy Y В На Но А И Он Она Вчера Сегодня".split()])
 _GIVEN = {k: v.split() for k, v in GIVEN.items()}
 _SURNAMES = {k: v.split() for k, v in SURNAMES.items()}
 _GENDER = {name: key for key, names in _GIVEN.items() for name in names}
+_LISTED = frozenset(x.lower() for x in [*_GENDER, *_SURNAMES["latin"], *_SURNAMES["cyrillic"]])
 
 KINDS = ("email", "iban", "card", "phone", "ssn", "ip", "name")
-_CAP = r"[A-ZÄÖÜÉÈÀÇÑÁÍÓÚА-ЯЁ][a-zäöüßéèàçñáíóúа-яё]+"
+_HOST = r"[^\W_](?:[\w-]*[^\W_])?"
 PATTERN = re.compile(
-    r"(?P<email>(?<![\w.%+-])[\w.%+-]+@[A-Za-z0-9](?:[A-Za-z0-9-]*[A-Za-z0-9])?(?:\.[A-Za-z0-9](?:[A-Za-z0-9-]*[A-Za-z0-9])?)+)"
+    rf"(?P<email>(?<![\w.%+-])[\w.%+-]+@{_HOST}(?:\.{_HOST})+)"
     r"|(?P<iban>\b[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?\b)"
     r"|(?P<card>(?<![\w.+-])[0-9](?:[ -]?[0-9]){12,18}(?![\w]|[.-][0-9]))"
-    r"|(?P<phone>(?<![\w.])(?:\+[0-9]{1,3}[ .-]?(?:\([0-9]{1,4}\)|[0-9]{1,4})(?:[ .-]?[0-9]{2,4}){2,4}|\([0-9]{3}\) ?[0-9]{3}[.-][0-9]{4}|[0-9]{3}[.-][0-9]{3}[.-][0-9]{4})(?!\w))"
+    r"|(?P<phone>(?<![\w.])(?:\+[0-9]{1,3}[ .-]?(?:\([0-9]{1,4}\)|[0-9]{1,4})(?:[ .-]?[0-9]{2,4}){2,4}|\([0-9]{3}\) ?[0-9]{3}[.-][0-9]{4}|[0-9]{3}[.-][0-9]{3}[.-][0-9]{4}"
+    r"|\(?0[1-9][0-9]{1,3}\)?[ /-]{1,3}[0-9]{3,8}(?:[ -][0-9]{2,5}){0,2}|0[1-9](?:[ .][0-9]{2}){4})(?!\w))"
     r"|(?P<ssn>(?<![\w-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![\w-]))"
     r"|(?P<ip>(?<![\w.])(?:[0-9]{1,3}\.){3}[0-9]{1,3}(?!\w|\.[0-9]))"
-    rf"|(?P<name>\b(?:(?:{'|'.join(TITLES)})\.? {_CAP}(?: {_CAP})?|(?:{'|'.join(_GENDER)}) {_CAP})\b)"
 )
 #: Each kind alone, for candidates of another kind that fail their check.
 ALONE = {kind: re.compile(PATTERN.pattern[m.start() :].split("|(?P<")[0]) for kind in KINDS if (m := re.search(rf"\(\?P<{kind}>", PATTERN.pattern))}
-#: A text without any of these cannot hold an entity; the test is far cheaper than the pattern.
-HINT = re.compile(rf"@|[0-9][0-9.() +-]{{5,}}[0-9]|\b[A-Z]{{2}}[0-9]{{2}}|\b(?:{'|'.join([*TITLES, *_GENDER])})\b")
+#: A text without any of these cannot hold a number or an address; the test is far cheaper than the pattern.
+HINT = re.compile(r"@|[0-9][0-9./() +-]{5,}[0-9]|\b[A-Z]{2}[0-9]{2}")
+
+_U, _L = "A-ZÀ-ÖØ-ÞŁŚŠŽŻŹČĆĐŘА-ЯЁІЇЄ", "a-zß-öø-ÿąćęłńśźżčšžđřěůıа-яёіїє"
+WORD = rf"(?:[{_U}]['’])?(?:Mc|Mac)?[{_U}][{_L}]+(?:-[{_U}]?[{_L}]+|['’][{_U}][{_L}]+)*"
+_LINK = "(?:van|von|de|del|der|den|di|da|dos|la|le|el|bin|ibn|al|ter|zu)"
+_MORE = rf"(?: [{_U}]\.)?(?: (?:{_LINK} ){{0,2}}{WORD})"
+_END = rf"(?![{_L}{_U}])"
+FULL, ONE = rf"{WORD}{_MORE}{{1,3}}{_END}", rf"{WORD}{_MORE}{{0,3}}{_END}"
+
+
+def _any(words) -> str:
+    return "|".join(sorted(map(re.escape, words), key=len, reverse=True))
+
+
+#: Each has the name as its group 1.
+CUES = tuple(map(re.compile, (
+    rf"\b(?:{_any(TITLES)})\.? ({ONE})",
+    rf"\b({FULL}),? (?:{_any(VERBS)})\b",
+    rf"\b(?:{_any(BEFORE)}) ({FULL})",
+    rf"\b(?:{_any(INTRODUCED)}) ({FULL})",
+    rf"\b(?:{_any(x for x in INTRODUCED if x.endswith(('is', 'ist', 'es', 'heiße', 'appelle', 'llamo', 'зовут')))}) ({ONE})",
+    rf"\b(?:{_any(GREETED)}) ({FULL}|{WORD}(?=[,!]))",
+    rf"\b(?:{_any(CLOSED)})[,.!]?\s+({FULL}|{WORD}(?=\s*(?:\n|$)))",
+    rf"\b(?:{_any(LABELS)}):\s?({FULL})",
+    rf"\b({FULL}) [<(](?=[\w.%+-]+@)",
+)))
+RUN, NAME_WORD = re.compile(rf"\b{FULL}"), re.compile(rf"\b{WORD}{_END}")
+NEXT = re.compile(rf",? (?:{_any(JOINED)}) ({FULL})")
+PARTS_OF_MAIL = re.compile(rf"(?<![\w.%+-])([{_L}]{{2,}})[._]([{_L}]{{2,}})[0-9]*@", re.I)
+#: Single words of which a text must hold one, bare or with a mark after or before it, to hold a name that is not beside an address; labels count with their colon.
+CUE_WORDS = (*TITLES, *VERBS, *BEFORE, *"name Name called heiße m'appelle llamo nombre зовут am I'm bin soy suis".split(), *GREETED, *CLOSED)
+
+
+def _marked(words) -> set[str]:
+    return {f"{a}{w}{b}" for w in words for a in ("", "(", '"') for b in ("", ".", ",", ":", ";", "!", "?", '"', ")")}
+
+
 FOUND = T.ArrayType(T.StructType([T.StructField("kind", T.StringType()), T.StructField("start", T.IntegerType()), T.StructField("end", T.IntegerType())]))
-DIGITS, LETTERS = "0123456789", "abcdefghijklmnopqrstuvwxyz"
+DIGITS, LETTERS, CYRILLIC = "0123456789", "abcdefghijklmnopqrstuvwxyz", "абвгдежзийклмнопрстуфхцчшщъыьэюяё"
 
 
 class Keyed:
@@ -76,26 +133,34 @@ class Keyed:
         return int.from_bytes(hashlib.blake2b("\x1f".join(map(str, parts)).encode("utf-8", "surrogatepass"), key=self.key, digest_size=16).digest(), "big")
 
     def permute(self, text: str, alphabet: str, tweak: str) -> str:
-        """A permutation of the strings of this length over the alphabet."""
+        """A permutation of the strings of this length over the alphabet, without fixed points: one long cycle."""
         base, n = len(alphabet), len(text)
         if n == 0:
             return text
         value = [alphabet.index(c) for c in text]
         if n == 1:
             order = sorted(range(base), key=lambda i: self.number("one", tweak, i))
-            return alphabet[order[value[0]]]
+            return alphabet[order[(order.index(value[0]) + 1) % base]]
         u = n // 2
         read = lambda part: sum(d * base**i for i, d in enumerate(part))
         a, b, sizes = read(value[:u]), read(value[u:]), (base**u, base ** (n - u))
-        for r in range(10):
-            if r % 2:
-                b = (b + self.number("round", tweak, n, r, a)) % sizes[1]
-            else:
-                a = (a + self.number("round", tweak, n, r, b)) % sizes[0]
+        for turn in (1, -1):
+            for r in range(10) if turn == 1 else reversed(range(10)):
+                if r % 2:
+                    b = (b + turn * self.number("round", tweak, n, r, a)) % sizes[1]
+                else:
+                    a = (a + turn * self.number("round", tweak, n, r, b)) % sizes[0]
+            if turn == 1:  # one step on
+                b, a = divmod((a + sizes[0] * b + 1) % (sizes[0] * sizes[1]), sizes[0])
         return "".join(alphabet[a // base**i % base] for i in range(u)) + "".join(alphabet[b // base**i % base] for i in range(n - u))
 
+    def next_of(self, member: str, members: list[str], tweak: str) -> str:
+        """The member that follows on a keyed cycle of the list."""
+        order = sorted(members, key=lambda x: (self.number("order", tweak, x), x))
+        return order[(order.index(member) + 1) % len(order)]
+
     def walk(self, text: str, alphabet: str, tweak: str, same) -> str:
-        """Permutes until the class of the text returns: again a permutation, of that class."""
+        """Permutes until the class of the text returns: again one cycle, of that class."""
         kind, now = same(text), self.permute(text, alphabet, tweak)
         while same(now) != kind:
             now = self.permute(now, alphabet, tweak)
@@ -127,22 +192,42 @@ def _network(octets: str) -> str:
     return "public"
 
 
+#: Letters that are permuted among themselves.
+CLASSES = ("bcdfghjklmnpqrstvwxz", "aeiouy", "çñßśšžźżčćđłńř", "àáâãäåæèéêëìíîïòóôõöøùúûüýÿąęěůı", "бвгджзйклмнпрстфхцчшщ", "аеёиоуыэюяіїє", "ъь")
+#: Endings of Cyrillic surnames: the part that tells the gender.
+ENDING = re.compile("(?:ов|ев|ёв|ин|ын)а?$|[сц]к(?:ий|ая)$|(?:ий|ая|ый|ой)$")
+
+
+def _ending(word: str) -> tuple[str, str]:
+    """Stem and ending of a surname; the ending is empty but for Cyrillic ones."""
+    m = ENDING.search(word)
+    return (word[: m.start()], m.group()) if m and m.start() > 1 else (word, "")
+
+
 class Surrogates:
-    """Replaces the entities of one text; names are kept apart within the text."""
+    """Replaces the entities of one text; what replaces what depends on the key alone."""
 
-    def __init__(self, key: str):
+    def __init__(self, key: str, names: dict[tuple[str, str], str] | None = None):
         self.keyed = Keyed(key.encode())
+        self.given = {k: list(dict.fromkeys([*v, *(names or {}).get(k, "").split()])) for k, v in _GIVEN.items()}
+        self.gender = {n: k for k, v in self.given.items() for n in v}
+        self.listed = _LISTED | {n.lower() for n in self.gender}
+        self.cues = _marked([*CUE_WORDS, *self.gender]) | {f"{w}:" for w in LABELS}
         self.memo: dict[tuple[str, str], str | None] = {}
 
+    def _address(self, part: str, form: str, tweak: str) -> str:
+        """Letters and digits of a part of an address, each permuted in its alphabet; ``form`` is the spelling that keeps its case."""
+        sets = (LETTERS, DIGITS, CYRILLIC)
+        if any(c.isalnum() and not any(c in s for s in sets) for c in part):
+            return "x" + "".join(LETTERS[b % 16] + LETTERS[b // 16] for b in self.keyed.number("address", tweak, part).to_bytes(16, "big")[:10])
+        shape = "".join(next((str(i) for i, s in enumerate(sets) if c in s), c) for c in part)
+        for s in sets:
+            form = _refill(form, self.keyed.permute("".join(c for c in part if c in s), s, f"{tweak}:{shape}"), s)
+        return form
+
     def email(self, text: str) -> str:
-        local, host = text.lower().rsplit("@", 1)
-        out = []
-        for part, tweak in ((local, "local"), (host, "host")):
-            form = re.sub("[a-z]", "a", re.sub("[0-9]", "9", part))
-            letters = self.keyed.permute("".join(c for c in part if c in LETTERS), LETTERS, f"{tweak}:{form}")
-            digits = self.keyed.permute("".join(c for c in part if c in DIGITS), DIGITS, f"{tweak}:{form}")
-            out.append(_refill(_refill(text[: len(local)] if tweak == "local" else part, letters, LETTERS), digits, DIGITS))
-        return f"{out[0]}@{out[1]}.example"
+        local, host = text.rsplit("@", 1)
+        return f"{self._address(local.lower(), local, 'local')}@{self._address(host.lower(), host.lower(), 'host')}.example"
 
     def iban(self, text: str) -> str | None:
         plain = text.replace(" ", "")
@@ -193,36 +278,81 @@ class Surrogates:
             code = self.keyed.walk(code, DIGITS + "abcdef", "ip", lambda c: _network(spell(c)))
         return ".".join(str(int(spell(code)[i : i + 3])) for i in (0, 3, 6, 9))
 
-    def _pick(self, kind: str, part: str, choices: list[str], taken: dict[str, str]) -> str:
-        """Surrogate of a part of a name, distinct from the others of the text and from what it stands for."""
-        if part not in taken:
-            used = set(taken.values()) | set(taken)
-            start = self.keyed.number(kind, part.lower()) % len(choices)
-            free = (choices[(start + i) % len(choices)] for i in range(len(choices)))
-            found = next((c for c in free if c not in used), None)
-            turn = 0
-            while found is None:
-                turn += 1
-                spelled = choices[start] + self.keyed.permute("aa" + "a" * (turn // 400), LETTERS, f"{kind}:{part}:{turn}")
-                found = spelled if spelled not in used else None
-            taken[part] = found
-        return taken[part]
-
-    def name(self, text: str, given: dict[str, str], family: dict[str, str], genders: dict[str, str]) -> str:
-        words = text.split(" ")
-        title = words[0].rstrip(".") in TITLES
-        head, rest = (words[:1], words[1:]) if title else ([], words)
-        script = "cyrillic" if any("Ѐ" <= c <= "ӿ" for c in "".join(rest)) else "latin"
-        known = rest[0] in _GENDER
-        gender = (_GENDER[rest[0]][1] if known else TITLES[words[0].rstrip(".")] if title else "") or genders.get(rest[-1]) or ("m" if self.keyed.number("gender", rest[-1].lower()) % 2 else "f")
-        out = list(head)
-        if len(rest) > 1:
-            out.append(self._pick(f"given:{script}:{gender}", rest[0], _GIVEN[(script, gender)], given))
-        surname = rest[-1]
-        genders.setdefault(surname, gender)
-        choices = [s + "а" for s in _SURNAMES[script]] if script == "cyrillic" and gender == "f" else _SURNAMES[script]
-        out.append(self._pick(f"family:{script}", surname, choices, family))
-        return " ".join(out)
+    def _spelled(self, word: str, tweak: str, fits) -> str:
+        """A word with the letters of each class permuted among themselves, the first one that ``fits`` as the word itself does."""
+        now = low = word.lower()
+        if len(low) != len(word) or not any(c in letters for c in low for letters in CLASSES):
+            return "X" + "".join(LETTERS[b % 26] for b in self.keyed.number(tweak, word).to_bytes(16, "big"))
+        shape = "".join(next((str(i) for i, s in enumerate(CLASSES) if c in s), c) for c in low)
+        while True:
+            told = ""
+            for i, letters in enumerate(CLASSES):
+                own = "".join(c for c, k in zip(now, shape, strict=True) if k == str(i))
+                moved = iter(self.keyed.permute(own, letters, f"{tweak}:{shape}:{told}"))
+                now = "".join(next(moved) if k == str(i) else c for c, k in zip(now, shape, strict=True))
+                told += own + "|"
+            if fits(now):
+                return "".join(c.upper() if o.isupper() else c for c, o in zip(now, word, strict=True))
+
+    def given_name(self, word: str) -> str:
+        if word in self.gender:
+            key = self.gender[word]
+            return self.keyed.next_of(word, self.given[key], f"given:{key}")
+        stem, last = (word[:-1], word[-1]) if len(word) > 3 else (word, "")
+        return self._spelled(stem, f"given:{last.lower()}", lambda x: x + last.lower() not in self.listed) + last
+
+    def family_name(self, word: str) -> str:
+        for script, names in _SURNAMES.items():
+            if word in names:
+                return self.keyed.next_of(word, names, f"family:{script}")
+            if script == "cyrillic" and word.endswith("а") and word[:-1] in names:
+                return self.keyed.next_of(word[:-1], names, f"family:{script}") + "а"
+        stem, end = _ending(word)
+        return self._spelled(stem, "family", lambda x: _ending(x + end) == (x, end) and not {x + end, (x + end).removesuffix("а")} & self.listed) + end
+
+    def _people(self, text: str, taken: list[tuple[str, int, int]]) -> list[tuple[int, int, str]]:
+        """(start, end, role) of words of names, sorted; role is given or family."""
+        spans: list[tuple[int, int, bool]] = []
+        for no, cue in enumerate(CUES):
+            spans += [(m.start(1), m.end(1), no == 0) for m in cue.finditer(text)]
+        mails = {(m.group(1).lower(), m.group(2).lower()) for k, a, b in taken if k == "email" and (m := PARTS_OF_MAIL.match(text, a))}
+        for run in RUN.finditer(text):
+            words = [m.group() for m in NAME_WORD.finditer(run.group())]
+            first = next((i for i, w in enumerate(words[:-1]) if w in self.gender), None)
+            pair = next((i for i in range(len(words) - 1) if (words[i].lower(), words[i + 1].lower()) in mails), None)
+            if first is not None or pair is not None:
+                at = [m.start() for m in NAME_WORD.finditer(run.group())]
+                spans.append((run.start() + at[min(x for x in (first, pair) if x is not None)], run.end(), False))
+        for a, b, _ in list(spans):  # a name joined to a found one, and so on
+            while m := NEXT.match(text, b):
+                spans.append((m.start(1), m.end(1), False))
+                b = m.end(1)
+        found: dict[tuple[int, int], str] = {}
+        known: dict[str, str] = {}
+        runs = [([(a + m.start(), a + m.end(), m.group()) for m in NAME_WORD.finditer(text[a:b])], titled) for a, b, titled in set(spans)]
+        for words, titled in sorted(runs, key=lambda x: (len(x[0]) < 2, not x[1], x[0])):
+            surname = titled or len(words) > 1
+            while words and words[0][2] in OPENERS:
+                words = words[1:]
+            for i, (x, y, w) in enumerate(words):
+                alone = len(words) == 1
+                role = "given" if (w in self.gender or not surname if alone else i < len(words) - 1) else "family"
+                found.setdefault((x, y), known.get(w, role) if alone else role)
+                if len(w) > 1:
+                    known[w] = "family" if role == "family" or known.get(w) == "family" else "given"
+        if known:
+            for m in NAME_WORD.finditer(text):
+                if m.group() in known and m.group() not in OPENERS:
+                    found.setdefault((m.start(), m.end()), known[m.group()])
+        held = sorted((a, b) for _, a, b in taken)
+        out, i, last = [], 0, 0
+        for (a, b), role in sorted(found.items()):
+            while i < len(held) and held[i][1] <= a:
+                i += 1
+            if a >= last and not (i < len(held) and held[i][0] < b):
+                out.append((a, b, role))
+                last = b
+        return out
 
     def _remembered(self, kind: str, value: str) -> str | None:
         if (kind, value) not in self.memo:
@@ -235,7 +365,7 @@ class Surrogates:
     def _candidates(text: str, m: re.Match) -> Iterator[tuple[str, int]]:
         """(kind, end) of a match, then without its last groups after a space, then of the kinds that follow, at the same start."""
         start = m.start()
-        for kind in KINDS[KINDS.index(m.lastgroup) :]:
+        for kind in list(ALONE)[list(ALONE).index(m.lastgroup) :]:
             if found := m if kind == m.lastgroup else ALONE[kind].match(text, start):
                 end = found.end()
                 yield kind, end
@@ -243,31 +373,51 @@ class Surrogates:
                     if ALONE[kind].fullmatch(text, start, end):
                         yield kind, end
 
-    def __call__(self, text: str | None) -> tuple[str | None, list[tuple[str, int, int]]]:
-        """The text with surrogates, and (kind, start, end) of the entities in the original."""
-        if not text or not HINT.search(text):
-            return text, []
-        given: dict[str, str] = {}
-        family: dict[str, str] = {}
-        genders: dict[str, str] = {}
-        out, spans, at, search = [], [], 0, 0
+    def _values(self, text: str) -> list[tuple[str, int, int, str]]:
+        """(kind, start, end, surrogate) of numbers and addresses."""
+        out, search = [], 0
         while m := PATTERN.search(text, search):
             for kind, end in self._candidates(text, m):
-                value = text[m.start() : end]
-                new = self.name(value, given, family, genders) if kind == "name" else self._remembered(kind, value)
-                if new is not None:
+                if (new := self._remembered(kind, text[m.start() : end])) is not None:
+                    out.append((kind, m.start(), end, new))
+                    search = end
                     break
             else:  # of no kind after all: go on behind its first run of digits or letters
                 search = m.start() + max(1, len(re.match(r"\w*", m.group()).group()))
-                continue
-            out += [text[at : m.start()], new]
-            spans.append((kind, m.start(), end))
-            at = search = end
+        return out
+
+    def __call__(self, text: str | None) -> tuple[str | None, list[tuple[str, int, int]]]:
+        """The text with surrogates, and (kind, start, end) of the entities in the original."""
+        if not text:
+            return text, []
+        values = self._values(text) if HINT.search(text) else []
+        people = []
+        if not self.cues.isdisjoint(text.split()) or any(k == "email" for k, *_ in values):
+            people = self._people(text, [v[:3] for v in values])
+        if not values and not people:
+            return text, []
+        made = [("name", a, b, self._remembered("given_name" if role == "given" else "family_name", text[a:b])) for a, b, role in people]
+        told: dict[str, str] = {}
+        for i, ((a, b, role), (*_, new)) in enumerate(zip(people, made, strict=True)):
+            while told.setdefault(f"{role} {new}", text[a:b]) != text[a:b]:  # only codes of foreign letters could meet
+                new += LETTERS[self.keyed.number("again", new) % 26]
+            made[i] = ("name", a, b, new)
+        out, at = [], 0
+        for _, a, b, new in sorted([*values, *made], key=lambda x: x[1]):
+            out += [text[at:a], new]
+            at = b
+        # Words of one name count as one entity.
+        spans: list[tuple[str, int, int]] = []
+        for kind, a, b, _ in sorted([*values, *made], key=lambda x: x[1]):
+            if kind == "name" and spans and spans[-1][0] == "name" and re.fullmatch(rf" (?:[{_U}]\. )?(?:{_LINK} ){{0,2}}", text[spans[-1][2] : a]):
+                spans[-1] = ("name", spans[-1][1], b)
+            else:
+                spans.append((kind, a, b))
         return "".join([*out, text[at:]]), spans
 
 
-def anonymise(docs: DataFrame, *, text_col: str = "text", key: str = "surrogates", found_col: str | None = None) -> DataFrame:
-    """docs, all columns, with surrogates in the text column; ``found_col`` adds the entities of the original."""
+def anonymise(docs: DataFrame, *, text_col: str = "text", key: str = "surrogates", found_col: str | None = None, names: dict[tuple[str, str], str] | None = None) -> DataFrame:
+    """docs, all columns, with surrogates in the text column; ``found_col`` adds the entities of the original, ``names`` more given names, spaced, by (script, gender)."""
     if found_col in docs.columns:
         docs = docs.drop(found_col)
     at = docs.columns.index(text_col)
@@ -275,7 +425,7 @@ def anonymise(docs: DataFrame, *, text_col: str = "text", key: str = "surrogates
     found_type = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int32()), ("end", pa.int32())]))
 
     def replace(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        act = Surrogates(key)
+        act = Surrogates(key, names)
         for batch in batches:
             done = [act(x) for x in batch.column(at).to_pylist()]
             columns, names = list(batch.columns), list(batch.schema.names)
