@@ -251,9 +251,43 @@ def test_ngram_join_equals_brute_force(spark, block):
     assert got == brute_links(texts)
 
 
-def test_forest_recall():
-    assert ngram_join.prefix_length(0.8, 0.9999) == 5
-    assert ngram_join.prefix_length(0.8, 0.5) == ngram_join.DEPTH and ngram_join.prefix_length(0.3, 0.9999) == 1
+def test_recall_estimates():
+    at = ngram_join._N
+    assert ngram_join.meeting(0.8, 5) > 0.9999 > ngram_join.meeting(0.8, 6)
+    # Without pairs, the worst case; close copies alone end at full depth, borderline pairs do not.
+    assert ngram_join.recall_estimate({}, 6, 0.8) == pytest.approx(ngram_join.meeting(0.8, 6))
+    close, border = {at: 50_000.0}, {int(0.8 * at) + 1: 50_000.0}
+    assert ngram_join.recall_estimate(close, 6, 0.8) > 0.9999 > ngram_join.recall_estimate(border, 6, 0.8)
+    assert ngram_join.recall_estimate(border, 5, 0.8) > 0.9999
+
+
+def _pairs_of(spark, rng, similarity, n=150, size=60):
+    """n pairs of texts that share about this part of their shingles, and their ids."""
+    texts = []
+    for i in range(n):
+        base = [f"w{rng.randrange(10**6)}" for _ in range(size)]
+        cut = int(size * (1 - similarity) / (1 + similarity) + 0.5)
+        texts += [(2 * i, " ".join(base)), (2 * i + 1, " ".join([*base[cut:], *[f"w{rng.randrange(10**6)}" for _ in range(cut)]]))]
+    return spark.createDataFrame(texts, "doc_id long, text string"), texts
+
+
+@pytest.mark.parametrize("similarity,recall,deep", [(0.95, 0.99, True), (0.82, 0.9999, False)])
+def test_prefixes_are_shortened_until_the_recall(spark, similarity, recall, deep):
+    df, texts = _pairs_of(spark, random.Random(1), similarity)
+    depth = []
+    keep = ngram_join.forest_groups
+    try:
+        ngram_join.forest_groups = lambda *a: depth.append(keep(*a)) or depth[-1]
+        got = {r.doc_id: (r.class_id, r.n_links) for r in ngram_join.ngram_join(df, recall=recall).collect()}
+    finally:
+        ngram_join.forest_groups = keep
+    assert (depth[0][1] == ngram_join.DEPTH) == deep
+    want = brute_links(texts)
+    linked = [i for i, (_, n) in want.items() if n]
+    assert len(linked) > 200 and sum(got[i] == want[i] for i in linked) >= 0.99 * len(linked)
+
+
+def test_signatures_estimate_similarity():
     rng = np.random.default_rng(0)
     a = np.unique(rng.integers(0, 1 << 60, 900, dtype=np.uint64))
     b = np.unique(np.concatenate([a[:800], rng.integers(0, 1 << 60, 100, dtype=np.uint64)]))

@@ -2,8 +2,15 @@
 
 A text is the set of its five-word shingles. Texts with equal sets form one class, of which the smallest id goes on.
 A signature holds ``trees * depth`` minima of keyed hashes of the set, 16 bits each; a tree is a prefix trie over
-``depth`` of them. Prefixes start at full depth and are shortened until two sets of the wanted similarity share one in
-some tree with the target recall, ``1 - (1 - s**p) ** trees``; texts below a shared trie node are candidates.
+``depth`` of them, kept as rows that are sorted by the tree's number and its minima, so that the texts below a trie node lie
+side by side. Texts below a shared node are candidates.
+
+The search starts at the deepest nodes and shortens the matched prefix by one in all trees at a time, until the target
+recall is reached. What has been found decides: a pair of similarity s meets below a node of depth p in some tree with
+probability ``1 - (1 - s**p) ** trees``, so every found pair, by the similarity of its signatures, stands for the inverse of it
+in pairs that exist. One unseen pair of just the wanted similarity is counted on top, so a set without any pair is
+searched to the depth that suffices in the worst case. A set of close copies ends at deep prefixes, one of borderline
+pairs goes on to shorter ones; and after the first step only nodes that hold several of the groups found so far are read.
 
 Inside a node, signatures are compared, and what agrees in clearly fewer places than the similarity would (nine
 standard deviations of the estimate) is dropped. Nodes and groups larger than ``block`` are dealt by hash into
@@ -16,7 +23,7 @@ i.e. of other documents with a similarity of ``threshold`` or more, equal ones i
 
 Defined results: null and empty texts have no shingle, no link and are groups of their own; a text of fewer than
 five words is one shingle; rows that repeat an id count as copies of it; rows without an id link to nothing and have no class; columns other than id and text are ignored;
-texts are read whole.
+texts are read whole. Ids are integers.
 """
 
 from __future__ import annotations
@@ -39,12 +46,15 @@ _MUL = mix64(_XOR) | np.uint64(1)
 AT_ONCE = 1 << 16
 
 
-def prefix_length(similarity: float, recall: float) -> int:
-    """The longest prefix that meets the recall; one hash if none does."""
-    p = DEPTH
-    while p > 1 and 1 - (1 - similarity**p) ** TREES < recall:
-        p -= 1
-    return p
+def meeting(similarity: float, p: int) -> float:
+    """Probability that two texts of this similarity share a prefix of p minima in some tree."""
+    return 1 - (1 - similarity**p) ** TREES
+
+
+def recall_estimate(tally: dict[int, float], p: int, threshold: float) -> float:
+    """Share of the existing pairs that prefixes of p minima have found; tally: found pairs by the places in which signatures agree."""
+    near = {a / _N: n for a, n in tally.items() if a / _N >= threshold}
+    return (sum(near.values()) + 1) / (sum(n / meeting(s, p) for s, n in near.items()) + 1 / meeting(threshold, p))
 
 
 def signatures(sets: list[np.ndarray]) -> np.ndarray:
@@ -102,35 +112,71 @@ def _deal(rows: DataFrame, group: str, size: str, block: int) -> DataFrame:
     return rows.withColumns({"i": F.least("own", "other"), "j": F.greatest("own", "other")}).drop("blocks", "other", size)
 
 
-def _alike(least: int):
-    """Spanning trees of the members of a trie node whose signatures agree in at least so many places."""
+def _alike(least: int, p: int):
+    """Of the members of a trie node, pairs that were not in one group before and whose signatures agree in at least so many places.
+
+    Rows are either edges (a, b) of spanning trees, or (agree, pairs): a pair counts one over the number of trees in which it meets.
+    """
 
     def alike(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        a, b = [], []
+        a, b, tally = [], [], np.zeros(_N + 1)
         for g in groups(batches, ["node", "i", "j"]):
             if len(g) > 1:
-                ids, own = g["id"].to_numpy(), g["own"].to_numpy()
+                ids, own, label = g["id"].to_numpy(), g["own"].to_numpy(), g["label"].to_numpy()
                 sig = np.frombuffer(b"".join(g["sig"]), np.uint16).reshape(len(g), _N)
                 cross = g["i"].iloc[0] != g["j"].iloc[0]
                 pairs = []
                 for k in range(len(g) - 1):
-                    ok = (sig[k + 1 :] == sig[k]).sum(1) >= least
+                    same = sig[k + 1 :] == sig[k]
+                    agree = same.sum(1)
+                    ok = (agree >= least) & (label[k + 1 :] != label[k])
                     if cross:
                         ok &= own[k + 1 :] != own[k]
-                    hit = np.flatnonzero(ok) + k + 1
-                    pairs.append(np.stack([np.full(len(hit), k), hit], 1))
-                root = _roots(len(g), np.concatenate(pairs))
-                new = np.flatnonzero(root != np.arange(len(g)))
-                a += ids[new].tolist()
-                b += ids[root[new]].tolist()
+                    hit = np.flatnonzero(ok)
+                    if len(hit):
+                        met = same[hit].reshape(len(hit), TREES, DEPTH)[:, :, :p].all(2).sum(1)
+                        np.add.at(tally, agree[hit], 1 / met)
+                        pairs.append(np.stack([np.full(len(hit), k), hit + k + 1], 1))
+                if pairs:
+                    root = _roots(len(g), np.concatenate(pairs))
+                    new = np.flatnonzero(root != np.arange(len(g)))
+                    a += ids[new].tolist()
+                    b += ids[root[new]].tolist()
             if len(a) > 10_000:
-                yield pd.DataFrame({"a": a, "b": b})
+                yield pd.DataFrame({"a": a, "b": b, "agree": -1, "pairs": 0.0})
                 a, b = [], []
-        yield pd.DataFrame({"a": np.array(a, np.int64), "b": np.array(b, np.int64)})
+        yield pd.DataFrame({"a": np.array(a, np.int64), "b": np.array(b, np.int64), "agree": -1, "pairs": 0.0})
+        seen = np.flatnonzero(tally)
+        yield pd.DataFrame({"a": np.int64(0), "b": np.int64(0), "agree": seen, "pairs": tally[seen]})
 
     return alike
 
 
+def forest_groups(classes: DataFrame, threshold: float, recall: float, block: int) -> tuple[DataFrame, int]:
+    """(node, label) of the texts that any trie joins, and the depth at which the shortening of prefixes ended; classes: (id, sig)."""
+    spread = (threshold * (1 - threshold) / _N) ** 0.5
+    least = int(_N * (threshold - 9 * spread))
+    rows = classes.select("id", "sig", F.col("id").alias("label"))
+    edges, grouped, tally = None, None, {}
+    for p in range(DEPTH, 0, -1):
+        slices = F.array(*[F.concat(F.lit(bytes([t])), F.substring("sig", t * DEPTH * 2 + 1, p * 2)) for t in range(TREES)])
+        nodes = rows.select("id", "label", F.explode(slices).alias("node"))
+        open_ = nodes.groupBy("node").agg(F.count(F.lit(1)).alias("members"), F.min("label").alias("least"), F.max("label").alias("most"))
+        open_ = open_.where(F.col("least") != F.col("most")).select("node", "members")
+        inside = _deal(nodes.join(open_, "node").join(classes.select("id", "sig"), "id"), "node", "members", 2 * block)
+        inside = inside.repartition("node", "i", "j").sortWithinPartitions("node", "i", "j", "id")
+        found = stored(inside.select("node", "i", "j", "own", "id", "label", "sig").mapInPandas(trimmed(_alike(least, p)), "a long, b long, agree int, pairs double"), "candidates")
+        for r in found.where("agree >= 0").groupBy("agree").agg(F.sum("pairs").alias("pairs")).collect():
+            tally[r["agree"]] = tally.get(r["agree"], 0.0) + r["pairs"]
+        new = found.where("agree < 0").select("a", "b")
+        edges = new if edges is None else edges.unionByName(new)
+        grouped = components(edges.distinct())
+        if recall_estimate(tally, p, threshold) >= recall:
+            break
+        rows = stored(classes.select("id", "sig").join(grouped.withColumnRenamed("node", "id"), "id", "left").withColumn("label", F.coalesce("label", "id")), "forest")
+    return grouped, p
+
+
 def common_counts(sets: list[np.ndarray]) -> np.ndarray:
     """Sizes of all pairwise intersections."""
     n = len(sets)
@@ -181,16 +227,7 @@ def ngram_join(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text
     classes = signed.groupBy("key").agg(F.min(F.struct("id", "sig")).alias("least"), F.count(F.lit(1)).alias("copies"))
     classes = stored(classes.select("key", "least.id", "least.sig", "copies"), "classes")
 
-    p = prefix_length(threshold, recall)
-    prefixes = F.array(*[F.xxhash64(F.lit(t), F.substring("sig", t * DEPTH * 2 + 1, p * 2)) for t in range(TREES)])
-    nodes = classes.select("id", F.explode(prefixes).alias("node"))
-    shared = nodes.groupBy("node").agg(F.count(F.lit(1)).alias("members")).where(F.col("members") > 1)
-    inside = nodes.join(shared, "node").join(classes.select("id", "sig"), "id")
-    inside = _deal(inside, "node", "members", 2 * block)
-    inside = inside.repartition("node", "i", "j").sortWithinPartitions("node", "i", "j", "id")
-    spread = (threshold * (1 - threshold) / _N) ** 0.5
-    edges = inside.select("node", "i", "j", "own", "id", "sig").mapInPandas(trimmed(_alike(int(_N * (threshold - 9 * spread)))), "a long, b long")
-    grouped = components(edges.distinct())
+    grouped, _ = forest_groups(classes, threshold, recall, block)
 
     sizes = grouped.groupBy("label").agg(F.count(F.lit(1)).alias("members"))
     member = grouped.join(sizes, "label").join(classes.select(F.col("id").alias("node"), "copies", "key"), "node").withColumnRenamed("node", "id")
