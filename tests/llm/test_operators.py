@@ -5,8 +5,10 @@ import hashlib
 import io
 import itertools
 import math
+import os
 import random
 import re
+import textwrap
 import zipfile
 import zlib
 from collections import Counter
@@ -446,6 +448,59 @@ def test_licenses(spark):
     assert got == {1: (None, ""), 2: ("MIT", "MIT"), 3: (None, ""), 4: (None, "CC-BY-NC-4.0,MIT"), 5: ("MIT", ""), 6: ("MIT", "MIT")}
 
 
+def _wrapped(text, mark="", width=70):
+    return "\n".join(mark + line for part in text.split("\n") for line in textwrap.wrap(part, width))
+
+
+def test_license_files_as_they_are_found(spark):
+    """Titles, owners, wrapped lines, comment marks, curly quotes, other list marks, and licenses at the head of a file."""
+    known = {}
+    for name, text in licenses.KNOWN:
+        if len(text) > 500:
+            known.setdefault(name, text)
+    curly = lambda t: re.sub(r"'([^']*)'", "‘\\1’", re.sub(r'"([^"]*)"', "“\\1”", t))
+    rows, want = [], {}
+    for name, text in known.items():
+        body = text.replace("copyright holder", "Acme Corp").replace("COPYRIGHT HOLDERS", "ACME CORP") if name == "BSD-3-Clause" else text
+        forms = [
+            f"The {name.split('-')[0]} License\n\nCopyright (c) 2019-2024, Jane Doe <jane@x.org>\nAll rights reserved.\n\n{_wrapped(body)}\n" if name in ("MIT", "ISC") else f"Copyright 2020 Someone\n\n{_wrapped(body)}",
+            "/*\n" + _wrapped("Copyright (c) 2001 X\n" + body, " * ") + "\n */", _wrapped(body, "# "), curly(body), re.sub(r"\n[0-9]\.", "\n  *", body),
+            f"# Tool\n\nSome words first.\n\n{_wrapped(body)}\n\nimport os\n\nprint(1)\n",
+        ]
+        for i, f in enumerate(forms):
+            rows.append((len(rows), f))
+            want[rows[-1][0]] = (name, i)
+    got = {r.doc_id: r for r in licenses.scan_licenses(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    for k, (name, form) in want.items():
+        assert name in got[k].blocks.split(",") if form == 5 else got[k].license == name, (name, form, got[k])
+    plain = spark.createDataFrame([(1, "A permission slip.\n\nNo warranty here.\n\nLicense to drive."), (2, None), (3, "")], "doc_id long, text string")
+    assert {(r.license, r.notices, r.blocks) for r in licenses.scan_licenses(plain).collect()} == {(None, "", "")}
+
+
+@pytest.mark.skipif(not os.path.isdir("/usr/share/common-licenses"), reason="needs a system's license texts")
+def test_digests_of_long_texts(spark):
+    names = {"Apache-2.0": "Apache-2.0", "GPL-2": "GPL-2.0", "GPL-3": "GPL-3.0", "LGPL-2.1": "LGPL-2.1", "LGPL-3": "LGPL-3.0", "MPL-2.0": "MPL-2.0", "CC0-1.0": "CC0-1.0", "BSD": "BSD-3-Clause"}
+    rows = []
+    for f in names:
+        text = open(f"/usr/share/common-licenses/{f}", encoding="utf-8").read()
+        rows += [(f, text), (f, text.upper().replace("  ", "\t").replace('"', "”") if f != "BSD" else text)]
+    got = licenses.scan_licenses(spark.createDataFrame(rows, "doc_id string, text string")).collect()
+    assert all(r.license == names[r.doc_id] for r in got) and len(got) == len(rows)
+
+
+def test_licenses_twin_on_planted_rows(spark, tmp_path):
+    mit, bsd = (next(t for n, t in licenses.KNOWN if n == name) for name in ("MIT", "BSD-3-Clause"))
+    rows = [(1, mit), (2, "Head.\n\n" + _wrapped(bsd, "// ") + "\n\nTail."), (2, "MIT License\n\n" + _wrapped(mit)), (None, "Released under the MIT Licence.\n\n" + mit), (4, None), (5, "a) Permission\n\nb) none")]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    import duckdb
+
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
+    want = sorted(map(str, con.sql(licenses.licenses_sql()).fetchall()))
+    got = licenses.scan_licenses(spark.read.parquet(f"{tmp_path}/documents.parquet")).collect()
+    assert sorted(str(tuple(r)) for r in got) == want and sum(r.license is not None for r in got) == 2 and sum(r.blocks != "" for r in got) == 3
+
+
 # ---- mixing
 
 
