@@ -739,3 +739,55 @@ def test_long_tokens_stay_apart():
     a, b = ("z" * 500 + x for x in "ab")
     assert toxicity.plain(a) != toxicity.plain(b) and len(toxicity.plain(a)) == toxicity.LONGEST
     assert toxicity.plain("(Word!)") == "word"
+
+
+def test_training_pieces_cover_the_texts():
+    """Cut texts lose no token, their pieces go on behind the last code, and scoring never cuts."""
+    rng = np.random.default_rng(2)
+    texts = [rng.integers(1, 9, n) for n in (5, 70, 1, 23)]
+    grid = gru.Grid(texts, 3, piece=10)
+    inside = np.arange(len(grid.code))[:, None] < grid.length[None, :]
+    flat = np.concatenate(texts)
+    assert sorted(grid.place[inside].tolist()) == list(range(len(flat))) and (flat[grid.place[inside]] == grid.code[inside]).all()
+    first = {0, 5, 75, 76}
+    last = {int(p): int(c) for p, c in zip(grid.place[inside], grid.last[inside], strict=True)}
+    assert all(last[p] == (0 if p in first else flat[p - 1]) for p in range(len(flat)))
+    assert grid.length.max() < 50 and gru.Grid(texts, 3).length.max() == 70
+
+
+def test_language_model_score_end_to_end(spark):
+    """Scores equal those of a straight loop over the words of each text, with the parameters that the engine has trained."""
+    rng = random.Random(5)
+    words = [f"w{i}" for i in range(60)]
+    rows = [(i, " ".join(rng.choices(words, weights=range(1, 61), k=rng.randrange(0, 40))) + (" once%d" % i if i % 3 == 0 else "")) for i in range(400)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    held = []
+    keep = language_model._score
+    try:
+        language_model._score = lambda sent: held.append(sent.value) or keep(sent)
+        got = {r.doc_id: r.score for r in language_model.score_documents(docs, held=20).collect()}
+    finally:
+        language_model._score = keep
+    v, p = held[0]
+    count = Counter(w for i, t in rows if zlib.crc32(str(i).encode()) % 10 for w in language_model.tokens(t))
+    place = {w: i for i, (w, _) in enumerate(v.head)}
+    sig = lambda x: 1 / (1 + np.exp(-x))
+    for i, t in rows[:60]:
+        total, last, h, n = 0.0, 0, np.zeros(gru.HIDDEN), gru.HIDDEN
+        for w in language_model.tokens(t):
+            g, x = h @ p["recurrent"], p["inputs"][last]
+            z, r = sig(g[:n] + x[:n]), sig(g[n : 2 * n] + x[n : 2 * n])
+            cand = np.tanh(x[2 * n :] + r * g[2 * n :])
+            h = cand + z * (h - cand)
+            logit = h @ p["class_w"] + p["class_b"]
+            cls = place[w] // gru.IN_CLASS if w in place else v.head_classes + v.tail_class(w)
+            total += logit[cls] - np.log(np.exp(logit).sum())
+            if w in place:
+                inner = h @ p["word_w"][cls] + p["word_b"][cls]
+                total += inner[place[w] % gru.IN_CLASS] - np.log(np.exp(inner).sum())
+                last = 1 + place[w]
+            else:
+                k = v.tail_class(w)
+                total += math.log(10) * (math.log10((count[w] - v.discount) / v.tail_mass[k]) if count[w] else v.unseen[k])
+                last = 1 + len(v.head) + k
+        assert got[i] == pytest.approx(total / math.log(10), rel=1e-4, abs=1e-3)
