@@ -108,15 +108,18 @@ def test_written_out_and_array_nearest_agree(table):
     assert [a[i][0] for i in range(300)] == d2.argmin(1).tolist()
 
 
-def test_sampling_matches_direct_inverse_cdf(table):
+@pytest.mark.parametrize("leaf,levels", [(1 << 16, (0, 0)), (300, (2, 2)), (20, (2, 6))])
+def test_sampling_matches_direct_inverse_cdf(table, monkeypatch, leaf, levels):
     _, ds, *_ = table
-    quanta = sampling.quantize(scores.score_table(ds, scores.regression_scores))
-    totals = sampling.bucket_totals(quanta, 16)
-    got = {(r.replicate, r.draw_no): (r.party, r.id) for r in sampling.draw_rows(quanta, sampling.make_thresholds(totals, 60, "s", [0, 1]), 16).collect()}
+    monkeypatch.setattr(sampling, "FIRST", 2)
+    monkeypatch.setattr(sampling, "NEXT", 2)
+    quanta = sampling.store_quanta(scores.score_table(ds, scores.regression_scores), leaf=leaf)
+    assert (quanta.first, quanta.last) == levels
+    got = {(r.replicate, r.draw_no): (r.party, r.id) for r in sampling.draw_rows(quanta, sampling.make_thresholds(quanta.totals, 60, "s", [0, 1])).collect()}
     rows = {}
-    for r in quanta.collect():
-        bucket = int(__import__("hashlib").md5(str(r.id).encode()).hexdigest()[:8], 16) % 16
-        rows.setdefault(r.party, []).append((bucket, r.id, r.q))
+    for r in quanta.df.collect():
+        assert r.place == int(__import__("hashlib").md5(str(r.id).encode()).hexdigest()[:13], 16)
+        rows.setdefault(r.party, []).append((r.place, r.id, r.q))
     for rep in (0, 1):
         for i in range(60):
             t, party = (u52_py("s", "party", rep, i) * sum(sum(q for *_, q in v) for v in rows.values())) >> 52, 0
@@ -274,7 +277,7 @@ def test_guards(table, spark):
     with pytest.raises(ValueError):
         sampling.two_level_sample(scores.score_table(ds, scores.regression_scores), 0)
     with pytest.raises(Exception, match="score"):
-        sampling.bucket_totals(sampling.quantize(spark.createDataFrame([(1, 0, -1.0)], "id long, party int, score double")), 4)
+        sampling.store_quanta(spark.createDataFrame([(1, 0, -1.0)], "id long, party int, score double"))
     with pytest.raises(ValueError):
         VerticalDataset((PartySpec("a", df, ("a",), "y"), PartySpec("b", df, ("b",))))
     with pytest.raises(ValueError):
@@ -341,3 +344,69 @@ def test_capped_solver_takes_all_rows(spark):
     n = spark.read.parquet(f"{d}/documents.parquet").count()
     r = QUERIES["saga_full_capped"](spark, d).collect()[0]
     assert n > 5_000 and r.steps == 3 * n and not r.converged
+
+
+def test_draws_meet_no_row_one_by_one(spark):
+    """Work of a sample grows with rows plus draws: no operator makes more rows than that, and buckets without a draw are not read."""
+    rows = spark.range(20_000).select("id", F.lit(0).alias("party"), (F.rand(3) + 0.01).alias("score"))
+    quanta = sampling.store_quanta(rows, leaf=500)
+    assert quanta.first == 6
+    thresholds = sampling.make_thresholds(quanta.totals, 3, "few", [0])
+    buckets = {t[3] for t in thresholds}
+    part = quanta.of_buckets(buckets)
+    assert "PartitionFilters: [bucket" in part._jdf.queryExecution().sparkPlan().toString() and len(buckets) < 4
+    assert part.count() < 0.15 * 20_000
+    many = sampling.make_thresholds(quanta.totals, 4_000, "many", [0])
+    drawn = sampling._merge(quanta.df.withColumn("range", sampling.range_of(6)).select("party", "range", "q", "place", "id", "bucket"),
+                            spark.createDataFrame([(r, n, p, b, t) for r, n, p, b, t in many], "replicate int, draw_no int, party int, range long, t long"), ["place", "id"])
+    plan = drawn._jdf.queryExecution().executedPlan().toString()
+    assert "Join" not in plan and drawn.count() == 4_000
+
+
+def test_seeding_race_follows_distances(spark):
+    """Over many seeds the second centre falls on a point by its weighted squared distance from the first."""
+    df = spark.createDataFrame([(0, 0.0, 1.0), (1, 1.0, 1.0), (2, 2.0, 1.0), (3, 3.0, 2.0)], "id long, a double, w double")
+    p = PartySpec("p", df, ("a",), weight="w")
+    drawn = kmeans.d2_seeds(p, 2, [f"s{i}" for i in range(150)]) + kmeans.d2_seeds(p, 2, [f"t{i}" for i in range(150)])
+    second = [c[1, 0] for c in drawn if c[0, 0] == 0.0]
+    first = [c[0, 0] for c in drawn]
+    assert abs(first.count(3.0) / 300 - 0.4) < 0.1
+    assert len(second) > 30 and abs(second.count(3.0) / len(second) - 18 / 23) < 0.2
+    all_same = PartySpec("q", df.withColumn("a", F.lit(1.0)), ("a",))
+    assert kmeans.d2_centers(all_same, 3).tolist() == [[1.0]] * 3
+
+
+def test_weighted_scalable_seeds(spark):
+    """Rows of weight 3 count as three rows: centres and scores of the weighted block are those of the repeated one."""
+    rng = np.random.default_rng(4)
+    x, w = rng.standard_normal((200, 2)), 1.0 + np.arange(200) % 3
+    rows = [(i, *map(float, r), float(v)) for i, (r, v) in enumerate(zip(x, w, strict=True))]
+    p = PartySpec("p", spark.createDataFrame(rows, "id long, a double, b double, w double"), ("a", "b"), weight="w")
+    centers = kmeans.scalable_centers(p, 4)
+    cost = lambda c: float((w * ((x[:, None] - c[None]) ** 2).sum(2).min(1)).sum())
+    best = min(cost(kmeans.fit_weighted(x, w, 4, seed=s)) for s in range(5))
+    assert cost(kmeans.lloyd(p, centers, 5)) < 1.3 * best
+    heavy = PartySpec("h", spark.createDataFrame([(i, float(i), 0.0, 1e-9 if i < 100 else 1.0) for i in range(104)], "id long, a double, b double, w double"), ("a", "b"), weight="w")
+    assert {round(v) for v in kmeans.scalable_centers(heavy, 4)[:, 0]} >= {100, 101, 102, 103} - {100} or min(kmeans.scalable_centers(heavy, 4)[:, 0]) > 50
+
+
+def test_grid_clustered_as_a_table(table):
+    _, ds, x, _ = table
+    ds = ds.map(lambda p: PartySpec(p.name, p.df, p.features))
+    near = lambda c: float(((x[:, None] - c[None]) ** 2).sum(2).min(1).sum())
+    assert near(dimdist.fit(ds, 4, local=0)) < 1.4 * near(dimdist.fit(ds, 4))
+
+
+def test_saga_forms_agree(table):
+    df, ds, x, y = table
+    x2, y2 = x.copy(), x @ [1, -2, 0.5, 0, 3]
+    x2[7] /= 20
+    exact = np.linalg.solve(x2.T @ x2 + 30 * np.eye(5), x2.T @ (x2 @ [1, -2, 0.5, 0, 3]))
+    rows = [(i, *map(float, r), float(r @ [1, -2, 0.5, 0, 3])) for i, r in enumerate(x2)]
+    whole = df.sparkSession.createDataFrame(rows, "id long, a double, b double, c double, d double, e double, y double")
+    found = saga.saga_blocks(whole, ["a", "b", "c", "d", "e"], "y", 30.0, blocks=16, passes=400, tol=1e-8)
+    assert found.converged and np.allclose(found.theta, exact, atol=1e-4) and found.steps % 300 == 0
+    y2 = x2 @ [1, -2, 0.5, 0, 3]
+    many = saga.saga_many(np.stack([x2, x2]), np.stack([y2, 2 * y2]), np.ones((2, 300)), 30.0, tol=1e-6)
+    one = saga.saga(x2, y2, np.ones(300), 30.0, tol=1e-6)
+    assert np.allclose(many[0].theta, one.theta, atol=1e-9) and np.allclose(many[1].theta, 2 * exact, atol=1e-3) and many[0].steps == one.steps

@@ -34,10 +34,15 @@ def u52_sql(*parts: str) -> str:
     return f"CAST('0x' || substr(md5(concat_ws(':', {', '.join(parts)})), 1, 13) AS BIGINT)"
 
 
-def bucket_of(key: Column, buckets: int) -> Column:
-    """Hash bucket of a key; the same at any number of partitions."""
-    return F.pmod(F.conv(F.substring(F.md5(key.cast("string")), 1, 8), 16, 10).cast("long"), F.lit(buckets)).cast("int")
+def place_of(key: Column) -> Column:
+    """Place of a key in [0, 2**52): a hash that orders rows; the same at any number of partitions."""
+    return _hex_int(key.cast("string"), 13)
+
 
+def place_sql(key: str) -> str:
+    return f"CAST('0x' || substr(md5(CAST({key} AS VARCHAR)), 1, 13) AS BIGINT)"
 
-def bucket_sql(key: str, buckets: int) -> str:
-    return f"CAST(CAST('0x' || substr(md5(CAST({key} AS VARCHAR)), 1, 8) AS BIGINT) % {buckets} AS INTEGER)"
+
+def bucket_of(key: Column, buckets: int) -> Column:
+    """Hash bucket of a key; the same at any number of partitions."""
+    return F.pmod(_hex_int(key.cast("string"), 8), F.lit(buckets)).cast("int")

@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from collections.abc import Sequence
 
-from vpcoreset.functions.rng import bucket_sql, u52_sql
+from vpcoreset.functions.rng import place_sql, u52_sql
 from vpcoreset.sources.fixtures import FIXTURES, wide_sql
 
 
@@ -74,7 +74,7 @@ class Chain:
             parts.append(f"SELECT id, {j} AS party, {alpha} * (d2 / sum(d2) OVER () + sum(d2) OVER (PARTITION BY cell) / count(*) OVER (PARTITION BY cell) / sum(d2) OVER () + 2.0 / count(*) OVER (PARTITION BY cell)) AS score, cell FROM {a}")
         return self.add("scores", " UNION ALL ".join(parts))
 
-    def draws(self, scores: str, m: int, seed: str, replicates: int = 1, buckets: int = 64, p: int = 40, name: str = "") -> str:
+    def draws(self, scores: str, m: int, seed: str, replicates: int = 1, p: int = 40, name: str = "") -> str:
         """(replicate, draw_no, party, id, t) of the integer sampler."""
         q, tot, par, thr, cdf = (f"{name}{x}" for x in ("q", "tot", "par", "thr", "cdf"))
         self.add(q, f"SELECT id, party, greatest(1, CAST(round(score * {1 << p}::DOUBLE) AS BIGINT)) AS q FROM {scores}")
@@ -83,7 +83,7 @@ class Chain:
         side = f"(CAST({u52_sql(repr(seed), repr('party'), 'replicate', 'draw_no')} AS HUGEINT) * grand) // 4503599627370496"
         self.add(par, f"SELECT replicate, draw_no, party, qp FROM {name}num, {tot} WHERE {side} >= upto - qp AND {side} < upto")
         self.add(thr, f"SELECT replicate, draw_no, party, (CAST({u52_sql(repr(seed), repr('row'), 'replicate', 'draw_no')} AS HUGEINT) * qp) // 4503599627370496 AS t FROM {par}")
-        self.add(cdf, f"SELECT id, party, q, sum(CAST(q AS HUGEINT)) OVER (PARTITION BY party ORDER BY {bucket_sql('id', buckets)}, id) AS hi FROM {q}")
+        self.add(cdf, f"SELECT id, party, q, sum(CAST(q AS HUGEINT)) OVER (PARTITION BY party ORDER BY {place_sql('id')}, id) AS hi FROM {q}")
         return self.add(f"{name}draws", f"SELECT d.replicate, d.draw_no, d.party, c.id, d.t FROM {thr} d JOIN {cdf} c ON c.party = d.party AND d.t >= c.hi - c.q AND d.t < c.hi")
 
     def coreset(self, draws: str, m: int, name: str = "") -> str:

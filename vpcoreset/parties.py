@@ -113,15 +113,19 @@ def dataset(spark: SparkSession, sf_dir: str, name: str, *, standard: bool = Fal
     return standardize(ds) if standard else ds
 
 
-def standardize(ds: VerticalDataset) -> VerticalDataset:
-    """Each party scales its own columns to mean 0 and deviation 1 (population); constant columns become 0."""
+def standardize(ds: VerticalDataset, fit: VerticalDataset | None = None) -> VerticalDataset:
+    """Each party scales its own columns to mean 0 and deviation 1 (population) of ``fit``, or of itself; constant columns become 0.
 
-    def scale(p: PartySpec) -> PartySpec:
-        stats = p.block().agg(*[f(c).alias(f"{k}_{i}") for i, c in enumerate(p.columns) for k, f in (("m", F.avg), ("s", F.stddev_pop))]).collect()[0]
-        kept = p.df.select("id", *([p.weight] if p.weight else []), *[standard_score(F.col(c).cast("double"), stats[f"m_{i}"], stats[f"s_{i}"]).alias(c) for i, c in enumerate(p.columns)])
+    Without ``fit`` the block is stored first: its columns are derived once for the statistics and for all that follows.
+    """
+
+    def scale(p: PartySpec, q: PartySpec) -> PartySpec:
+        stats = q.block().agg(*[f(c).alias(f"{k}_{i}") for i, c in enumerate(q.columns) for k, f in (("m", F.avg), ("s", F.stddev_pop))]).collect()[0]
+        kept = p.block().select("id", *([p.weight] if p.weight else []), *[standard_score(F.col(c), stats[f"m_{i}"], stats[f"s_{i}"]).alias(c) for i, c in enumerate(p.columns)])
         return replace(p, df=kept)
 
-    return ds.map(scale)
+    ds = ds if fit else ds.map(pin)
+    return VerticalDataset(tuple(scale(p, q) for p, q in zip(ds.parties, (fit or ds).parties, strict=True)))
 
 
 def standard_score(x: Column, mean: float | None, deviation: float | None) -> Column:

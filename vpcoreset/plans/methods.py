@@ -246,21 +246,20 @@ def _reg_table(spark: SparkSession, d: str, fixture: str = "docs") -> DataFrame:
 
 @query("dis_party_totals", _reg_chain("docs").select("SELECT party, round(qp / 1099511627776.0, 6) AS party_total FROM tot"))
 def dis_party_totals(spark: SparkSession, d: str) -> DataFrame:
-    totals = sampling.bucket_totals(sampling.quantize(_reg_table(spark, d)), 64)
-    return spark.createDataFrame([(j, round(sum(b) / (1 << 40), 6)) for j, b in totals.items()], "party int, party_total double")
+    totals = sampling.store_quanta(_reg_table(spark, d)).party_totals
+    return spark.createDataFrame([(j, round(t / (1 << 40), 6)) for j, t in totals.items()], "party int, party_total double")
 
 
 @query("dis_allocation", _reg_chain("docs").select("SELECT party, count(*) AS draws FROM par GROUP BY 1"))
 def dis_allocation(spark: SparkSession, d: str) -> DataFrame:
-    totals = sampling.bucket_totals(sampling.quantize(_reg_table(spark, d)), 64)
-    drawn = sampling.allocate_draws({j: sum(b) for j, b in totals.items()}, M, "sample")
+    drawn = sampling.allocate_draws(sampling.store_quanta(_reg_table(spark, d)).party_totals, M, "sample")
     return spark.createDataFrame([(j,) for j in drawn], "party int").groupBy("party").agg(F.count(F.lit(1)).alias("draws"))
 
 
 @query("dis_draws", _reg_chain("docs").select("SELECT replicate, draw_no, party, id FROM draws"))
 def dis_draws(spark: SparkSession, d: str) -> DataFrame:
-    quanta = sampling.quantize(_reg_table(spark, d))
-    return sampling.draw_rows(quanta, sampling.make_thresholds(sampling.bucket_totals(quanta, 64), M, "sample", [0]), 64)
+    quanta = sampling.store_quanta(_reg_table(spark, d))
+    return sampling.draw_rows(quanta, sampling.make_thresholds(quanta.totals, M, "sample", [0])).drop("bucket")
 
 
 @query("dis_weights", _reg_chain("docs").select(f"SELECT d.draw_no, d.party, d.id, round(c.weight / c.draws, 3) AS weight FROM draws d JOIN coreset c USING (replicate, id)"))
@@ -771,7 +770,7 @@ def secure_sum_equals_plain(spark: SparkSession, d: str) -> DataFrame:
 def malicious_party_share(spark: SparkSession, d: str) -> DataFrame:
     """A party that inflates its total draws the sample to itself."""
     table = _reg_table(spark, d)
-    share = lambda t: sum(1 for j in sampling.allocate_draws({j: sum(b) for j, b in sampling.bucket_totals(sampling.quantize(t), 64).items()}, 1000, "lie") if j == 1) / 1000
+    share = lambda t: sum(1 for j in sampling.allocate_draws(sampling.store_quanta(t).party_totals, 1000, "lie") if j == 1) / 1000
     honest, some, much = share(table), share(privacy.inflate_party(table, 1, 3)), share(privacy.inflate_party(table, 1, 500))
     return spark.createDataFrame([(honest < some < much, much > 0.99)], "drifts boolean, nearly_all boolean")
 

@@ -1,9 +1,14 @@
 """Three-round importance sampling over local scores, with exact integer arithmetic and no global sort.
 
-Scores are rounded to quanta of 2**-p. Each draw picks a party by its total and a row by its quanta: a threshold below
-the party's total falls into a hash bucket (prefix sums of a B-row table, on the driver) and inside it to a row
-(a running sum of that bucket alone). Only buckets that a draw hits are read again. Random numbers count draws
-(``u52``), so retries, partitions and file layout never change a sample.
+Scores are rounded to quanta of 2**-p, which are written once, with a place: 52 bits of a hash of the id. Each draw picks a
+party by its total and a row by its quanta, along the rows in the order of (place, id), so a sample depends on the
+seed and the scores alone, not on the number of buckets, on retries, partitions or files.
+
+The order is never built as a whole. Buckets are ranges of places, and a draw goes down through them: prefix sums of the first
+level (at most 2**FIRST numbers a party) on the server, then sums of sub-ranges of the buckets that a draw has hit, until a range
+holds about LEAF rows, and there the rows. On every level below the first, thresholds are merged with running sums by one window
+over (party, range), so a draw costs its place in a sorted range and never meets the other rows one by one. The
+quanta are clustered by bucket in directories: buckets without a draw are not read.
 """
 
 from __future__ import annotations
@@ -12,16 +17,21 @@ import bisect
 from collections.abc import Sequence
 from dataclasses import dataclass, field
 from itertools import accumulate
+from math import ceil, log2
 
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from vpcoreset.functions.rng import BITS, bucket_of, u52_py
+from vpcoreset.functions.rng import BITS, place_of, u52_py
 from vpcoreset.ledger import CommLedger, construction
 from vpcoreset.parties import VerticalDataset
+from vpcoreset.sources.io import materialize, shared_path
 
 QUANTA = 40
+#: Rows of a range in which rows are looked up, and bits that the first and each further level of ranges adds.
+LEAF, FIRST, NEXT = 1 << 16, 14, 12
 #: Ids of a sample are broadcast up to this number; beyond, they are joined by shuffle.
 BROADCAST_IDS = 1_000_000
 
@@ -43,20 +53,59 @@ class Coreset:
 
 
 def quantize(scores: DataFrame, p: int = QUANTA) -> DataFrame:
-    """(id, party, q): scores in quanta, at least one. Negative or odd scores are refused."""
+    """(id, party, place, q): scores in quanta, at least one. Negative or odd scores are refused."""
     s = F.col("score")
     bad = s.isNull() | F.isnan(s) | (s < 0)
     q = F.when(bad, F.raise_error(F.lit("a score is null, not a number or negative")).cast("long")).otherwise(F.greatest(F.lit(1), F.round(s * F.lit(float(1 << p))).cast("long")))
-    return scores.select("id", "party", q.alias("q"))
+    return scores.select("id", "party", place_of(F.col("id")).alias("place"), q.alias("q"))
 
 
-def bucket_totals(quanta: DataFrame, buckets: int) -> dict[int, list[int]]:
-    """Round 1, up: quanta of each party by bucket; parties times buckets numbers reach the server."""
-    sums = quanta.groupBy("party", bucket_of(F.col("id"), buckets).alias("bucket")).agg(F.sum(F.col("q").cast("decimal(38,0)")).alias("q")).collect()
-    out: dict[int, list[int]] = {}
+def range_of(bits: int):
+    """Number of the range that a place falls into, ranges being cut by its first bits."""
+    return F.shiftright("place", BITS - bits)
+
+
+@dataclass(frozen=True)
+class Quanta:
+    """Stored quanta. df: id, party, place, q, bucket; totals: party -> sums by bucket; bits: of the first level, and of the last."""
+
+    df: DataFrame
+    totals: dict[int, list[int]]
+    first: int
+    last: int
+
+    @property
+    def party_totals(self) -> dict[int, int]:
+        return {j: sum(b) for j, b in self.totals.items()}
+
+    @property
+    def grand(self) -> int:
+        return sum(self.party_totals.values())
+
+    def of_buckets(self, buckets: set[int]) -> DataFrame:
+        """The rows of some buckets; the others' directories are not read."""
+        return self.df if len(buckets) >= 1 << self.first else self.df.where(F.col("bucket").isin(sorted(buckets)))
+
+
+def store_quanta(scores: DataFrame, p: int = QUANTA, leaf: int = LEAF) -> Quanta:
+    """Writes the quanta once, clustered by bucket, and takes round 1's sums: parties times buckets numbers reach the server."""
+    df = materialize(quantize(scores, p), "quanta")
+    last = max(0, ceil(log2(max(df.count(), 1) / leaf)))
+    first = min(last, FIRST)
+    df = df.withColumn("bucket", range_of(first).cast("int"))
+    if first:
+        path = shared_path(df.sparkSession, "quanta-by-bucket")
+        df.repartition("bucket").sortWithinPartitions("bucket", "party", "place").write.partitionBy("bucket").parquet(path)
+        df = df.sparkSession.read.schema(df.schema).parquet(path)
+    # Two halves of a sum of longs, so that no sum overflows.
+    low = F.col("q").bitwiseAND((1 << 31) - 1)
+    sums = df.groupBy("party", "bucket").agg(F.sum(F.shiftright("q", 31)).alias("high"), F.sum(low).alias("low")).collect()
+    totals: dict[int, list[int]] = {}
     for r in sums:
-        out.setdefault(r["party"], [0] * buckets)[r["bucket"]] = int(r["q"])
-    return dict(sorted(out.items()))
+        totals.setdefault(r["party"], [0] * (1 << first))[r["bucket"]] = (r["high"] << 31) + r["low"]
+    if any(sum(b) >= 1 << 62 for b in totals.values()):
+        raise ValueError("scores add up to more than the quanta can count; take fewer bits p")
+    return Quanta(df, dict(sorted(totals.items())), first, last)
 
 
 def allocate_draws(totals: dict[int, int], m: int, seed: str, replicate: int = 0) -> list[int]:
@@ -79,23 +128,49 @@ def make_thresholds(totals: dict[int, list[int]], m: int, seed: str, replicates:
     return out
 
 
-def draw_rows(quanta: DataFrame, thresholds: list[tuple[int, int, int, int, int]], buckets: int) -> DataFrame:
-    """Round 2: (replicate, draw_no, party, id). Buckets that no draw hits are filtered before the shuffle."""
-    spark = quanta.sparkSession
-    wanted = spark.createDataFrame(thresholds, "replicate int, draw_no int, party int, bucket int, t long")
-    hit = F.broadcast(wanted.select("party", "bucket").distinct()) if len(thresholds) <= BROADCAST_IDS else wanted.select("party", "bucket").distinct()
-    rows = quanta.withColumn("bucket", bucket_of(F.col("id"), buckets)).join(hit, ["party", "bucket"], "left_semi")
-    run = F.sum("q").over(W.partitionBy("party", "bucket").orderBy("id").rowsBetween(W.unboundedPreceding, 0))
-    cdf = rows.withColumn("hi", run).withColumn("lo", F.col("hi") - F.col("q"))
-    inside = (F.col("t") >= F.col("lo")) & (F.col("t") < F.col("hi"))
-    return cdf.join(wanted, ["party", "bucket"]).where(inside).select("replicate", "draw_no", "party", "id")
-
-
-def gather_scores(draws: DataFrame, quanta: DataFrame, m: int) -> DataFrame:
-    """Round 3, up: (id, q) with the quanta of all parties added."""
+def _merge(items: DataFrame, draws: DataFrame, order: Sequence[str]) -> DataFrame:
+    """Each draw with the first item, in order inside its (party, range), whose running sum passes its threshold t.
+
+    items: party, range, q and other columns; draws: replicate, draw_no, party, range, t. Draws and running sums are laid
+    side by side, in falling order, and a draw takes the item last seen: no pair of a draw and an item is formed.
+    """
+    run = F.sum("q").over(W.partitionBy("party", "range").orderBy(*order).rowsBetween(W.unboundedPreceding, 0))
+    item = F.struct(*[c for c in items.columns if c not in ("party", "range")], run.alias("upto"))
+    at = items.select("party", "range", item.alias("item")).select("party", "range", F.col("item.upto").alias("at"), F.lit(0).alias("kind"), "item", F.lit(None).cast("int").alias("replicate"), F.lit(None).cast("int").alias("draw_no"))
+    asked = draws.select("party", "range", F.col("t").alias("at"), F.lit(1).alias("kind"), F.lit(None).cast(at.schema["item"].dataType).alias("item"), "replicate", "draw_no")
+    seen = F.last("item", ignorenulls=True).over(W.partitionBy("party", "range").orderBy(F.desc("at"), F.desc("kind")).rowsBetween(W.unboundedPreceding, 0))
+    return at.unionByName(asked).withColumn("item", seen).where("kind = 1").drop("kind")
+
+
+def draw_rows(quanta: Quanta, thresholds: list[tuple[int, int, int, int, int]]) -> DataFrame:
+    """Round 2: (replicate, draw_no, party, id, bucket)."""
+    spark = quanta.df.sparkSession
+    columns = list(zip(*thresholds, strict=True)) if thresholds else [[]] * 5
+    draws = spark.createDataFrame(pa.table({
+        n: pa.array(c, t) for n, c, t in zip(("replicate", "draw_no", "party", "range", "t"), columns, (pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.int64()), strict=True)}))
+    rows = quanta.of_buckets({t[3] for t in thresholds})
+    bits = quanta.first
+    few = len(thresholds) <= BROADCAST_IDS
+
+    def hit() -> DataFrame:
+        ranges = draws.select("party", "range").distinct()
+        return rows.withColumn("range", range_of(bits)).join(F.broadcast(ranges) if few else ranges, ["party", "range"], "left_semi")
+
+    while bits < quanta.last:
+        deeper = min(bits + NEXT, quanta.last)
+        sums = hit().groupBy("party", "range", range_of(deeper).alias("sub")).agg(F.sum("q").alias("q"))
+        found = _merge(sums, draws, ["sub"])
+        draws = materialize(found.select("replicate", "draw_no", "party", F.col("item.sub").alias("range"), (F.col("at") - F.col("item.upto") + F.col("item.q")).alias("t")), "draws")
+        bits = deeper
+    found = _merge(hit().select("party", "range", "q", "place", "id", "bucket"), draws, ["place", "id"])
+    return materialize(found.select("replicate", "draw_no", "party", F.col("item.id").alias("id"), F.col("item.bucket").alias("bucket")), "draws")
+
+
+def gather_scores(draws: DataFrame, quanta: Quanta, thresholds: list[tuple[int, int, int, int, int]]) -> DataFrame:
+    """Round 3, up: (id, q) with the quanta of all parties added; a row's quanta of all parties lie in one bucket."""
     ids = draws.select("id").distinct()
-    ids = F.broadcast(ids) if m <= BROADCAST_IDS else ids
-    return quanta.join(ids, "id", "left_semi").groupBy("id").agg(F.sum("q").alias("q"))
+    ids = F.broadcast(ids) if len(thresholds) <= BROADCAST_IDS else ids
+    return quanta.of_buckets({t[3] for t in thresholds}).join(ids, "id", "left_semi").groupBy("id").agg(F.sum("q").alias("q"))
 
 
 def weigh(draws: DataFrame, gathered: DataFrame, grand_total: int, m: int, collapse: bool = True) -> DataFrame:
@@ -107,33 +182,40 @@ def weigh(draws: DataFrame, gathered: DataFrame, grand_total: int, m: int, colla
     return draws.join(gathered, "id").withColumn("weight", F.col("draws") * F.lit(float(grand_total)) / (F.lit(float(m)) * F.col("q"))).drop("q")
 
 
-def two_level_sample(scores: DataFrame, m: int, seed: str = "sample", *, replicates: Sequence[int] = (0,), buckets: int = 64, p: int = QUANTA, policy: str = "strict", collapse: bool = True) -> Coreset:
-    """m draws with replacement for each replicate from (id, party, score)."""
+def two_level_sample(scores: DataFrame, m: int, seed: str = "sample", *, replicates: Sequence[int] = (0,), leaf: int = LEAF, p: int = QUANTA, policy: str = "strict", collapse: bool = True, masked: bool = False) -> Coreset:
+    """m draws with replacement for each replicate from (id, party, score).
+
+    With ``masked`` the server gets the sums of round 3 by masked addition and no party's own score.
+    """
     if m < 1:
         raise ValueError("m must be positive")
-    quanta = quantize(scores, p)
-    totals = bucket_totals(quanta, buckets)
-    if not totals:
+    quanta = store_quanta(scores, p, leaf)
+    if not quanta.totals:
         raise ValueError("no rows to draw from")
-    thresholds = make_thresholds(totals, m, seed, replicates)
-    draws = draw_rows(quanta, thresholds, buckets)
-    grand = sum(map(sum, totals.values()))
-    counts = [sum(1 for t in thresholds if t[2] == j and t[0] == replicates[0]) for j in totals]
-    weighted = weigh(draws, gather_scores(draws, quanta, m * len(replicates)), grand, m, collapse)
+    thresholds = make_thresholds(quanta.totals, m, seed, replicates)
+    draws = draw_rows(quanta, thresholds)
+    counts = [sum(1 for t in thresholds if t[2] == j and t[0] == replicates[0]) for j in quanta.totals]
+    if masked:
+        from vpcoreset.privacy import secure_sum
+
+        own = quanta.of_buckets({t[3] for t in thresholds}).join(draws.select("id").distinct(), "id", "left_semi")
+        gathered = secure_sum(own.select("id", "party", "q"), seed)
+    else:
+        gathered = gather_scores(draws, quanta, thresholds)
+    weighted = weigh(draws, gathered, quanta.grand, m, collapse)
     cols = ["replicate", "id", "draws", "weight"] if collapse else ["replicate", "draw_no", "party", "id", "draws", "weight"]
-    return Coreset(weighted.select(*cols), m, grand, construction(m, counts, "coreset", policy))
+    return Coreset(weighted.select(*cols), m, quanta.grand, construction(m, counts, "coreset", policy, masked))
 
 
-def sample_grid(scores: DataFrame, sizes: Sequence[int], replicates: int, seed: str = "grid", *, buckets: int = 64, p: int = QUANTA) -> DataFrame:
+def sample_grid(scores: DataFrame, sizes: Sequence[int], replicates: int, seed: str = "grid", *, leaf: int = LEAF, p: int = QUANTA) -> DataFrame:
     """(size, replicate, id, draws, weight) for all sizes and replicates in one pass: a sample of m is the first m draws."""
-    quanta = quantize(scores, p)
-    totals = bucket_totals(quanta, buckets)
-    thresholds = make_thresholds(totals, max(sizes), seed, range(replicates))
-    draws = draw_rows(quanta, thresholds, buckets)
-    grand = float(sum(map(sum, totals.values())))
+    quanta = store_quanta(scores, p, leaf)
+    thresholds = make_thresholds(quanta.totals, max(sizes), seed, range(replicates))
+    draws = draw_rows(quanta, thresholds)
+    grand = float(quanta.grand)
     sized = draws.withColumn("size", F.explode(F.array(*[F.lit(s) for s in sizes]))).where(F.col("draw_no") < F.col("size"))
     sized = sized.groupBy("size", "replicate", "id").agg(F.count(F.lit(1)).alias("draws"))
-    gathered = gather_scores(draws, quanta, len(thresholds))
+    gathered = gather_scores(draws, quanta, thresholds)
     return sized.join(gathered, "id").withColumn("weight", F.col("draws") * F.lit(grand) / (F.col("size") * F.col("q"))).drop("q")
 
 

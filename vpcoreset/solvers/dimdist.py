@@ -11,8 +11,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from vpcoreset.functions import vectors
-from vpcoreset.parties import VerticalDataset, pin
-from vpcoreset.solvers.kmeans import fit_weighted, local_centers
+from vpcoreset.parties import PartySpec, VerticalDataset, pin
+from vpcoreset.solvers.kmeans import fit_weighted, full_centers, local_centers
+from vpcoreset.sources.io import materialize
+
+#: Tuples of cells that the server takes; the number that occurs is at most the number of rows and k^T.
+LOCAL = 100_000
 
 
 def party_cells(ds: VerticalDataset, centers: list[np.ndarray]) -> DataFrame:
@@ -29,13 +33,25 @@ def product_grid(cells: DataFrame, parties: int, weight: str | None = None) -> D
     return cells.groupBy(*[f"cell_{j + 1}" for j in range(parties)]).agg((F.sum(weight) if weight else F.count(F.lit(1)).cast("double")).alias("w"))
 
 
-def fit(ds: VerticalDataset, k: int, *, clusterer: str = "scalable", iterations: int = 5, seed: int = 0, centers: list[np.ndarray] | None = None) -> np.ndarray:
-    """k centres over all features, from local clusterings of all rows."""
+def fit(ds: VerticalDataset, k: int, *, clusterer: str = "scalable", iterations: int = 5, seed: int = 0, centers: list[np.ndarray] | None = None, local: int = LOCAL) -> np.ndarray:
+    """k centres over all features, from local clusterings of all rows.
+
+    Up to ``local`` tuples of cells are clustered on the server; more of them stay a table and are clustered there.
+    """
     ds = ds.map(pin)
     centers = centers or [local_centers(p, k, clusterer, iterations=iterations) for p in ds.parties]
-    grid = product_grid(party_cells(ds, centers), len(centers)).orderBy(*[f"cell_{j + 1}" for j in range(len(centers))]).toPandas()
-    points = np.hstack([c[grid[f"cell_{j + 1}"].to_numpy()] for j, c in enumerate(centers)])
-    return fit_weighted(points, grid["w"].to_numpy(float), k, seed=seed)
+    names = [f"cell_{j + 1}" for j in range(len(centers))]
+    grid = materialize(product_grid(party_cells(ds, centers), len(centers)), "product-grid")
+    if grid.count() <= local:
+        rows = grid.orderBy(*names).toPandas()
+        points = np.hstack([c[rows[n].to_numpy()] for n, c in zip(names, centers, strict=True)])
+        return fit_weighted(points, rows["w"].to_numpy(float), k, seed=seed)
+    at, cols = F.lit(0).cast("long"), []
+    for n, c, p in zip(names, centers, ds.parties, strict=True):
+        at = at * len(c) + F.col(n)
+        cols += [F.element_at(F.array(*[F.lit(float(x)) for x in c[:, i]]), F.col(n) + 1).alias(f) for i, f in enumerate(p.features)]
+    points = PartySpec("grid", grid.select(at.alias("id"), *cols, F.col("w").alias("__w")), tuple(ds.features), weight="__w")
+    return full_centers(pin(points), k, seed=f"grid-{seed}")
 
 
 def fit_arrays(blocks: list[np.ndarray], w: np.ndarray, k: int, *, seed: int = 0, iterations: int = 25) -> np.ndarray:

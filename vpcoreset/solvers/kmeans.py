@@ -1,18 +1,21 @@
 """k-means: seeding and Lloyd steps on the cluster for full blocks, and weighted numpy versions for samples.
 
 Lloyd on the cluster: centres are literals of one aggregate over the pruned scan; k rows come back. Seeding by squared
-distance draws through the integer sampler, so a repeat gives the same seeds.
+distance is a race: the row of the least ``-ln(u) / d2`` is drawn with a probability in proportion to d2, u being a hash of the id. So a
+seed costs one aggregate, and a repeat gives the same seeds. Several starts share their jobs: each seed and each step of
+all of them is one scan.
 """
 
 from __future__ import annotations
 
+from collections.abc import Sequence
+
 import numpy as np
 from pyspark.sql import functions as F
 
 from vpcoreset.functions import vectors
-from vpcoreset.functions.rng import BITS, u52_py
+from vpcoreset.functions.rng import BITS, u52
 from vpcoreset.parties import PartySpec
-from vpcoreset.sampling import QUANTA, bucket_totals, draw_rows, quantize
 
 
 def first_centers(p: PartySpec, k: int) -> np.ndarray:
@@ -31,64 +34,84 @@ def farthest_centers(p: PartySpec, k: int) -> np.ndarray:
     return centers
 
 
-def d2_centers(p: PartySpec, k: int, seed: str = "d2", buckets: int = 64) -> np.ndarray:
-    """k seeds, each drawn by its squared distance to the ones before (the first uniformly)."""
-    centers = np.zeros((0, len(p.features)))
-    block = p.block()
-    w = F.col(p.weight) if p.weight else F.lit(1.0)
-    scale = None
+def _best(p: PartySpec, centers: np.ndarray):
+    return vectors.nearest([F.col(c) for c in p.features], centers)
+
+
+def _weight(p: PartySpec):
+    return F.col(p.weight).cast("double") if p.weight else F.lit(1.0)
+
+
+def d2_seeds(p: PartySpec, k: int, seeds: Sequence[str]) -> list[np.ndarray]:
+    """For each start k seeds, each drawn by its (weighted) squared distance to the ones before, the first by weight alone.
+
+    Where all rows are seeds already, further ones are drawn by weight alone.
+    """
+    block, w = p.block(), _weight(p)
+    out = [np.zeros((0, len(p.features))) for _ in seeds]
+    row = F.struct(*p.features)
     for i in range(k):
-        if i == 0:
-            score = F.lit(2.0**-20) * w
-        else:
-            d2 = vectors.nearest([F.col(c) for c in p.features], centers)["d2"] * w
-            scale = float(block.agg(F.sum(d2)).collect()[0][0] or 0.0)
-            score = d2 / F.lit(scale) if scale else F.lit(2.0**-20)
-        quanta = quantize(block.select("id", F.lit(0).alias("party"), score.alias("score")), QUANTA)
-        totals = bucket_totals(quanta, buckets)[0]
-        t = (u52_py(seed, "center", i) * sum(totals)) >> BITS
-        b = 0
-        while t >= totals[b]:
-            t -= totals[b]
-            b += 1
-        row = draw_rows(quanta, [(0, 0, 0, b, t)], buckets).select("id")
-        chosen = block.join(F.broadcast(row), "id", "left_semi").limit(1).collect()[0]
-        centers = np.vstack([centers, [[chosen[c] for c in p.features]]])
-    return centers
+        races = []
+        for r, (seed, centers) in enumerate(zip(seeds, out, strict=True)):
+            u = (u52(seed, str(i), F.col("id")) + F.lit(0.5)) / F.lit(float(1 << BITS))
+            mass = _best(p, centers)["d2"] * w if i else w
+            race = lambda m, u=u: F.min_by(row, F.when(m > 0, F.struct(-F.log(u) / m, F.col("id"))))
+            races += [race(mass).alias(f"a{r}"), race(w).alias(f"b{r}")]
+        found = block.agg(*races).collect()[0]
+        out = [np.vstack([c, [found[f"a{r}"] or found[f"b{r}"]]]) for r, c in enumerate(out)]
+    return out
 
 
-def lloyd(p: PartySpec, centers: np.ndarray, iterations: int) -> np.ndarray:
-    """Lloyd steps on all rows; an empty cell keeps its centre."""
-    w = F.col(p.weight) if p.weight else F.lit(1.0)
+def d2_centers(p: PartySpec, k: int, seed: str = "d2") -> np.ndarray:
+    return d2_seeds(p, k, [seed])[0]
+
+
+def lloyd_many(p: PartySpec, starts: Sequence[np.ndarray], iterations: int) -> list[np.ndarray]:
+    """Lloyd steps of several starts on all rows, one scan a step; an empty cell keeps its centre, and starts that stand still end the work."""
+    w, starts = _weight(p), [np.array(c, float) for c in starts]
     for _ in range(iterations):
-        cell = vectors.nearest([F.col(c) for c in p.features], centers)["cell"]
-        sums = p.block().groupBy(cell.alias("cell")).agg(F.sum(w).alias("w"), *[F.sum(w * F.col(c)).alias(f"s{i}") for i, c in enumerate(p.features)]).collect()
-        centers = centers.copy()
-        for r in sums:
+        cells = F.array(*[F.struct(F.lit(r).alias("r"), _best(p, c)["cell"].alias("cell")) for r, c in enumerate(starts)])
+        rows = p.block().select("*", F.explode(cells).alias("at")).groupBy("at.r", "at.cell")
+        moved = 0.0
+        for r in rows.agg(F.sum(w).alias("w"), *[F.sum(w * F.col(c)).alias(f"s{i}") for i, c in enumerate(p.features)]).collect():
             if r["w"]:
-                centers[r["cell"]] = [r[f"s{i}"] / r["w"] for i in range(len(p.features))]
-    return centers
+                new = np.array([r[f"s{i}"] / r["w"] for i in range(len(p.features))])
+                moved = max(moved, float(np.abs(new - starts[r["r"]][r["cell"]]).max(initial=0)))
+                starts[r["r"]][r["cell"]] = new
+        if moved < 1e-12:
+            break
+    return starts
 
 
-def scalable_centers(p: PartySpec, k: int, seed: str = "scalable", rounds: int = 3) -> np.ndarray:
-    """A few rounds of over-sampling (about 2 k rows each, by squared distance), then weighted seeding of the candidates."""
-    from vpcoreset.functions.rng import u52
+def full_centers(p: PartySpec, k: int, *, restarts: int = 3, iterations: int = 20, seed: str = "full") -> np.ndarray:
+    """Seeding by squared distance and Lloyd steps on all rows: the start of the least cost."""
+    from vpcoreset.objectives import kmeans_costs
+
+    found = lloyd_many(p, d2_seeds(p, k, [f"{seed}-{r}" for r in range(restarts)]), iterations)
+    costs = kmeans_costs(p.block(), p.features, found, p.weight)
+    return found[int(np.argmin(costs))]
+
 
-    block, cols = p.block(), [F.col(c) for c in p.features]
+def lloyd(p: PartySpec, centers: np.ndarray, iterations: int) -> np.ndarray:
+    """Lloyd steps on all rows; an empty cell keeps its centre."""
+    return lloyd_many(p, [centers], iterations)[0]
+
+
+def scalable_centers(p: PartySpec, k: int, seed: str = "scalable", rounds: int = 3) -> np.ndarray:
+    """A few rounds of over-sampling (2 k rows each in the mean, by weighted squared distance), then weighted seeding of the candidates."""
+    block, w = p.block(), _weight(p)
     chosen = first_centers(p, 1)
     for r in range(rounds):
-        d2 = vectors.nearest(cols, chosen)["d2"]
-        total = float(block.agg(F.sum(d2)).collect()[0][0] or 0.0)
+        mass = _best(p, chosen)["d2"] * w
+        total = float(block.agg(F.sum(mass)).collect()[0][0] or 0.0)
         if not total:
             break
-        take = u52(seed, str(r), F.col("id")) < F.least(F.lit(1.0), F.lit(2.0 * k / total) * d2) * float(1 << BITS)
-        rows = block.where(take).orderBy("id").select(*p.features).limit(20 * k).collect()
+        take = u52(seed, str(r), F.col("id")) < F.least(F.lit(1.0), F.lit(2.0 * k / total) * mass) * float(1 << BITS)
+        rows = sorted(block.where(take).select("id", *p.features).collect())
         if rows:
-            chosen = np.vstack([chosen, np.array(rows, float)])
-    cell = vectors.nearest(cols, chosen)["cell"]
-    w = F.sum(F.col(p.weight)) if p.weight else F.count(F.lit(1)).cast("double")
+            chosen = np.vstack([chosen, np.array([x[1:] for x in rows], float)])
     weight = np.zeros(len(chosen))
-    for r in block.groupBy(cell.alias("cell")).agg(w.alias("w")).collect():
+    for r in block.groupBy(_best(p, chosen)["cell"].alias("cell")).agg(F.sum(w).alias("w")).collect():
         weight[r["cell"]] = r["w"]
     return fit_weighted(chosen, weight, k, seed=7, iterations=20)
 
