@@ -428,11 +428,11 @@ def anonymise(docs: DataFrame, *, text_col: str = "text", key: str = "surrogates
         act = Surrogates(key, names)
         for batch in batches:
             done = [act(x) for x in batch.column(at).to_pylist()]
-            columns, names = list(batch.columns), list(batch.schema.names)
+            columns, titles = list(batch.columns), list(batch.schema.names)
             columns[at] = pa.array([t for t, _ in done], pa.string())
             if found_col:
                 columns.append(pa.array([[{"kind": k, "start": a, "end": b} for k, a, b in s] for _, s in done], found_type))
-                names.append(found_col)
-            yield pa.RecordBatch.from_arrays(columns, names)
+                titles.append(found_col)
+            yield pa.RecordBatch.from_arrays(columns, titles)
 
     return docs.mapInArrow(trimmed(replace), schema)
