@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 from vpcoreset import objectives
 from vpcoreset.ledger import construction, solving
-from vpcoreset.parties import VerticalDataset, pin
+from vpcoreset.parties import VerticalDataset, pin, standardize
 from vpcoreset.sampling import sample_grid, uniform_scores
 from vpcoreset.scores import kmeans_scores, regression_scores, score_table
 from vpcoreset.solvers import dimdist, kmeans, ridge, saga
@@ -33,19 +33,9 @@ def regression_test_cost(test: DataFrame, features: Sequence[str], label: str, m
 
 
 def kmeans_full_cost(full: DataFrame, features: Sequence[str], models: list[np.ndarray]) -> list[float]:
-    """Mean squared distances for many center sets; broadcast once, evaluated in Arrow batches."""
-    flat = full.sparkSession.sparkContext.broadcast(models)
-
-    def partial(batches):
-        total, n = np.zeros(len(flat.value)), 0
-        for batch in batches:
-            x = batch.to_numpy(float)
-            n += len(x)
-            total += [kmeans.distances(x, c).min(1).sum() for c in flat.value]
-        yield pd.DataFrame({"at": np.arange(len(total) + 1), "value": np.append(total, n)})
-
-    sums = {r["at"]: r["value"] for r in full.select(*features).mapInPandas(partial, "at int, value double").groupBy("at").agg(F.sum("value").alias("value")).collect()}
-    return [sums[i] / sums[len(models)] for i in range(len(models))]
+    """Mean squared distances for many center sets, in one scan."""
+    sums, n = kmeans.costs_many(full, features, models)
+    return [s / n for s in sums]
 
 
 def _solve_groups(rows: DataFrame, ds: VerticalDataset, solve) -> list[tuple[str, int, int, np.ndarray]]:
@@ -82,23 +72,49 @@ def _units(method: str, solver: str, m: int, ds: VerticalDataset, k: int, steps:
     return ledger.total(), ledger.fraction()
 
 
-def regression_table(ds: VerticalDataset, sizes: Sequence[int], repeats: int, *, test_share: float = 0.1, lam: float = 0.1, solvers: Sequence[str] = ("ridge",), policy: str = "table") -> DataFrame:
-    """Test loss of the full solver and of both samplings; ds should be standardised."""
+def _saga_groups(rows: DataFrame, ds: VerticalDataset, l2: float, passes: int) -> list[tuple[str, int, int, np.ndarray]]:
+    """(method, size, replicate, model and steps): the repeats of a size run in lockstep in one task, padded with rows of weight zero."""
+    features, label = ds.features, ds.label
+
+    def one(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
+        parts = [g.sort_values("id") for _, g in pdf.groupby("replicate")]
+        n = max(map(len, parts))
+        x, y, w = np.zeros((len(parts), n, len(features))), np.zeros((len(parts), n)), np.zeros((len(parts), n))
+        for i, g in enumerate(parts):
+            x[i, : len(g)], y[i, : len(g)], w[i, : len(g)] = g[features].to_numpy(float), g[label].to_numpy(float), g["weight"].to_numpy(float)
+        found = saga.saga_many(x, y, w, l2, passes=passes)
+        return pd.DataFrame({"method": key[0], "size": key[1], "replicate": [int(g["replicate"].iloc[0]) for g in parts], "model": [np.append(r.theta, [r.steps, r.converged]) for r in found]})
+
+    found = rows.groupBy("method", "size").applyInPandas(one, "method string, size int, replicate int, model array<double>").collect()
+    return [(r["method"], r["size"], r["replicate"], np.array(r["model"])) for r in found]
+
+
+def regression_table(ds: VerticalDataset, sizes: Sequence[int], repeats: int, *, test_share: float = 0.1, lam: float = 0.1, solvers: Sequence[str] = ("ridge",), policy: str = "table", scaled: bool = True, passes: int = 60) -> DataFrame:
+    """Test loss of the full solvers and of both samplings. ``scaled``: all columns are scaled by the statistics of the training rows alone.
+
+    The incremental solver on all rows takes blocks of rows and as many passes as it has on samples; where it does not converge
+    its cost is null.
+    """
     spark = ds.parties[0].df.sparkSession
-    train, test = ds.split(test_share)
+    train, test = (part.map(pin) for part in ds.split(test_share))
+    if scaled:
+        train, test = standardize(train, train), standardize(test, train)
     held, full = materialize(test.concat(), "test"), materialize(train.concat(), "train")
     n = full.count()
     reg = ridge.Regularizer(l2=lam * n)
-    theta = ridge.fit(full, ds.features, ds.label, reg)
     widths = [len(p.features) for p in ds.parties]
-    out = [("regression", "full+ridge", n, regression_test_cost(held, ds.features, ds.label, [theta])[0], solving("transfer", n, widths, label=True, policy=policy).total(), 0.0)]
-    train = train.map(pin)
+    out = []
     rows = _samples(train, score_table(train, regression_scores), sizes, repeats)
     for solver in solvers:
         if solver == "saga":
-            found = _solve_groups(rows, train, lambda x, y, w, s: np.append((r := saga.saga(x, y, w, reg.l2, seed=s, passes=60)).theta, r.steps))
-            models, steps = [m[:-1] for *_, m in found], [int(m[-1]) for *_, m in found]
+            whole = saga.saga_blocks(full, ds.features, ds.label, reg.l2, passes=passes)
+            cost = regression_test_cost(held, ds.features, ds.label, [whole.theta])[0] if whole.converged else None
+            out.append(("regression", "full+saga", n, cost, solving("saga", n, widths, steps=whole.steps, policy=policy).total(), 0.0))
+            found = _saga_groups(rows, train, reg.l2, passes)
+            models, steps = [m[:-2] for *_, m in found], [int(m[-2]) for *_, m in found]
         else:
+            theta = ridge.fit(full, ds.features, ds.label, reg)
+            out.append(("regression", "full+ridge", n, regression_test_cost(held, ds.features, ds.label, [theta])[0], solving("transfer", n, widths, label=True, policy=policy).total(), 0.0))
             found = _solve_groups(rows, train, lambda x, y, w, s: ridge.fit_arrays(x, y, w, reg))
             models, steps = [m for *_, m in found], [0] * len(found)
         for (method, size, _, _), cost, step in zip(found, regression_test_cost(held, ds.features, ds.label, models), steps, strict=True):
@@ -107,8 +123,8 @@ def regression_table(ds: VerticalDataset, sizes: Sequence[int], repeats: int, *,
     return summarise(out, spark)
 
 
-def kmeans_table(ds: VerticalDataset, k: int, sizes: Sequence[int], repeats: int, *, solvers: Sequence[str] = ("kmeans++", "dimension"), clusterer: str = "scalable", policy: str = "table") -> DataFrame:
-    """Cost per row on the full data of centres found on both samplings, beside the full solvers."""
+def kmeans_table(ds: VerticalDataset, k: int, sizes: Sequence[int], repeats: int, *, solvers: Sequence[str] = ("kmeans++", "dimension"), clusterer: str = "scalable", policy: str = "table", restarts: int = 3) -> DataFrame:
+    """Cost per row on the full data of centres found on both samplings, beside the full solvers; the full k-means++ is the best of ``restarts`` starts."""
     spark = ds.parties[0].df.sparkSession
     ds = ds.map(pin)
     wide = materialize(ds.concat(), "wide")
@@ -120,7 +136,7 @@ def kmeans_table(ds: VerticalDataset, k: int, sizes: Sequence[int], repeats: int
     whole = PartySpec("all", wide, tuple(ds.features))
     out = []
     if "kmeans++" in solvers:
-        centers = kmeans.lloyd(whole, kmeans.scalable_centers(whole, k), 10)
+        centers = kmeans.full_centers(whole, k, restarts=restarts)
         out.append(("kmeans", "full+kmeans++", n, kmeans_full_cost(wide, ds.features, [centers])[0], solving("transfer", n, widths).total(), 0.0))
     if "dimension" in solvers:
         centers = dimdist.fit(ds, k, clusterer=clusterer)
@@ -147,6 +163,15 @@ def equal_communication(table: DataFrame) -> DataFrame:
     return c.join(u, "solver").where("units >= coreset_units").groupBy("solver", "coreset_size", "coreset_units", "coreset_cost").agg(near.alias("u")).select("solver", "coreset_size", "coreset_units", "coreset_cost", "u.*")
 
 
+def relative(table: DataFrame, d: int) -> DataFrame:
+    """Of every sampled row: cost over that of the full solver, share of the rows and of the numbers that are moved, and how many times fewer units; d numbers a row."""
+    full = table.where(F.col("method").startswith("full+")).select(F.substring_index("method", "+", -1).alias("solver"), F.col("size").alias("n"), F.col("avg_cost").alias("full_cost"), F.col("units").alias("full_units"))
+    rows = table.where(~F.col("method").startswith("full+")).withColumn("solver", F.substring_index("method", "+", -1)).join(F.broadcast(full), "solver")
+    return rows.select(
+        "task", "method", "size", (F.col("avg_cost") / F.col("full_cost")).alias("cost_ratio"), (F.col("size") / F.col("n")).alias("data_fraction"),
+        (F.col("units") / (F.col("n") * d)).alias("moved_fraction"), (F.col("full_units") / F.col("units")).alias("units_saved"))
+
+
 def probe_errors(full: DataFrame, sample: DataFrame, features: Sequence[str], label: str, thetas: list[np.ndarray], ridge_l2: float = 0.0) -> list[float]:
     """Relative error of the weighted cost for each probe."""
     a = objectives.regression_costs(full, features, label, thetas, ridge=ridge_l2)

@@ -32,7 +32,7 @@ class Chain:
         return name
 
     def select(self, sql: str) -> str:
-        return "WITH " + ",\n".join(self.steps) + "\n" + sql
+        return ("WITH RECURSIVE " if any("UNION ALL SELECT s + 1" in x for x in self.steps) else "WITH ") + ",\n".join(self.steps) + "\n" + sql
 
     def wide(self, fixture: str, standard: bool = True) -> str:
         self.add("w", wide_sql(fixture))
@@ -96,6 +96,36 @@ def uniform(chain: Chain, rel: str, m: int, seed: str, replicates: int = 1, name
     return chain.coreset(chain.draws(scores, m, seed, replicates, p=20, name=name), m, name)
 
 
+def gauss(chain: Chain, rel: str, cols: Sequence[str], label: str, lam: str, weight: str = "1.0", name: str = "ge", by: Sequence[str] = ()) -> str:
+    """(by.., t0 .. td-1): ridge coefficients by Gauss-Jordan elimination of the normal equations, a step for each column."""
+    d, keys = len(cols), "".join(f"{b}, " for b in by)
+    sums = [f"sum({weight} * {cols[i]} * {cols[j]}){f' + {lam}' if i == j else ''} AS a{i}_{j}" for i in range(d) for j in range(d)]
+    sums += [f"sum({weight} * {c} * {label}) AS a{i}_{d}" for i, c in enumerate(cols)]
+    at = chain.add(f"{name}_s", f"SELECT {keys}{', '.join(sums)} FROM {rel}{' GROUP BY ' + ', '.join(by) if by else ''}")
+    for k in range(d):
+        row = [f"a{k}_{j} / a{k}_{k} AS a{k}_{j}" for j in range(k, d + 1)]
+        rest = [f"a{i}_{j} - a{i}_{k} * a{k}_{j} / a{k}_{k} AS a{i}_{j}" for i in range(d) if i != k for j in range(k + 1, d + 1)]
+        at = chain.add(f"{name}_{k}", f"SELECT {keys}{', '.join(row + rest)} FROM {at}")
+    return chain.add(name, f"SELECT {keys}{', '.join(f'a{i}_{d} AS t{i}' for i in range(d))} FROM {at}")
+
+
+def descent(chain: Chain, rel: str, cols: Sequence[str], label: str, l1: str, l2: str, sweeps: int, name: str = "cd") -> str:
+    """(t0 .. td-1): elastic net by coordinate descent, a recursion step for each coordinate. The chain needs WITH RECURSIVE."""
+    d = len(cols)
+    sums = [f"sum({cols[i]} * {cols[j]}) AS g{i}_{j}" for i in range(d) for j in range(d)] + [f"sum({c} * {label}) AS b{i}" for i, c in enumerate(cols)]
+    g = chain.add(f"{name}_g", f"SELECT {', '.join(sums)}, {l1} AS l1, {l2} AS l2 FROM {rel}")
+    new = []
+    for j in range(d):
+        rest = f"(b{j}" + "".join(f" - g{j}_{i} * t{i}" for i in range(d) if i != j) + ")"
+        new.append(f"CASE WHEN s % {d} = {j} THEN sign({rest}) * greatest(abs({rest}) - l1 / 2, 0) / (g{j}_{j} + l2) ELSE t{j} END AS t{j}")
+    chain.add(name + "_r", f"SELECT 0 AS s, {', '.join(f'0.0::DOUBLE AS t{j}' for j in range(d))} UNION ALL SELECT s + 1, {', '.join(new)} FROM {name}_r, {g} WHERE s < {sweeps * d}")
+    return chain.add(name, f"SELECT * FROM {name}_r WHERE s = {sweeps * d}")
+
+
+def unpivot(cols: Sequence[str], rel: str, digits: int) -> str:
+    return " UNION ALL ".join(f"SELECT '{c}' AS feature, round(t{i}, {digits}) AS coef FROM {rel}" for i, c in enumerate(cols))
+
+
 def _det3(m: Sequence[Sequence[str]]) -> str:
     (a, b, c), (d, e, f), (g, h, i) = m
     return f"({a} * ({e} * {i} - {f} * {h}) - {b} * ({d} * {i} - {f} * {g}) + {c} * ({d} * {h} - {e} * {g}))"

@@ -8,14 +8,15 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from vpcoreset import assumptions, coreset, hard, objectives, planner, privacy, robust, sampling, scores
+from vpcoreset import assumptions, coreset, experiments, hard, objectives, planner, privacy, robust, sampling, scores
 from vpcoreset.functions.rng import u52
 from vpcoreset.ledger import construction, solving
 from vpcoreset.linalg import gram
-from vpcoreset.oracles import Chain, columns, ridge3, uniform
+from vpcoreset.oracles import Chain, columns, descent, gauss, ridge3, uniform, unpivot
 from vpcoreset.parties import PartySpec, VerticalDataset, dataset, pin, split_by_names
 from vpcoreset.solvers import dimdist, kmeans, ridge, saga
-from vpcoreset.sources.fixtures import FIXTURES
+from vpcoreset.sources.fixtures import FIXTURES, wide_sql
+from vpcoreset.sources.io import materialize
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
@@ -222,7 +223,20 @@ def km_seed_farthest(spark: SparkSession, d: str) -> DataFrame:
     return _centers_df(spark, kmeans.farthest_centers(p, K), list(p.features))
 
 
-@query("km_seed_d2")
+def _race_oracle() -> str:
+    chain, rel, blocks = _km_chain("docs")
+    cols = blocks[0]
+    named = ", ".join(cols)
+    u = lambda i: f"-ln((CAST('0x' || substr(md5(concat_ws(':', 'd2', '{i}', r.id)), 1, 13) AS BIGINT) + 0.5::DOUBLE) / 4503599627370496::DOUBLE)"
+    at = chain.add("d0", f"SELECT id, {named}, 0 AS cell FROM {rel} r ORDER BY {u(0)}, id LIMIT 1")
+    for i in range(1, K):
+        d2 = " + ".join(f"(r.{x} - c.{x}) * (r.{x} - c.{x})" for x in cols)
+        near = chain.add(f"n{i}", f"SELECT r.id, {', '.join(f'any_value(r.{x}) AS {x}' for x in cols)}, any_value({u(i)}) AS u, min({d2}) AS d2 FROM {rel} r CROSS JOIN {at} c GROUP BY r.id")
+        at = chain.add(f"d{i}", f"SELECT id, {named}, cell FROM {at} UNION ALL SELECT id, {named}, {i} FROM (SELECT * FROM {near} WHERE d2 > 0 ORDER BY u / d2, id LIMIT 1)")
+    return chain.select(_centers_sql(at, cols))
+
+
+@query("km_seed_d2", _race_oracle())
 def km_seed_d2(spark: SparkSession, d: str) -> DataFrame:
     p = dataset(spark, d, "docs", standard=True).parties[0]
     return _centers_df(spark, kmeans.d2_centers(p, K), list(p.features))
@@ -381,7 +395,7 @@ def _coefs(spark: SparkSession, names: list[str], theta: np.ndarray, digits: int
     return spark.createDataFrame([(n, float(round(t, digits))) for n, t in zip(names, theta, strict=True)], "feature string, coef double")
 
 
-def _ridge_oracle(kind: str) -> str:
+def _ridge_oracle(kind: str, digits: int = 5) -> str:
     chain = Chain()
     rel = chain.wide("docs3")
     lam, weight = "(SELECT 0.1 * count(*) FROM w)", "1.0"
@@ -393,7 +407,7 @@ def _ridge_oracle(kind: str) -> str:
     if kind != "full":
         rel, weight = chain.add("rows", f"SELECT z.*, c.weight FROM z JOIN {c} c USING (id)"), "weight"
     inner = ridge3(chain, rel, ["digits", "dots", "punct"], "y", lam, weight)
-    return chain.select(f"SELECT feature, round(coef, 5) AS coef FROM ({inner})")
+    return chain.select(f"SELECT feature, round(coef, {digits}) AS coef FROM ({inner})")
 
 
 def _reg(ds: VerticalDataset) -> ridge.Regularizer:
@@ -418,58 +432,77 @@ def ridge_on_uniform(spark: SparkSession, d: str) -> DataFrame:
     return _coefs(spark, ds.features, coreset.solve_on_coreset(ds, sampling.uniform_sample(ds, M), coreset.ridge_on(_reg(ds))).model, 5)
 
 
-def _gap_query(title: str, fixture: str, l1: float = 0.0, l2: float = 0.1):
-    @query(title, "SELECT true AS optimal")
-    def gap(spark: SparkSession, d: str) -> DataFrame:
+def _linear_oracle(fixture: str, l1: float, l2: float, digits: int) -> str:
+    chain = Chain()
+    rel = chain.wide(fixture)
+    cols = [c for b in columns(fixture) for c in b if c != "y"]
+    n = "(SELECT count(*) FROM w)"
+    found = descent(chain, rel, cols, "y", f"{l1} * {n}", f"{l2} * {n}", 400) if l1 else gauss(chain, rel, cols, "y", f"{l2} * {n}")
+    return chain.select(unpivot(cols, found, digits))
+
+
+def _linear_query(title: str, fixture: str, l1: float = 0.0, l2: float = 0.1, digits: int = 5):
+    @query(title, _linear_oracle(fixture, l1, l2, digits))
+    def run(spark: SparkSession, d: str) -> DataFrame:
         ds = dataset(spark, d, fixture, standard=True)
         n = scores.row_count(ds.parties[0])
-        reg = ridge.Regularizer(l2=l2 * n, l1=l1 * n)
-        g, _ = gram(ds.concat(), [*ds.features, ds.label])
-        theta = ridge.solve_gram(g[:-1, :-1], g[:-1, -1], reg)
-        return spark.createDataFrame([(ridge.optimality_gap(g[:-1, :-1], g[:-1, -1], theta, reg) < 1e-6,)], "optimal boolean")
+        return _coefs(spark, ds.features, ridge.fit(ds.concat(), ds.features, ds.label, ridge.Regularizer(l2=l2 * n, l1=l1 * n)), digits)
+
+    return run
 
-    return gap
 
+_linear_query("ridge_full_line", "line_star")
+_linear_query("ridge_full_docs_all", "docs")
+_linear_query("lasso_full_docs", "docs", l1=0.2, l2=0.0, digits=3)
+_linear_query("elastic_net_full_docs", "docs", l1=0.1, l2=0.05, digits=4)
+_linear_query("least_squares_full_docs", "docs", l2=0.0, digits=4)
 
-_gap_query("ridge_full_emb", "emb3")
-_gap_query("ridge_full_line", "line_star")
-_gap_query("lasso_full_docs", "docs", l1=0.2, l2=0.0)
-_gap_query("elastic_net_full_docs", "docs", l1=0.1, l2=0.05)
-_gap_query("least_squares_full_docs", "docs", l2=0.0)
+
+@query("ridge_full_emb")
+def ridge_full_emb(spark: SparkSession, d: str) -> DataFrame:
+    """All 64 columns; the optimality gap is the largest violation of the conditions of the minimum."""
+    ds = dataset(spark, d, "emb3", standard=True)
+    reg = _reg(ds)
+    g, _ = gram(ds.concat(), [*ds.features, ds.label])
+    theta = ridge.solve_gram(g[:-1, :-1], g[:-1, -1], reg)
+    return _coefs(spark, ds.features, theta).withColumn("gap", F.lit(ridge.optimality_gap(g[:-1, :-1], g[:-1, -1], theta, reg)))
 
 
-def _saga_query(title: str, uniform_rows: bool):
-    @query(title, "SELECT true AS near_optimal, true AS converged")
+def _saga_query(title: str, kind: str):
+    @query(title, _ridge_oracle(kind, 3))
     def run(spark: SparkSession, d: str) -> DataFrame:
-        """Incremental gradients on a sample come within 1 % of the exact cost on it."""
+        """Incremental gradients on a sample, run to a small gradient, end at the exact solution on it."""
         ds = dataset(spark, d, "docs3", standard=True)
         reg = _reg(ds)
-        sample = sampling.uniform_sample(ds, M) if uniform_rows else coreset.regression_coreset(ds, M)
+        sample = sampling.uniform_sample(ds, M) if kind == "uniform" else coreset.regression_coreset(ds, M)
         rows = sample.materialize(ds).orderBy("id").toPandas()
         x, y, w = rows[ds.features].to_numpy(float), rows["y"].to_numpy(float), rows["weight"].to_numpy(float)
-        cost = lambda t: float((w * (x @ t - y) ** 2).sum() + reg.value(t))
-        found = saga.saga(x, y, w, reg.l2, passes=400)
-        return spark.createDataFrame([(cost(found.theta) <= 1.01 * cost(ridge.fit_arrays(x, y, w, reg)), found.converged)], "near_optimal boolean, converged boolean")
+        return _coefs(spark, ds.features, saga.saga(x, y, w, reg.l2, passes=3_000, tol=1e-7).theta, 3)
 
     return run
 
 
-_saga_query("saga_on_coreset", False)
-_saga_query("saga_on_uniform", True)
+_saga_query("saga_on_coreset", "coreset")
+_saga_query("saga_on_uniform", "uniform")
 
 
-@query("saga_full_capped")
-def saga_full_capped(spark: SparkSession, d: str) -> DataFrame:
-    """On all rows with a cap of passes and an ill-conditioned, unscaled block: reported as not converged.
+@query("saga_full")
+def saga_full(spark: SparkSession, d: str) -> DataFrame:
+    """The incremental solver on all rows, unscaled and scaled by the columns' deviations, and on both samples: passes, steps, gradient, convergence.
 
-    All rows are drawn to the driver by definition of the baseline, one step after the other: 64 bytes a row there, and
-    at most three steps a row.
+    A cap of passes is part of the comparison; all rows are in.
     """
-    ds = dataset(spark, d, "docs")
-    rows = ds.concat().toPandas().sort_values("id", kind="stable")
-    x, y = rows[ds.features].to_numpy(float), rows["y"].to_numpy(float)
-    found = saga.saga(x, y, np.ones(len(x)), 0.1 * len(x), passes=3)
-    return spark.createDataFrame([(found.steps, found.converged, float(found.gradient))], "steps long, converged boolean, gradient double")
+    out = []
+    for name, standard in (("unscaled", False), ("scaled", True)):
+        ds = dataset(spark, d, "docs", standard=standard).map(pin)
+        n = int(scores.row_count(ds.parties[0]))
+        found = saga.saga_blocks(ds.concat(), ds.features, ds.label, 0.1 * n, passes=60)
+        out.append(("full", name, n, found.steps, found.steps // n, found.gradient, found.converged))
+        for method, sample in (("coreset", coreset.regression_coreset(ds, 500)), ("uniform", sampling.uniform_sample(ds, 500))):
+            rows = sample.materialize(ds).orderBy("id").toPandas()
+            found = saga.saga(rows[ds.features].to_numpy(float), rows["y"].to_numpy(float), rows["weight"].to_numpy(float), 0.1 * n, passes=60)
+            out.append((method, name, len(rows), found.steps, found.steps // len(rows), found.gradient, found.converged))
+    return spark.createDataFrame(out, "method string, columns string, rows long, steps long, passes long, gradient double, converged boolean")
 
 
 def _full_km_oracle() -> str:
@@ -488,11 +521,32 @@ def kmeans_full_docs(spark: SparkSession, d: str) -> DataFrame:
 
 @query("kmeans_full_emb")
 def kmeans_full_emb(spark: SparkSession, d: str) -> DataFrame:
+    """Seeding by squared distance and Lloyd steps on all rows, the best of three starts."""
     ds = dataset(spark, d, "emb3", label=False)
     whole = pin(PartySpec("all", ds.concat(), tuple(ds.features)))
-    centers = kmeans.lloyd(whole, kmeans.scalable_centers(whole, 10), 5)
-    cost = objectives.kmeans_costs(whole.df, ds.features, [centers])[0]
-    return spark.createDataFrame([(10, cost / whole.df.count())], "k int, cost double")
+    (cost,), n = kmeans.costs_many(whole.df, ds.features, [kmeans.full_centers(whole, 10)])
+    return spark.createDataFrame([(10, cost / n)], "k int, cost double")
+
+
+def _plus_oracle() -> str:
+    """Three seeds by the race, two Lloyd steps: the full k-means++ of one start, spelled out."""
+    chain, rel, blocks = _km_chain("docs3")
+    cols = [c for b in blocks for c in b]
+    u = lambda i: f"-ln((CAST('0x' || substr(md5(concat_ws(':', 'plus-0', '{i}', r.id)), 1, 13) AS BIGINT) + 0.5::DOUBLE) / 4503599627370496::DOUBLE)"
+    named, d2 = ", ".join(cols), " + ".join(f"(r.{x} - c.{x}) * (r.{x} - c.{x})" for x in cols)
+    at = chain.add("s0", f"SELECT {named}, 0 AS cell FROM {rel} r ORDER BY {u(0)}, id LIMIT 1")
+    for i in range(1, 3):
+        near = chain.add(f"m{i}", f"SELECT r.id, {', '.join(f'any_value(r.{x}) AS {x}' for x in cols)}, any_value({u(i)}) AS u, min({d2}) AS d2 FROM {rel} r CROSS JOIN {at} c GROUP BY r.id")
+        at = chain.add(f"s{i}", f"SELECT {named}, cell FROM {at} UNION ALL SELECT {named}, {i} FROM (SELECT * FROM {near} WHERE d2 > 0 ORDER BY u / d2, id LIMIT 1)")
+    c, a = chain.clusters("l", rel, cols, 3, 2, at)
+    return chain.select(_centers_sql(c, cols))
+
+
+@query("kmeans_plus_full_docs", _plus_oracle())
+def kmeans_plus_full_docs(spark: SparkSession, d: str) -> DataFrame:
+    ds = dataset(spark, d, "docs3", standard=True, label=False)
+    whole = pin(PartySpec("all", ds.concat(), tuple(ds.features)))
+    return _centers_df(spark, kmeans.full_centers(whole, 3, restarts=1, iterations=2, seed="plus"), ds.features)
 
 
 @query("kmeans_spark_ml")
@@ -617,17 +671,55 @@ def reg_eps_certificate(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame([(all(abs(y - x) <= (eps + 1e-9) * x for x, y in zip(a, b, strict=True)),)], "holds boolean")
 
 
-@query("reduction_holds", "SELECT true AS holds")
-def reduction_holds(spark: SparkSession, d: str) -> DataFrame:
-    """The sample's exact solution costs at most (1 + eps) / (1 - eps) of the best, eps being the certificate."""
+@query("reduction_bound")
+def reduction_bound(spark: SparkSession, d: str) -> DataFrame:
+    """Samples grow until the certificate eps is at most 1/3; then the sample's solution costs at most (1 + 3 eps) of the best, alpha being 1 for the exact solver.
+
+    Reported: both sides of each bound, for the exact ridge and for an incremental solver of quality alpha on the sample.
+    """
     ds = dataset(spark, d, "docs3", standard=True)
-    reg = _reg(ds)
-    sample, wide = coreset.regression_coreset(ds, M), ds.concat()
-    eps = objectives.epsilon_certificate(wide, sample.materialize(ds), [*ds.features, ds.label])
+    reg, wide = _reg(ds), materialize(ds.concat(), "wide")
+    table = materialize(scores.score_table(ds, scores.regression_scores), "scores")
     best = ridge.fit(wide, ds.features, ds.label, reg)
-    found = coreset.solve_on_coreset(ds, sample, coreset.ridge_on(reg)).model
-    a, b = objectives.regression_costs(wide, ds.features, ds.label, [best, found], ridge=reg.l2)
-    return spark.createDataFrame([(b <= (1 + eps) / (1 - eps) * a * (1 + 1e-9) if eps < 1 else True,)], "holds boolean")
+    out, m, cols = [], M, [*ds.features, ds.label]
+    while True:
+        part = materialize(sampling.two_level_sample(table, m, "reduce").materialize(ds), "rows")
+        eps = objectives.epsilon_certificate(wide, part, cols)
+        if eps <= 1 / 3 or m > 100 * M:
+            break
+        m *= 2
+    rows = part.orderBy("id").toPandas()
+    x, y, w = rows[ds.features].to_numpy(float), rows["y"].to_numpy(float), rows["weight"].to_numpy(float)
+    on_sample = lambda t: float((w * (x @ t - y) ** 2).sum() + reg.value(t))
+    exact = ridge.fit_arrays(x, y, w, reg)
+    for solver, theta in (("ridge", exact), ("saga", saga.saga(x, y, w, reg.l2, passes=5, tol=0.0).theta)):
+        alpha = on_sample(theta) / on_sample(exact)
+        low, cost = objectives.regression_costs(wide, ds.features, ds.label, [best, theta], ridge=reg.l2)
+        out.append((solver, m, eps, alpha, cost / low, planner.reduction_factor(min(eps, 1 / 3), alpha), bool(eps <= 1 / 3 and cost / low <= planner.reduction_factor(eps, alpha) * (1 + 1e-9))))
+    return spark.createDataFrame(out, "solver string, m int, eps double, alpha double, ratio double, bound double, holds boolean")
+
+
+def _reduction_oracle() -> str:
+    chain = Chain()
+    rel = chain.wide("docs3")
+    chain.regression_scores(rel, columns("docs3"))
+    c = chain.coreset(chain.draws("scores", M, "reg"), M)
+    cols, lam = ["digits", "dots", "punct"], "(SELECT 0.1 * count(*) FROM w)"
+    a = gauss(chain, rel, cols, "y", lam, name="best_t")
+    b = gauss(chain, chain.add("rows", f"SELECT z.*, c.weight FROM z JOIN {c} c USING (id)"), cols, "y", lam, "weight", name="part_t")
+    cost = lambda t: f"(SELECT sum(power({' + '.join(f'z.{x} * {t}.t{i}' for i, x in enumerate(cols))} - z.y, 2)) + any_value({lam} * ({' + '.join(f'{t}.t{i} * {t}.t{i}' for i in range(3))})) FROM z, {t})"
+    return chain.select(f"SELECT round({cost(a)} / (SELECT count(*) FROM z), 6) AS best, round({cost(b)} / (SELECT count(*) FROM z), 6) AS found")
+
+
+@query("reduction_costs", _reduction_oracle())
+def reduction_costs(spark: SparkSession, d: str) -> DataFrame:
+    """Cost a row on all rows, penalty included, of the best model and of the sample's exact solution."""
+    ds = dataset(spark, d, "docs3", standard=True)
+    reg, wide = _reg(ds), ds.concat()
+    found = coreset.solve_on_coreset(ds, coreset.regression_coreset(ds, M), coreset.ridge_on(reg)).model
+    a, b = objectives.regression_costs(wide, ds.features, ds.label, [ridge.fit(wide, ds.features, ds.label, reg), found], ridge=reg.l2)
+    n = wide.count()
+    return spark.createDataFrame([(round(a / n, 6), round(b / n, 6))], "best double, found double")
 
 
 def _sensitivity_oracle(select: str) -> str:
@@ -663,46 +755,58 @@ def gamma_diag(spark: SparkSession, d: str) -> DataFrame:
 
 @query("assumption_cases")
 def assumption_cases(spark: SparkSession, d: str) -> DataFrame:
-    """gamma where the assumption holds, where the label is nearly another party's, and on the hard instance."""
-    rows = [(n, assumptions.gamma(dataset(spark, d, n, standard=True))) for n in ("line_star", "line_rev", "docs")]
-    rows.append(("hard", assumptions.gamma(hard.hard_regression(spark, 2_000, 7))))
-    return spark.createDataFrame(rows, "instance string, gamma double")
+    """gamma where the assumption holds, where the label is nearly another party's, and on the hard instance; tau of the most important party where one party tells rows apart and where none does."""
+    rows = [("regression", n, "gamma", assumptions.gamma(dataset(spark, d, n, standard=True))) for n in ("line_star", "line_planted", "line_rev", "docs")]
+    rows.append(("regression", "hard", "gamma", assumptions.gamma(hard.hard_regression(spark, 2_000, 7))))
+    for name, ds in (("emb2", dataset(spark, d, "emb2", label=False)), ("docs", dataset(spark, d, "docs", standard=True, label=False)), ("hard", hard.hard_kmeans(spark, 300, 77))):
+        rows.append(("kmeans", name, "tau", float(assumptions.tau(ds).agg(F.min("tau")).collect()[0][0])))
+    return spark.createDataFrame(rows, "task string, instance string, measure string, value double")
 
 
-def _tau_oracle() -> str:
-    chain, rel, blocks = _km_chain("docs")
-    d = [" + ".join(f"(a.{c} - b.{c}) * (a.{c} - b.{c})" for c in block) for block in blocks]
-    chain.add("pairs", f"SELECT {', '.join(f'{x} AS d{j}' for j, x in enumerate(d))} FROM z a JOIN z b ON a.id < b.id")
-    full = " + ".join(f"d{j}" for j in range(3))
-    # Ratios of pairs that differ elsewhere alone are infinite.
-    return chain.select(" UNION ALL ".join(f"SELECT 'p{j + 1}' AS party, max(CASE WHEN d{j} > 0 THEN 0 WHEN {full} > 0 THEN 1 ELSE 0 END) = 1 AS unbounded FROM pairs" for j in range(3)))
+def _planted_oracle() -> str:
+    chain = Chain()
+    rel = chain.wide("line_planted")
+    cols = [c for b in columns("line_planted") for c in b if c != "y"]
+    return chain.select(unpivot(cols, gauss(chain, rel, cols, "y", "0.0"), 4))
 
 
-@query("tau_pairs_exact", _tau_oracle())
-def tau_pairs_exact(spark: SparkSession, d: str) -> DataFrame:
-    return assumptions.tau(dataset(spark, d, "docs", standard=True, label=False)).select("party", (F.col("tau") == float("inf")).alias("unbounded"))
+@query("planted_model", _planted_oracle())
+def planted_model(spark: SparkSession, d: str) -> DataFrame:
+    """Least squares on a label that was made from known coefficients (in scaled columns) and a small noise finds them, up to the label's scale."""
+    ds = dataset(spark, d, "line_planted", standard=True)
+    return _coefs(spark, ds.features, ridge.fit(ds.concat(), ds.features, ds.label), 4)
 
 
-def _tau_emb_oracle() -> str:
+def _tau_oracle(fixture: str, standard: bool) -> str:
     chain = Chain()
-    chain.wide("emb2", False)
-    blocks = [[c for c in b if c != "y"] for b in columns("emb2")]
+    rel = chain.wide(fixture, standard)
+    blocks = [[c for c in b if c != "y"] for b in columns(fixture)]
     d = [" + ".join(f"(a.{c} - b.{c}) * (a.{c} - b.{c})" for c in block) for block in blocks]
-    chain.add("pairs", f"SELECT {d[0]} AS d0, {d[1]} AS d1 FROM w a JOIN w b ON a.id < b.id WHERE a.id < 100 AND b.id < 100")
-    return chain.select(" UNION ALL ".join(f"SELECT 'p{j + 1}' AS party, round(max((d0 + d1) / d{j}), 5) AS tau FROM pairs" for j in range(2)))
+    chain.add("pairs", f"SELECT {', '.join(f'{x} AS d{j}' for j, x in enumerate(d))} FROM {rel} a JOIN {rel} b ON a.id < b.id")
+    full = " + ".join(f"d{j}" for j in range(len(blocks)))
+    # A pair of equal blocks that differs elsewhere has an infinite ratio, a pair of equal rows has ratio 1.
+    one = [f"SELECT 'p{j + 1}' AS party, max(CASE WHEN d{j} > 0 THEN ({full}) / d{j} WHEN {full} > 0 THEN 1e300 ELSE 1 END) AS t FROM pairs" for j in range(len(blocks))]
+    chain.add("ratios", " UNION ALL ".join(one))
+    return chain.select("SELECT party, t >= 1e300 AS unbounded, CASE WHEN t < 1e300 THEN round(t, 5) END AS tau, t = min(t) OVER () AND t < 1e300 AS important FROM ratios")
 
 
-@query("tau_emb_first_100", _tau_emb_oracle())
-def tau_emb_first_100(spark: SparkSession, d: str) -> DataFrame:
-    """The first hundred vectors alone, beside their SQL twin; ``tau_emb`` takes all vectors."""
-    ds = dataset(spark, d, "emb2", label=False).map(lambda p: replace(p, df=p.df.where("id < 100")))
-    return assumptions.tau(ds).select("party", _r(F.col("tau"), 5).alias("tau"))
+def _tau(ds: VerticalDataset) -> DataFrame:
+    """tau of each party, and which one has the least: the party whose distances tell most about all."""
+    found = assumptions.tau(ds)
+    least = found.agg(F.min("tau")).collect()[0][0]
+    bounded = F.col("tau") < float("inf")
+    return found.select("party", (~bounded).alias("unbounded"), F.when(bounded, _r(F.col("tau"), 5)).alias("tau"), (bounded & (F.col("tau") == F.lit(least))).alias("important"))
 
 
-@query("tau_emb")
+@query("tau_pairs_exact", _tau_oracle("docs", True))
+def tau_pairs_exact(spark: SparkSession, d: str) -> DataFrame:
+    return _tau(dataset(spark, d, "docs", standard=True, label=False))
+
+
+@query("tau_emb", _tau_oracle("emb2", False))
 def tau_emb(spark: SparkSession, d: str) -> DataFrame:
-    """Exact over all pairs of vectors."""
-    return assumptions.tau(dataset(spark, d, "emb2", label=False)).select("party", _r(F.col("tau"), 5).alias("tau"))
+    """Exact over all pairs of vectors, in broadcast blocks."""
+    return _tau(dataset(spark, d, "emb2", label=False))
 
 
 _PLANS = (("regression", 0.1, 0.1, 0.5, 9), ("regression", 0.2, 0.05, 0.9, 3))
@@ -720,13 +824,18 @@ def size_planner(spark: SparkSession, d: str) -> DataFrame:
 # ---- robust, hard, private
 
 
+def _cut(chain: Chain, beta: float) -> None:
+    chain.add("ranked", "SELECT cost, row_number() OVER (ORDER BY cost) AS pos, count(*) OVER () AS n FROM costed")
+    chain.add("cut", f"SELECT max(cost) AS c FROM ranked WHERE pos = n - CAST(floor({beta} * n) AS BIGINT)")
+    chain.add("marked", "SELECT *, cost > (SELECT c FROM cut) AS outlier FROM costed")
+
+
 def _outlier_oracle() -> str:
     chain = Chain()
     chain.wide("docs3")
     chain.add("costed", "SELECT id, power(0.2 * digits + 0.3 * dots + 0.1 * punct - y, 2) AS cost FROM z")
-    chain.add("sorted", "SELECT list(cost ORDER BY cost) AS v, count(*) AS n, (count(*) - 1) * (1 - floor(0.05 * count(*)) / count(*)) AS pos FROM costed")
-    chain.add("cut", "SELECT v[CAST(floor(pos) AS BIGINT) + 1] + (pos - floor(pos)) * (v[CAST(floor(pos) AS BIGINT) + 2] - v[CAST(floor(pos) AS BIGINT) + 1]) AS c FROM sorted")
-    return chain.select("SELECT id, round(cost, 5) AS cost, cost > (SELECT c FROM cut) AS outlier FROM costed")
+    _cut(chain, 0.05)
+    return chain.select("SELECT id, round(cost, 5) AS cost, outlier FROM marked")
 
 
 @query("robust_reg_outliers", _outlier_oracle())
@@ -736,34 +845,89 @@ def robust_reg_outliers(spark: SparkSession, d: str) -> DataFrame:
     return marked.select("id", _r(F.col("cost"), 5).alias("cost"), "outlier")
 
 
-@query("robust_reg_check", "SELECT true AS shares_ok, true AS error_ok")
+_ROBUST = """SELECT round((SELECT avg(outlier::INT) FROM marked), 5) AS share_rows, round((SELECT sum(draws * outlier::INT) / sum(draws) FROM coreset JOIN marked USING (id)), 5) AS share_draws,
+round(abs((SELECT sum(weight * cost) FROM coreset JOIN marked USING (id) WHERE NOT outlier) - (SELECT sum(cost) FROM marked WHERE NOT outlier)) / (SELECT sum(cost) FROM marked), 4) AS error"""
+
+
+def _robust_row(spark: SparkSession, found: dict) -> DataFrame:
+    return spark.createDataFrame([(round(found["share_rows"], 5), round(found["share_draws"], 5), round(found["error"], 4))], "share_rows double, share_draws double, error double")
+
+
+def _robust_reg_oracle() -> str:
+    chain = Chain()
+    chain.regression_scores(chain.wide("line_rev"), columns("line_rev"))
+    chain.coreset(chain.draws("scores", 1000, "reg"), 1000)
+    chain.add("costed", "SELECT id, y * y AS cost FROM z")
+    _cut(chain, 0.05)
+    return chain.select(_ROBUST)
+
+
+@query("robust_reg_check", _robust_reg_oracle())
 def robust_reg_check(spark: SparkSession, d: str) -> DataFrame:
     """A label that nearly lies in another party's span: without the costliest rows the sampled cost is close."""
     ds = dataset(spark, d, "line_rev", standard=True)
-    theta = [0.0] * len(ds.features)
-    marked = robust.largest_costs(ds.concat(), objectives.residual2(ds.features, ds.label, theta), 0.05).select("id", "cost", "outlier")
-    found = robust.robust_check(marked, coreset.regression_coreset(ds, 1000).df, 0.3, 0.2)
-    return spark.createDataFrame([(found["share_rows"] <= 0.05 and found["share_draws"] <= 0.3, found["error"] <= 0.2)], "shares_ok boolean, error_ok boolean")
+    marked = robust.largest_costs(ds.concat(), objectives.residual2(ds.features, ds.label, [0.0] * len(ds.features)), 0.05).select("id", "cost", "outlier")
+    return _robust_row(spark, robust.robust_check(marked, coreset.regression_coreset(ds, 1000).df, 0.3, 0.2))
+
+
+def _robust_km_oracle() -> str:
+    chain, rel, blocks = _km_chain("docs")
+    chain.kmeans_scores(rel, blocks, K, STEPS)
+    chain.coreset(chain.draws("scores", 500, "km"), 500)
+    _, a = chain.clusters("all", rel, [c for b in blocks for c in b], K, 0)
+    chain.add("costed", f"SELECT id, d2 AS cost FROM {a}")
+    _cut(chain, 0.05)
+    return chain.select(_ROBUST)
 
 
-@query("robust_km_outliers", "SELECT true AS shares_ok")
-def robust_km_outliers(spark: SparkSession, d: str) -> DataFrame:
+@query("robust_km_check", _robust_km_oracle())
+def robust_km_check(spark: SparkSession, d: str) -> DataFrame:
     ds = dataset(spark, d, "docs", standard=True, label=False)
     wide = ds.concat()
     centers = kmeans.first_centers(PartySpec("all", wide, tuple(ds.features)), K)
     marked = robust.largest_costs(wide, objectives.least_d2(ds.features, centers), 0.05).select("id", "cost", "outlier")
-    found = robust.robust_check(marked, coreset.kmeans_coreset(ds, K, 500, clusterer=_first).df, 0.3, 0.5)
-    return spark.createDataFrame([(found["share_rows"] <= 0.05 and found["share_draws"] <= 0.3 and found["error"] < 0.5,)], "shares_ok boolean")
+    return _robust_row(spark, robust.robust_check(marked, coreset.kmeans_coreset(ds, K, 500, clusterer=_first).df, 0.3, 0.5))
 
 
-@query("secure_sum_equals_plain", "SELECT true AS equal, true AS hidden")
+@query("robust_sizes")
+def robust_sizes(spark: SparkSession, d: str) -> DataFrame:
+    """Error without the costliest rows as samples grow, beside the error with them: the planned size (c = 1) and multiples of it."""
+    ds = dataset(spark, d, "docs", standard=True, label=False).map(pin)
+    wide = materialize(ds.concat(), "wide")
+    centers = kmeans.first_centers(PartySpec("all", wide, tuple(ds.features)), K)
+    cost = objectives.least_d2(ds.features, centers)
+    marked = materialize(robust.largest_costs(wide, cost, 0.05).select("id", "cost", "outlier"), "marked")
+    table = materialize(scores.score_table(ds, lambda p: scores.kmeans_scores(p, K, clusterer=_first)), "scores")
+    base = planner.plan_robust_kmeans(0.5, 0.5, 2, len(ds.features))
+    out = []
+    for m in (base, 2 * base, 4 * base):
+        sample = sampling.two_level_sample(table, m, "robust").df
+        kept, all_rows = robust.robust_check(marked, sample, 0.5, 0.5), robust.robust_check(marked.withColumn("outlier", F.lit(False)), sample, 0.5, 0.5)
+        out.append((m, kept["share_rows"], kept["share_draws"], kept["error"], all_rows["error"]))
+    return spark.createDataFrame(out, "m int, share_rows double, share_draws double, error double, error_with_all double")
+
+
+@query("secure_sum_equals_plain", _reg_chain("docs").select("SELECT id, round(sum(q) / 1099511627776.0, 6) AS total FROM q GROUP BY id"))
 def secure_sum_equals_plain(spark: SparkSession, d: str) -> DataFrame:
+    """What the server adds up from masked scores."""
     quanta = sampling.quantize(_reg_table(spark, d))
-    plain = quanta.groupBy("id").agg(F.sum("q").alias("q"))
-    safe = privacy.secure_sum(quanta).withColumnRenamed("q", "q2")
-    equal = plain.join(safe, "id").agg(F.min((F.col("q") == F.col("q2")).cast("int")).alias("e"))
-    hidden = privacy.masked_scores(quanta).join(quanta, ["id", "party"]).agg(F.avg((F.col("masked") == F.col("q")).cast("double")).alias("h"))
-    return equal.crossJoin(hidden).select((F.col("e") == 1).alias("equal"), (F.col("h") < 0.01).alias("hidden"))
+    return privacy.secure_sum(quanta).select("id", _r(F.col("q") / F.lit(float(1 << 40))).alias("total"))
+
+
+@query("masked_coreset", _reg_chain("docs").select(_COLLAPSED))
+def masked_coreset(spark: SparkSession, d: str) -> DataFrame:
+    """The sample with masked addition in round 3 is the sample without it."""
+    return _collapsed(sampling.two_level_sample(_reg_table(spark, d), M, masked=True).df)
+
+
+@query("masked_summands_uniform", "SELECT 3 AS parties, true AS spread, 0 AS equal")
+def masked_summands_uniform(spark: SparkSession, d: str) -> DataFrame:
+    """Masked scores of each party fill the range evenly (means near half of it, all eighths hit) and none equals its score."""
+    quanta = sampling.quantize(_reg_table(spark, d))
+    seen = privacy.masked_scores(quanta).join(quanta, ["id", "party"])
+    eighth = (F.col("masked") / F.lit(float(privacy.MODULUS)) * 8).cast("int")
+    per = seen.groupBy("party").agg(F.avg(F.col("masked") / F.lit(float(privacy.MODULUS))).alias("mean"), F.count_distinct(eighth).alias("hit"), F.sum((F.col("masked") == F.col("q")).cast("long")).alias("equal"))
+    return per.agg(F.count(F.lit(1)).cast("int").alias("parties"), F.min((F.abs(F.col("mean") - 0.5) < 0.1) & (F.col("hit") == 8)).alias("spread"), F.sum("equal").cast("int").alias("equal"))
 
 
 @query("malicious_party_share", "SELECT true AS drifts, true AS nearly_all")
@@ -838,48 +1002,105 @@ def comm_published_reconstruction(spark: SparkSession, d: str) -> DataFrame:
 
 # ---- experiments
 
+LINE_SIZES, DOC_SIZES, EMB_SIZES, REPEATS = (1000, 2000, 3000, 4000, 5000, 6000), (100, 200, 500, 1000), (50, 100, 200, 500), 20
+
 
 @query("exp_reg_table")
 def exp_reg_table(spark: SparkSession, d: str) -> DataFrame:
-    from vpcoreset.experiments import regression_table
-
-    return regression_table(dataset(spark, d, "docs", standard=True), (100, 200, 500), 20)
+    return experiments.regression_table(dataset(spark, d, "docs"), DOC_SIZES, REPEATS)
 
 
 @query("exp_reg_saga_table")
 def exp_reg_saga_table(spark: SparkSession, d: str) -> DataFrame:
-    from vpcoreset.experiments import regression_table
-
-    return regression_table(dataset(spark, d, "docs", standard=True), (50, 100), 4, solvers=("saga",))
+    return experiments.regression_table(dataset(spark, d, "docs"), DOC_SIZES, REPEATS, solvers=("saga",))
 
 
 @query("exp_km_table")
 def exp_km_table(spark: SparkSession, d: str) -> DataFrame:
-    from vpcoreset.experiments import kmeans_table
-
-    return kmeans_table(dataset(spark, d, "docs", standard=True, label=False), 10, (100, 200, 500), 20)
+    return experiments.kmeans_table(dataset(spark, d, "docs", standard=True, label=False), 10, DOC_SIZES, REPEATS)
 
 
 @query("exp_km_emb_table")
 def exp_km_emb_table(spark: SparkSession, d: str) -> DataFrame:
     """Vectors in three blocks, ten centres: near-isotropic rows, on which both samplings are about equal."""
-    from vpcoreset.experiments import kmeans_table
-
-    return kmeans_table(dataset(spark, d, "emb3", label=False), 10, (100, 200), 10)
+    return experiments.kmeans_table(dataset(spark, d, "emb3", label=False), 10, EMB_SIZES, REPEATS)
 
 
 @query("exp_line_table")
 def exp_line_table(spark: SparkSession, d: str) -> DataFrame:
-    from vpcoreset.experiments import regression_table
+    return experiments.regression_table(dataset(spark, d, "line_star"), LINE_SIZES, REPEATS)
+
+
+@query("exp_line_saga_table")
+def exp_line_saga_table(spark: SparkSession, d: str) -> DataFrame:
+    return experiments.regression_table(dataset(spark, d, "line_star"), LINE_SIZES, REPEATS, solvers=("saga",))
+
 
-    return regression_table(dataset(spark, d, "line_star", standard=True), (1000, 3000, 6000), 5)
+@query("exp_km_line_table")
+def exp_km_line_table(spark: SparkSession, d: str) -> DataFrame:
+    return experiments.kmeans_table(dataset(spark, d, "line_star", standard=True, label=False), 10, LINE_SIZES, REPEATS)
 
 
 @query("exp_equal_comm")
 def exp_equal_comm(spark: SparkSession, d: str) -> DataFrame:
-    from vpcoreset.experiments import equal_communication
+    return experiments.equal_communication(exp_km_table(spark, d))
 
-    return equal_communication(exp_km_table(spark, d))
+
+@query("exp_equal_comm_reg")
+def exp_equal_comm_reg(spark: SparkSession, d: str) -> DataFrame:
+    """The same for ridge: the uniform sample that costs no less to move."""
+    return experiments.equal_communication(exp_reg_table(spark, d))
+
+
+@query("exp_relative")
+def exp_relative(spark: SparkSession, d: str) -> DataFrame:
+    """Cost ratios, shares of rows and of numbers moved, and units saved, for ridge on the lines."""
+    ds = dataset(spark, d, "line_star")
+    return experiments.relative(experiments.regression_table(ds, LINE_SIZES, REPEATS), len(ds.features) + 1)
+
+
+def _table_oracle() -> str:
+    """Ridge on samples of the training rows, scaled by their statistics, and its loss on the test rows: the table spelled out in SQL."""
+    sizes, repeats = "(VALUES (50), (100), (200)) s(size)", 5
+    chain = Chain()
+    chain.add("all_rows", wide_sql("docs3"))
+    cols = ["digits", "dots", "punct"]
+    part = f"CAST('0x' || substr(md5(concat_ws(':', 'split', id)), 1, 13) AS BIGINT) < {int(0.1 * (1 << 52))}"
+    chain.add("stats", f"SELECT {', '.join(f'avg({c}) AS m_{c}, stddev_pop({c}) AS s_{c}' for c in [*cols, 'y'])} FROM all_rows WHERE NOT {part}")
+    scaled = ", ".join(f"({c} - m_{c}) / s_{c} AS {c}" for c in [*cols, "y"])
+    chain.add("z", f"SELECT id, {scaled} FROM all_rows, stats WHERE NOT {part}")
+    chain.add("held", f"SELECT id, {scaled} FROM all_rows, stats WHERE {part}")
+    chain.regression_scores("z", columns("docs3"))
+    chain.add("uscores", f"SELECT id, 0 AS party, {2.0**-20!r} AS score FROM z")
+    found = []
+    for method, scored, seed, p, name in (("coreset", "scores", "grid", 40, "c"), ("uniform", "uscores", "grid-uniform", 20, "u")):
+        draws = chain.draws(scored, 200, seed, repeats, p, name)
+        chain.add(f"{name}rows", f"SELECT s.size, d.replicate, z.*, (SELECT max(grand) FROM {name}tot)::DOUBLE / (s.size * g.q) AS weight FROM {draws} d JOIN {sizes} ON d.draw_no < s.size JOIN z ON z.id = d.id JOIN (SELECT id, sum(q) AS q FROM {name}q GROUP BY 1) g ON g.id = d.id")
+        t = gauss(chain, f"{name}rows", cols, "y", "(SELECT 0.1 * count(*) FROM z)", "weight", f"{name}t", ("size", "replicate"))
+        loss = chain.add(f"{name}loss", f"SELECT t.size, t.replicate, avg(power({' + '.join(f'h.{c} * t.t{i}' for i, c in enumerate(cols))} - h.y, 2)) AS cost FROM {t} t, held h GROUP BY 1, 2")
+        found.append(f"SELECT '{method}+ridge' AS method, size, round(avg(cost), 5) AS avg_cost, round(stddev_samp(cost), 5) AS std_cost FROM {loss} GROUP BY size")
+    t = gauss(chain, "z", cols, "y", "(SELECT 0.1 * count(*) FROM z)", name="ft")
+    found.append(f"SELECT 'full+ridge', (SELECT count(*) FROM z), round(avg(power({' + '.join(f'h.{c} * t.t{i}' for i, c in enumerate(cols))} - h.y, 2)), 5), 0.0 FROM {t} t, held h")
+    return chain.select(" UNION ALL ".join(found))
+
+
+@query("exp_reg_three", _table_oracle())
+def exp_reg_three(spark: SparkSession, d: str) -> DataFrame:
+    """The comparison table of three columns, whose every cell SQL can spell out."""
+    table = experiments.regression_table(dataset(spark, d, "docs3"), (50, 100, 200), 5)
+    return table.select("method", "size", _r(F.col("avg_cost"), 5).alias("avg_cost"), _r(F.col("std_cost"), 5).alias("std_cost"))
+
+
+@query("exp_party_costs")
+def exp_party_costs(spark: SparkSession, d: str) -> DataFrame:
+    """Costs and units for 2, 3, 4 and 8 parties of the vectors: a sample of 200, k-means with ten centres and ridge."""
+    rows = []
+    for name in ("emb2", "emb3", "emb4", "emb8"):
+        parties = len(FIXTURES[name].parties)
+        km = experiments.kmeans_table(dataset(spark, d, name, label=False), 10, (200,), 5, solvers=("kmeans++",), restarts=1).where("method <> 'full+kmeans++'")
+        reg = experiments.regression_table(dataset(spark, d, name), (200,), 5).where("method <> 'full+ridge'")
+        rows.append(km.unionByName(reg).withColumn("parties", F.lit(parties)))
+    return rows[0].unionByName(rows[1]).unionByName(rows[2]).unionByName(rows[3])
 
 
 @query("exp_party_sweep")

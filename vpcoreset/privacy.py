@@ -7,8 +7,6 @@ from itertools import combinations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vpcoreset.functions.rng import u52
-
 MODULUS = 1 << 61
 
 
@@ -17,14 +15,16 @@ def masked_scores(quanta: DataFrame, seed: str = "mask") -> DataFrame:
     parties = sorted(r["party"] for r in quanta.select("party").distinct().collect())
     total = F.col("q").cast("decimal(38,0)")
     for a, b in combinations(parties, 2):
-        mask = u52(seed, str(a), str(b), F.col("id")).cast("decimal(38,0)")
+        text = F.md5(F.concat_ws(":", F.lit(seed), F.lit(str(a)), F.lit(str(b)), F.col("id").cast("string")))
+        part = lambda start, digits: F.conv(F.substring(text, start, digits), 16, 10).cast("long")
+        mask = (part(1, 13) * F.lit(512) + F.shiftright(part(14, 3), 3)).cast("decimal(38,0)")  # 52 and 9 bits: uniform below the modulus
         total = total + F.when(F.col("party") == a, mask).when(F.col("party") == b, -mask).otherwise(F.lit(0).cast("decimal(38,0)"))
     m = F.lit(MODULUS).cast("decimal(38,0)")
     return quanta.select("id", "party", F.pmod(total, m).cast("decimal(38,0)").alias("masked"))
 
 
 def secure_sum(quanta: DataFrame, seed: str = "mask") -> DataFrame:
-    """(id, q): what the server gets by adding masked scores; each summand alone tells it nothing."""
+    """(id, q): what the server gets by adding masked scores. With two parties or more a summand alone is uniform below the modulus for whoever lacks the masks."""
     m = F.lit(MODULUS).cast("decimal(38,0)")
     return masked_scores(quanta, seed).groupBy("id").agg(F.pmod(F.sum("masked").cast("decimal(38,0)"), m).cast("long").alias("q"))
 

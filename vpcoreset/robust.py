@@ -10,18 +10,45 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
-def largest_costs(rows: DataFrame, cost: Column, beta: float) -> DataFrame:
-    """Rows with their cost and whether they belong to the beta share of largest costs; ties beyond the share stay in.
+def order_statistic(rows: DataFrame, col: str, rank: int, few: int = 100_000) -> float:
+    """The value of a rank (0: the least) among the non-null values, exactly.
 
-    The cut is an exact order statistic of the costs: rows at or above it are set aside if all of them fit in the share.
+    Sketches of quantiles narrow a band around it, which is counted exactly each time, until it holds few values; those are sorted
+    on the driver. No task ever holds all values.
     """
+    values = rows.where(F.col(col).isNotNull()).select(F.col(col).cast("double").alias("v"))
+    below, band, size = 0, values, values.count()
+    if not 0 <= rank < size:
+        raise ValueError("no such rank")
+    while size > few:
+        share, slack = (rank - below) / size, 0.01
+        low, high = band.agg(F.percentile_approx("v", [max(0.0, share - slack), min(1.0, share + slack)], F.lit(10_000)).alias("q")).collect()[0]["q"]
+        c = band.agg(F.sum((F.col("v") < low).cast("long")).alias("less"), F.sum((F.col("v") <= high).cast("long")).alias("upto")).collect()[0]
+        inside = c["less"] <= rank - below < c["upto"]
+        if low == high and inside:
+            return float(low)
+        if not inside or c["upto"] - c["less"] >= size:  # many ties: cut at one value
+            low = high = band.agg(F.percentile_approx("v", share, F.lit(10_000)).alias("q")).collect()[0]["q"]
+            c = band.agg(F.sum((F.col("v") < low).cast("long")).alias("less"), F.sum((F.col("v") <= low).cast("long")).alias("upto")).collect()[0]
+            if c["less"] <= rank - below < c["upto"]:
+                return float(low)
+            if rank - below < c["less"]:
+                band, size = band.where(F.col("v") < low), c["less"]
+            else:
+                band, size, below = band.where(F.col("v") > low), size - c["upto"], below + c["upto"]
+            continue
+        band, size, below = band.where((F.col("v") >= low) & (F.col("v") <= high)), c["upto"] - c["less"], below + c["less"]
+    return float(sorted(r["v"] for r in band.collect())[rank - below])
+
+
+def largest_costs(rows: DataFrame, cost: Column, beta: float) -> DataFrame:
+    """Rows with their cost and whether they belong to the beta share of largest costs; ties with the largest cost that stays, stay."""
     costed = rows.withColumn("cost", cost)
     n = costed.count()
     keep = int(beta * n)
     if not keep:
         return costed.withColumn("outlier", F.lit(False))
-    cut = costed.agg(F.percentile("cost", F.lit(1 - keep / n)).alias("c")).collect()[0]["c"]
-    return costed.withColumn("outlier", F.col("cost") > F.lit(cut))
+    return costed.withColumn("outlier", F.col("cost") > F.lit(order_statistic(costed, "cost", n - keep - 1)))
 
 
 def robust_check(marked: DataFrame, sample: DataFrame, beta: float, eps: float, penalty: float = 0.0) -> dict:

@@ -103,7 +103,7 @@ def store_quanta(scores: DataFrame, p: int = QUANTA, leaf: int = LEAF) -> Quanta
     totals: dict[int, list[int]] = {}
     for r in sums:
         totals.setdefault(r["party"], [0] * (1 << first))[r["bucket"]] = (r["high"] << 31) + r["low"]
-    if any(sum(b) >= 1 << 62 for b in totals.values()):
+    if sum(map(sum, totals.values())) >= 1 << 61:
         raise ValueError("scores add up to more than the quanta can count; take fewer bits p")
     return Quanta(df, dict(sorted(totals.items())), first, last)
 

@@ -1,6 +1,6 @@
 """k-means: seeding and Lloyd steps on the cluster for full blocks, and weighted numpy versions for samples.
 
-Lloyd on the cluster: centres are literals of one aggregate over the pruned scan; k rows come back. Seeding by squared
+Lloyd on the cluster: tasks add up their rows by cell, and k rows come back. Seeding by squared
 distance is a race: the row of the least ``-ln(u) / d2`` is drawn with a probability in proportion to d2, u being a hash of the id. So a
 seed costs one aggregate, and a repeat gives the same seeds. Several starts share their jobs: each seed and each step of
 all of them is one scan.
@@ -8,9 +8,11 @@ all of them is one scan.
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+from collections.abc import Iterator, Sequence
 
 import numpy as np
+import pandas as pd
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from vpcoreset.functions import vectors
@@ -45,20 +47,30 @@ def _weight(p: PartySpec):
 def d2_seeds(p: PartySpec, k: int, seeds: Sequence[str]) -> list[np.ndarray]:
     """For each start k seeds, each drawn by its (weighted) squared distance to the ones before, the first by weight alone.
 
-    Where all rows are seeds already, further ones are drawn by weight alone.
+    Where all rows are seeds already, further ones are drawn by weight alone. A task hands on its winner of each start.
     """
-    block, w = p.block(), _weight(p)
+    block, w, n = p.block(), _weight(p), len(seeds)
     out = [np.zeros((0, len(p.features))) for _ in seeds]
-    row = F.struct(*p.features)
+    cols = list(p.features)
     for i in range(k):
-        races = []
-        for r, (seed, centers) in enumerate(zip(seeds, out, strict=True)):
-            u = (u52(seed, str(i), F.col("id")) + F.lit(0.5)) / F.lit(float(1 << BITS))
-            mass = _best(p, centers)["d2"] * w if i else w
-            race = lambda m, u=u: F.min_by(row, F.when(m > 0, F.struct(-F.log(u) / m, F.col("id"))))
-            races += [race(mass).alias(f"a{r}"), race(w).alias(f"b{r}")]
-        found = block.agg(*races).collect()[0]
-        out = [np.vstack([c, [found[f"a{r}"] or found[f"b{r}"]]]) for r, c in enumerate(out)]
+        keys = [(-F.log((u52(seed, str(i), F.col("id")) + F.lit(0.5)) / F.lit(float(1 << BITS)))).alias(f"__u{r}") for r, seed in enumerate(seeds)]
+
+        def race(batches: Iterator[pd.DataFrame], out=out) -> Iterator[pd.DataFrame]:
+            for batch in batches:
+                x, wt = batch[cols].to_numpy(float), batch["__w"].to_numpy(float)
+                for r in range(n):
+                    mass = wt * (plain_distances(x, out[r]).min(1) if len(out[r]) else 1.0)
+                    for free, m in ((0, mass), (1, wt)):
+                        if (m > 0).any():
+                            with np.errstate(divide="ignore"):
+                                key = np.where(m > 0, batch[f"__u{r}"].to_numpy(float) / np.where(m > 0, m, 1), np.inf)
+                            best = np.flatnonzero(key == key.min())
+                            at = best[np.argmin(batch["id"].to_numpy()[best])]
+                            yield pd.DataFrame({"start": [r], "free": [free], "key": [key[at]], "id": [str(batch["id"].iloc[at])], "row": [x[at]]})
+
+        won = block.select("id", *cols, w.alias("__w"), *keys).mapInPandas(race, "start int, free int, key double, id string, row array<double>")
+        found = {(r["start"], r["free"]): r["row"] for r in won.groupBy("start", "free").agg(F.min_by("row", F.struct("key", "id")).alias("row")).collect()}
+        out = [np.vstack([c, [found.get((r, 0)) or found[r, 1]]]) for r, c in enumerate(out)]
     return out
 
 
@@ -67,29 +79,65 @@ def d2_centers(p: PartySpec, k: int, seed: str = "d2") -> np.ndarray:
 
 
 def lloyd_many(p: PartySpec, starts: Sequence[np.ndarray], iterations: int) -> list[np.ndarray]:
-    """Lloyd steps of several starts on all rows, one scan a step; an empty cell keeps its centre, and starts that stand still end the work."""
-    w, starts = _weight(p), [np.array(c, float) for c in starts]
+    """Lloyd steps of several starts on all rows, one scan a step; an empty cell keeps its centre, and starts that stand still end the work.
+
+    Tasks hand on sums of their rows by start and cell, from Arrow batches; the cluster adds them up.
+    """
+    starts, cols = [np.array(c, float) for c in starts], list(p.features)
+    rows = p.block().select(*cols, _weight(p).alias("__w"))
     for _ in range(iterations):
-        cells = F.array(*[F.struct(F.lit(r).alias("r"), _best(p, c)["cell"].alias("cell")) for r, c in enumerate(starts)])
-        rows = p.block().select("*", F.explode(cells).alias("at")).groupBy("at.r", "at.cell")
-        moved = 0.0
-        for r in rows.agg(F.sum(w).alias("w"), *[F.sum(w * F.col(c)).alias(f"s{i}") for i, c in enumerate(p.features)]).collect():
-            if r["w"]:
-                new = np.array([r[f"s{i}"] / r["w"] for i in range(len(p.features))])
-                moved = max(moved, float(np.abs(new - starts[r["r"]][r["cell"]]).max(initial=0)))
-                starts[r["r"]][r["cell"]] = new
+
+        def partial(batches: Iterator[pd.DataFrame], starts=starts) -> Iterator[pd.DataFrame]:
+            sums = [np.zeros((len(c), len(cols) + 1)) for c in starts]
+            for batch in batches:
+                x, w = batch[cols].to_numpy(float), batch["__w"].to_numpy(float)
+                for c, s in zip(starts, sums, strict=True):
+                    cell = plain_distances(x, c).argmin(1)
+                    s[:, 0] += np.bincount(cell, w, len(c))
+                    for j in range(len(cols)):
+                        s[:, j + 1] += np.bincount(cell, w * x[:, j], len(c))
+            for r, s in enumerate(sums):
+                yield pd.DataFrame({"start": r, "at": np.arange(s.size), "value": s.ravel()})
+
+        found = rows.mapInPandas(partial, "start int, at int, value double").groupBy("start", "at").agg(F.sum("value").alias("value")).collect()
+        sums = [np.zeros((len(c), len(cols) + 1)) for c in starts]
+        for r in found:
+            sums[r["start"]].ravel()[r["at"]] = r["value"]
+        moved, after = 0.0, []
+        for c, s in zip(starts, sums, strict=True):
+            full = s[:, 0] > 0
+            new = np.where(full[:, None], s[:, 1:] / np.where(full, s[:, 0], 1)[:, None], c)
+            moved = max(moved, float(np.abs(new - c).max(initial=0)))
+            after.append(new)
+        starts = after
         if moved < 1e-12:
             break
     return starts
 
 
+def costs_many(df: DataFrame, features: Sequence[str], models: Sequence[np.ndarray], weight: str | None = None) -> tuple[list[float], float]:
+    """Sum of (weighted) squared distances to the nearest centre for many center sets, broadcast once, and the weight of all rows."""
+    held = df.sparkSession.sparkContext.broadcast([np.asarray(c, float) for c in models])
+    cols = list(features)
+
+    def partial(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        total, n = np.zeros(len(held.value)), 0.0
+        for batch in batches:
+            x, w = batch[cols].to_numpy(float), batch["__w"].to_numpy(float)
+            n += w.sum()
+            total += [float(w @ distances(x, c).min(1)) for c in held.value]
+        yield pd.DataFrame({"at": np.arange(len(total) + 1), "value": np.append(total, n)})
+
+    rows = df.select(*cols, (F.col(weight).cast("double") if weight else F.lit(1.0)).alias("__w"))
+    sums = {r["at"]: r["value"] for r in rows.mapInPandas(partial, "at int, value double").groupBy("at").agg(F.sum("value").alias("value")).collect()}
+    held.destroy()
+    return [sums[i] for i in range(len(models))], sums[len(models)]
+
+
 def full_centers(p: PartySpec, k: int, *, restarts: int = 3, iterations: int = 20, seed: str = "full") -> np.ndarray:
     """Seeding by squared distance and Lloyd steps on all rows: the start of the least cost."""
-    from vpcoreset.objectives import kmeans_costs
-
     found = lloyd_many(p, d2_seeds(p, k, [f"{seed}-{r}" for r in range(restarts)]), iterations)
-    costs = kmeans_costs(p.block(), p.features, found, p.weight)
-    return found[int(np.argmin(costs))]
+    return found[int(np.argmin(costs_many(p.block(), p.features, found, p.weight)[0]))]
 
 
 def lloyd(p: PartySpec, centers: np.ndarray, iterations: int) -> np.ndarray:
@@ -125,6 +173,15 @@ def distances(x: np.ndarray, centers: np.ndarray) -> np.ndarray:
     return np.maximum((x * x).sum(1)[:, None] - 2 * x @ centers.T + (centers * centers).sum(1)[None, :], 0.0)
 
 
+def plain_distances(x: np.ndarray, centers: np.ndarray) -> np.ndarray:
+    """Squared distances by differences, column by column: ties come out as they do in the engine's expressions."""
+    out = np.zeros((len(x), len(centers)))
+    for k, c in enumerate(centers):
+        for j in range(x.shape[1]):
+            out[:, k] += (x[:, j] - c[j]) ** 2
+    return out
+
+
 def seed_weighted(x: np.ndarray, w: np.ndarray, k: int, seed: int) -> np.ndarray:
     rng = np.random.default_rng(seed)
     centers = [x[rng.choice(len(x), p=w / w.sum())]]

@@ -46,14 +46,25 @@ def _docs_quality() -> Fixture:
     return Fixture((*d.parties[:2], (last[0], last[1].replace("CAST(n_chars AS DOUBLE) AS y FROM {documents}", "CAST(quality AS DOUBLE) AS y FROM {documents} JOIN {labels} USING (doc_id)"))), "y")
 
 
-def _line(label: str, extra: str = "") -> Fixture:
+def _line(label: str, extra: str = "", planted: bool = False) -> Fixture:
+    part = " JOIN {part} ON l_partkey = p_partkey" if planted else ""
     return Fixture((
         (("qty", "disc", "tax"), f"SELECT {_LINE_KEY} AS id, l_quantity AS qty, l_discount AS disc, l_tax AS tax{extra} FROM {{lineitem}}"),
         (("p_size", "p_price"), f"SELECT {_LINE_KEY} AS id, CAST(p_size AS DOUBLE) AS p_size, p_retailprice AS p_price FROM {{lineitem}} JOIN {{part}} ON l_partkey = p_partkey"),
-        (("o_total", "s_bal", "c_bal"), f"SELECT {_LINE_KEY} AS id, o_totalprice AS o_total, s_acctbal AS s_bal, c_acctbal AS c_bal, {label} AS y FROM {{lineitem}} JOIN {{orders}} ON l_orderkey = o_orderkey JOIN {{supplier}} ON l_suppkey = s_suppkey JOIN {{customer}} ON o_custkey = c_custkey"),
+        (("o_total", "s_bal", "c_bal"), f"SELECT {_LINE_KEY} AS id, o_totalprice AS o_total, s_acctbal AS s_bal, c_acctbal AS c_bal, {label} AS y FROM {{lineitem}} JOIN {{orders}} ON l_orderkey = o_orderkey JOIN {{supplier}} ON l_suppkey = s_suppkey JOIN {{customer}} ON o_custkey = c_custkey{part}"),
     ), "y")
 
 
+#: Coefficients of the planted label, for columns over their usual size.
+PLANTED = (("l_quantity / 50", 1.0), ("l_discount / 0.1", -2.0), ("l_tax / 0.08", 0.5), ("p_size / 50.0", 1.5), ("p_retailprice / 2000", -1.0), ("o_totalprice / 500000", 2.0), ("s_acctbal / 10000", 0.3), ("c_acctbal / 10000", -0.7))
+
+
+def _line_planted() -> Fixture:
+    """A label of known coefficients and a noise of a hash of the key, at most 0.01 to either side."""
+    noise = "HEX15(l_orderkey, l_linenumber, l_partkey, l_suppkey, l_extendedprice) / 1152921504606846976e0 * 0.02 - 0.01"
+    return _line(" + ".join(f"({c}) * ({t})" for c, t in PLANTED) + f" + {noise}", planted=True)
+
+
 def _line_rev() -> Fixture:
     f = _line("l_extendedprice * (1 - l_discount) * (1 + l_tax)", ", l_extendedprice AS price")
     (names, sql), *rest = f.parties
@@ -98,7 +109,7 @@ def _conversations() -> Fixture:
 
 
 FIXTURES = {
-    "docs": _docs(), "docs3": _docs3(), "docs_quality": _docs_quality(), "line_star": _line("l_extendedprice"), "line_rev": _line_rev(),
+    "docs": _docs(), "docs3": _docs3(), "docs_quality": _docs_quality(), "line_star": _line("l_extendedprice"), "line_rev": _line_rev(), "line_planted": _line_planted(),
     "emb3": _vector((22, 21, 21)), "emb4": _vector((16, 16, 16, 16)), "emb2": _vector((48, 16)), "emb8": _vector((8,) * 8),
     "ev": _events(), "pages": _pages(), "conv": _conversations(),
 }
