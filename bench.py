@@ -16,7 +16,7 @@ CPUS = os.environ.get("BENCH_CPUS", "8")
 
 HEADLINE = (
     "reg_scores_line", "reg_coreset_line", "reg_coreset_docs", "km_coreset_docs", "km_coreset_emb", "ridge_full_docs", "ridge_on_coreset", "ridge_on_uniform",
-    "kmeans_full_emb", "kmeans_on_coreset", "dimdist_kmeans_full", "dimdist_on_coreset", "exp_reg_table", "exp_km_table", "exp_line_table", "st_tumbling_stats",
+    "kmeans_full_emb", "kmeans_on_coreset", "column_split_kmeans_full", "column_split_on_coreset", "exp_reg_table", "exp_km_table", "exp_line_table", "st_tumbling_stats",
 )
 
 

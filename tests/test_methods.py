@@ -11,7 +11,7 @@ from vpcoreset.functions.rng import u52, u52_py
 from vpcoreset.ledger import CommLedger, construction, solving
 from vpcoreset.linalg import gram, tsqr, whitener
 from vpcoreset.parties import PartySpec, VerticalDataset, dataset, handle_nulls, split_by_names, standardize
-from vpcoreset.solvers import dimdist, kmeans, ridge, saga
+from vpcoreset.solvers import column_split, kmeans, ridge, saga
 
 
 @pytest.fixture(scope="module")
@@ -216,9 +216,9 @@ def test_dimension_distributed_on_separated_blocks(spark):
     x = np.array([[0, 0, 0, 0], [9, 9, 0, 0], [0, 0, 9, 9]])[cell] + 0.1 * rng.standard_normal((200, 4))
     df = spark.createDataFrame([(i, *map(float, r)) for i, r in enumerate(x)], "id long, a double, b double, c double, d double")
     ds = split_by_names(df, [["a", "b"], ["c", "d"]])
-    centers = dimdist.fit(ds, 3, clusterer="farthest")
+    centers = column_split.fit(ds, 3, clusterer="farthest")
     assert objectives.kmeans_costs(df, ds.features, [centers])[0] / 200 < 0.1
-    sample = dimdist.fit_arrays([x[:, :2], x[:, 2:]], np.ones(200), 3)
+    sample = column_split.fit_arrays([x[:, :2], x[:, 2:]], np.ones(200), 3)
     assert kmeans.distances(x, sample).min(1).mean() < 0.1
 
 
@@ -394,7 +394,7 @@ def test_grid_clustered_as_a_table(table):
     _, ds, x, _ = table
     ds = ds.map(lambda p: PartySpec(p.name, p.df, p.features))
     near = lambda c: float(((x[:, None] - c[None]) ** 2).sum(2).min(1).sum())
-    assert near(dimdist.fit(ds, 4, local=0)) < 1.4 * near(dimdist.fit(ds, 4))
+    assert near(column_split.fit(ds, 4, local=0)) < 1.4 * near(column_split.fit(ds, 4))
 
 
 def test_saga_forms_agree(table):

@@ -18,7 +18,7 @@ from vpcoreset.ledger import construction, solving
 from vpcoreset.parties import VerticalDataset, pin, standardize
 from vpcoreset.sampling import sample_grid, uniform_scores
 from vpcoreset.scores import kmeans_scores, regression_scores, score_table
-from vpcoreset.solvers import dimdist, kmeans, ridge, saga
+from vpcoreset.solvers import column_split, kmeans, ridge, saga
 from vpcoreset.sources.io import materialize
 
 SCHEMA = "task string, method string, size int, avg_cost double, std_cost double, units double, construction_frac double"
@@ -139,12 +139,12 @@ def kmeans_table(ds: VerticalDataset, k: int, sizes: Sequence[int], repeats: int
         centers = kmeans.full_centers(whole, k, restarts=restarts)
         out.append(("kmeans", "full+kmeans++", n, kmeans_full_cost(wide, ds.features, [centers])[0], solving("transfer", n, widths).total(), 0.0))
     if "dimension" in solvers:
-        centers = dimdist.fit(ds, k, clusterer=clusterer)
+        centers = column_split.fit(ds, k, clusterer=clusterer)
         out.append(("kmeans", "full+dimension", n, kmeans_full_cost(wide, ds.features, [centers])[0], solving("dimension", n, widths, k=k).total(), 0.0))
     rows = _samples(ds, score_table(ds, lambda p: kmeans_scores(p, k, clusterer=clusterer)), sizes, repeats)
     for solver in solvers:
         if solver == "dimension":
-            solve = lambda x, y, w, s: dimdist.fit_arrays([x[:, a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True)], w, k, seed=s)
+            solve = lambda x, y, w, s: column_split.fit_arrays([x[:, a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True)], w, k, seed=s)
         else:
             solve = lambda x, y, w, s: kmeans.fit_weighted(x, w, k, seed=s)
         found = _solve_groups(rows, ds, solve)

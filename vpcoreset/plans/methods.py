@@ -14,7 +14,7 @@ from vpcoreset.ledger import construction, solving
 from vpcoreset.linalg import gram
 from vpcoreset.oracles import Chain, columns, descent, gauss, ridge3, uniform, unpivot
 from vpcoreset.parties import PartySpec, VerticalDataset, dataset, pin, split_by_names
-from vpcoreset.solvers import dimdist, kmeans, ridge, saga
+from vpcoreset.solvers import column_split, kmeans, ridge, saga
 from vpcoreset.sources.fixtures import FIXTURES, wide_sql
 from vpcoreset.sources.io import materialize
 
@@ -258,26 +258,26 @@ def _reg_table(spark: SparkSession, d: str, fixture: str = "docs") -> DataFrame:
     return scores.score_table(dataset(spark, d, fixture, standard=True), scores.regression_scores)
 
 
-@query("dis_party_totals", _reg_chain("docs").select("SELECT party, round(qp / 1099511627776.0, 6) AS party_total FROM tot"))
-def dis_party_totals(spark: SparkSession, d: str) -> DataFrame:
+@query("draw_party_totals", _reg_chain("docs").select("SELECT party, round(qp / 1099511627776.0, 6) AS party_total FROM tot"))
+def draw_party_totals(spark: SparkSession, d: str) -> DataFrame:
     totals = sampling.store_quanta(_reg_table(spark, d)).party_totals
     return spark.createDataFrame([(j, round(t / (1 << 40), 6)) for j, t in totals.items()], "party int, party_total double")
 
 
-@query("dis_allocation", _reg_chain("docs").select("SELECT party, count(*) AS draws FROM par GROUP BY 1"))
-def dis_allocation(spark: SparkSession, d: str) -> DataFrame:
+@query("draw_allocation", _reg_chain("docs").select("SELECT party, count(*) AS draws FROM par GROUP BY 1"))
+def draw_allocation(spark: SparkSession, d: str) -> DataFrame:
     drawn = sampling.allocate_draws(sampling.store_quanta(_reg_table(spark, d)).party_totals, M, "sample")
     return spark.createDataFrame([(j,) for j in drawn], "party int").groupBy("party").agg(F.count(F.lit(1)).alias("draws"))
 
 
-@query("dis_draws", _reg_chain("docs").select("SELECT replicate, draw_no, party, id FROM draws"))
-def dis_draws(spark: SparkSession, d: str) -> DataFrame:
+@query("draw_draws", _reg_chain("docs").select("SELECT replicate, draw_no, party, id FROM draws"))
+def draw_draws(spark: SparkSession, d: str) -> DataFrame:
     quanta = sampling.store_quanta(_reg_table(spark, d))
     return sampling.draw_rows(quanta, sampling.make_thresholds(quanta.totals, M, "sample", [0])).drop("bucket")
 
 
-@query("dis_weights", _reg_chain("docs").select(f"SELECT d.draw_no, d.party, d.id, round(c.weight / c.draws, 3) AS weight FROM draws d JOIN coreset c USING (replicate, id)"))
-def dis_weights(spark: SparkSession, d: str) -> DataFrame:
+@query("draw_weights", _reg_chain("docs").select(f"SELECT d.draw_no, d.party, d.id, round(c.weight / c.draws, 3) AS weight FROM draws d JOIN coreset c USING (replicate, id)"))
+def draw_weights(spark: SparkSession, d: str) -> DataFrame:
     out = sampling.two_level_sample(_reg_table(spark, d), M, collapse=False).df
     return out.select("draw_no", "party", "id", _r(F.col("weight"), 3).alias("weight"))
 
@@ -289,18 +289,18 @@ def _collapsed(df: DataFrame) -> DataFrame:
 _COLLAPSED = "SELECT replicate, id, draws, round(weight, 3) AS weight FROM coreset"
 
 
-@query("dis_coreset_collapsed", _reg_chain("line_star").select(_COLLAPSED))
-def dis_coreset_collapsed(spark: SparkSession, d: str) -> DataFrame:
+@query("draw_coreset_collapsed", _reg_chain("line_star").select(_COLLAPSED))
+def draw_coreset_collapsed(spark: SparkSession, d: str) -> DataFrame:
     return _collapsed(sampling.two_level_sample(_reg_table(spark, d, "line_star"), M).df)
 
 
-@query("dis_replicates", _reg_chain("docs", 50, "sample", 5).select(_COLLAPSED))
-def dis_replicates(spark: SparkSession, d: str) -> DataFrame:
+@query("draw_replicates", _reg_chain("docs", 50, "sample", 5).select(_COLLAPSED))
+def draw_replicates(spark: SparkSession, d: str) -> DataFrame:
     return _collapsed(sampling.two_level_sample(_reg_table(spark, d), 50, replicates=range(5)).df)
 
 
-@query("dis_one_party", "SELECT 0.0 AS largest_difference")
-def dis_one_party(spark: SparkSession, d: str) -> DataFrame:
+@query("draw_one_party", "SELECT 0.0 AS largest_difference")
+def draw_one_party(spark: SparkSession, d: str) -> DataFrame:
     """With one party the weights are those of plain importance sampling, G / (m g)."""
     ds = dataset(spark, d, "docs", standard=True)
     one = VerticalDataset((replace(ds.parties[0], name="one"),))
@@ -311,8 +311,8 @@ def dis_one_party(spark: SparkSession, d: str) -> DataFrame:
     return out.agg(_r(F.max(F.abs(F.col("weight") / plain - 1))).alias("largest_difference"))
 
 
-@query("dis_offline_sensitivity")
-def dis_offline_sensitivity(spark: SparkSession, d: str) -> DataFrame:
+@query("draw_offline_sensitivity")
+def draw_offline_sensitivity(spark: SparkSession, d: str) -> DataFrame:
     """Offline importance sampling by exact joint sensitivities."""
     s = assumptions.sensitivity_regression(dataset(spark, d, "docs", standard=True))
     return _collapsed(sampling.two_level_sample(s.select("id", F.lit(0).alias("party"), F.col("sensitivity").alias("score")), M, "offline").df)
@@ -583,34 +583,34 @@ def _grid_oracle() -> str:
     return chain.select(f"SELECT a.cell AS cell_1, b.cell AS cell_2, c.cell AS cell_3, CAST(count(*) AS DOUBLE) AS w FROM {cells[0]} a JOIN {cells[1]} b USING (id) JOIN {cells[2]} c USING (id) GROUP BY 1, 2, 3")
 
 
-@query("dimdist_kmeans_cells", _grid_oracle())
-def dimdist_kmeans_cells(spark: SparkSession, d: str) -> DataFrame:
+@query("column_split_kmeans_cells", _grid_oracle())
+def column_split_kmeans_cells(spark: SparkSession, d: str) -> DataFrame:
     ds = dataset(spark, d, "emb3", standard=True, label=False)
-    return dimdist.product_grid(dimdist.party_cells(ds, [_first(p, K) for p in ds.parties]), 3)
+    return column_split.product_grid(column_split.party_cells(ds, [_first(p, K) for p in ds.parties]), 3)
 
 
-@query("dimdist_kmeans_full")
-def dimdist_kmeans_full(spark: SparkSession, d: str) -> DataFrame:
+@query("column_split_kmeans_full")
+def column_split_kmeans_full(spark: SparkSession, d: str) -> DataFrame:
     ds = dataset(spark, d, "emb3", label=False)
-    centers, wide = dimdist.fit(ds, 10), ds.concat()
+    centers, wide = column_split.fit(ds, 10), ds.concat()
     return spark.createDataFrame([(10, objectives.kmeans_costs(wide, ds.features, [centers])[0] / wide.count())], "k int, cost double")
 
 
-def _dimdist_sample_query(title: str, uniform_rows: bool):
+def _column_split_query(title: str, uniform_rows: bool):
     @query(title)
     def run(spark: SparkSession, d: str) -> DataFrame:
         ds = dataset(spark, d, "emb3", label=False)
         sample = sampling.uniform_sample(ds, M) if uniform_rows else coreset.kmeans_coreset(ds, 10, M)
         cuts = np.cumsum([0, *[len(p.features) for p in ds.parties]])
-        solved = coreset.solve_on_coreset(ds, sample, lambda x, y, w: dimdist.fit_arrays([x[:, a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True)], w, 10), method="dimension", k=10, policy="table")
+        solved = coreset.solve_on_coreset(ds, sample, lambda x, y, w: column_split.fit_arrays([x[:, a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True)], w, 10), method="dimension", k=10, policy="table")
         wide = ds.concat()
         return spark.createDataFrame([(M, objectives.kmeans_costs(wide, ds.features, [solved.model])[0] / wide.count(), solved.ledger.total())], "size int, cost double, units long")
 
     return run
 
 
-_dimdist_sample_query("dimdist_on_coreset", False)
-_dimdist_sample_query("dimdist_on_uniform", True)
+_column_split_query("column_split_on_coreset", False)
+_column_split_query("column_split_on_uniform", True)
 
 
 # ---- measures

@@ -12,11 +12,13 @@ FORMATS = ("parquet", "csv", "json", "orc")
 
 
 def shared_path(spark: SparkSession, name: str) -> str:
-    """A new path in the shared folder of the cluster; a local one only where the session names none."""
+    """A new path in the shared folder that the session names; without one, a temporary folder in local mode and an error on a cluster."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         if held.isEmpty():
+            if not spark.sparkContext.master.startswith("local"):
+                raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
             spark.sparkContext.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="vpcoreset-"))
             held = spark.sparkContext._jsc.sc().getCheckpointDir()
         base = held.get()
