@@ -443,18 +443,6 @@ def udtf_draws(spark, d):
     return spark.sql("SELECT * FROM vp_draws('s', 50, 1000L)")
 
 
-@query("grouped_map_solver", "SELECT 4 AS models")
-def grouped_map_solver(spark, d):
-    """A solver a group: (method, size, replicate)."""
-    from vpcoreset.experiments import _samples, _solve_groups
-    from vpcoreset.solvers.ridge import Regularizer, fit_arrays
-
-    ds = dataset(spark, d, "docs3", standard=True)
-    rows = _samples(ds, scores.score_table(ds, scores.regression_scores), (50, 100), 1)
-    found = _solve_groups(rows, ds, lambda x, y, w, s: fit_arrays(x, y, w, Regularizer(l2=1.0)))
-    return spark.createDataFrame([(len(found),)], "models int")
-
-
 @query("op_endpoint_source", "SELECT * FROM (VALUES ('a', 1.0), ('b', -2.0), ('c', 0.5)) t(feature, coef)")
 def op_endpoint_source(spark, d):
     """Rows of a Python data source; least squares finds the planted coefficients."""

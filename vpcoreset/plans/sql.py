@@ -20,10 +20,11 @@ class DrawStream:
 
 
 def register(spark: SparkSession, ds: VerticalDataset | None = None, scores=None, sample: Coreset | None = None) -> None:
-    """SQL functions vp_u52, vp_dot, vp_sqdist and vp_draws, and views vp_party_j, vp_scores and vp_coreset."""
+    """SQL functions vp_u52, vp_dot, vp_sqdist, vp_leverage (of a row and the columns of a whitener) and vp_draws, and views vp_party_j, vp_scores and vp_coreset."""
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION vp_u52(text STRING) RETURNS BIGINT RETURN CAST(conv(substr(md5(text), 1, 13), 16, 10) AS BIGINT)")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION vp_dot(a ARRAY<DOUBLE>, b ARRAY<DOUBLE>) RETURNS DOUBLE RETURN aggregate(zip_with(a, b, (x, y) -> x * y), 0D, (s, x) -> s + x)")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION vp_sqdist(a ARRAY<DOUBLE>, b ARRAY<DOUBLE>) RETURNS DOUBLE RETURN aggregate(zip_with(a, b, (x, y) -> (x - y) * (x - y)), 0D, (s, x) -> s + x)")
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION vp_leverage(x ARRAY<DOUBLE>, columns ARRAY<ARRAY<DOUBLE>>) RETURNS DOUBLE RETURN aggregate(transform(columns, c -> aggregate(zip_with(x, c, (a, b) -> a * b), 0D, (s, v) -> s + v)), 0D, (s, t) -> s + t * t)")
     spark.udtf.register("vp_draws", DrawStream)
     for j, p in enumerate(ds.parties if ds else ()):
         p.block().createOrReplaceTempView(f"vp_party_{j + 1}")

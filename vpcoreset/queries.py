@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from vpcoreset.operators import more  # noqa: F401  adds to the queries of the operators
 from vpcoreset.operators import queries as operators
 from vpcoreset.plans import methods
 from vpcoreset.streaming import queries as streaming

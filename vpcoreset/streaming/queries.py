@@ -55,8 +55,9 @@ def _rows(spark: SparkSession, d: str) -> DataFrame:
 _COLS = ["value", "k", "one"]
 
 
-@query("st_window_coreset", "SELECT 300 AS draws, true AS weight_near_n")
-def st_window_coreset(spark: SparkSession, d: str) -> DataFrame:
+@query("st_batch_coreset", "SELECT 300 AS draws, true AS weight_near_n")
+def st_batch_coreset(spark: SparkSession, d: str) -> DataFrame:
+    """A sample of every micro-batch."""
     path = shared_path(spark, "window-coresets")
     windows.window_coresets(_rows(spark, d), _COLS, 300, path)
     n = spark.read.parquet(f"{d}/events.parquet").count()
@@ -64,6 +65,16 @@ def st_window_coreset(spark: SparkSession, d: str) -> DataFrame:
     return out.agg(F.min("draws").alias("draws"), (F.abs(F.sum("w") / n - 1) < 0.2).alias("weight_near_n"))
 
 
+@query("st_window_coreset", """
+SELECT CAST(floor(epoch(ts) / 86400) * 86400 AS BIGINT) AS start, count(*) AS n, 100 AS draws FROM events
+GROUP BY 1 HAVING floor(epoch(ts) / 86400) * 86400 + 86400 <= (SELECT max(epoch(ts)) - 3600 FROM events)""".replace("HAVING floor(epoch(ts) / 86400) * 86400", "HAVING start"))
+def st_window_coreset(spark: SparkSession, d: str) -> DataFrame:
+    """A sample of every day that the watermark has closed; days that may still get rows are not out yet."""
+    e = windows.read_events(spark, d).select(F.col("event_id").alias("id"), "ts", "value", F.get_json_object("props", "$.k").cast("double").alias("k"), F.lit(1.0).alias("one"))
+    out = windows.run_once(windows.closed_window_samples(e, _COLS, 100, "1 day"), "append")
+    return out.groupBy("start").agg(F.max("rows").alias("n"), F.sum("draws").alias("draws"))
+
+
 @query("st_merge_reduce", "SELECT 200 AS draws, true AS weight_near_n, true AS sum_near")
 def st_merge_reduce(spark: SparkSession, d: str) -> DataFrame:
     """Samples of four slices of the rows, merged, and sampled again by weight."""
@@ -111,9 +122,47 @@ def st_static_join(spark: SparkSession, d: str) -> DataFrame:
     return windows.run_once(joined.groupBy("c_nationkey").agg(F.count(F.lit(1)).alias("n")), "complete")
 
 
-@query("st_late_rows", "SELECT CAST(count(*) AS BIGINT) AS kept FROM events WHERE ts >= (SELECT max(ts) FROM events) - INTERVAL 3 DAY")
+_LATE = 5_400
+
+
+def _two_files(spark: SparkSession, d: str, newest_first: bool) -> tuple[str, DataFrame, DataFrame]:
+    """A folder, and the events of its two files: those of the last 90 minutes and all before."""
+    e = spark.read.parquet(f"{d}/events.parquet")
+    cut = e.agg(F.max(F.unix_micros(F.col("ts").cast("timestamp"))).alias("m")).collect()[0]["m"] - _LATE * 1_000_000
+    new = F.unix_micros(F.col("ts").cast("timestamp")) >= cut
+    parts = e.where(new).coalesce(1), e.where(~new).coalesce(1)
+    return shared_path(spark, "arriving"), *(parts if newest_first else parts[::-1])
+
+
+@query("st_late_rows", f"""
+WITH e AS (SELECT *, epoch(ts) AS s, max(epoch(ts)) OVER () AS newest FROM events)
+SELECT CAST(floor(s / 3600) * 3600 AS BIGINT) AS start, count(*) AS n FROM e
+WHERE s >= newest - {_LATE} OR floor(s / 3600) * 3600 + 3600 > newest - 3600 GROUP BY 1""")
 def st_late_rows(spark: SparkSession, d: str) -> DataFrame:
-    """What a three-day horizon behind the newest event keeps, by a window over the batch."""
-    e = spark.read.parquet(f"{d}/events.parquet").select("ts")
-    newest = e.agg(F.max("ts").alias("newest"))
-    return e.crossJoin(F.broadcast(newest)).where(F.col("ts") >= F.col("newest") - F.expr("INTERVAL 3 DAY")).agg(F.count(F.lit(1)).alias("kept"))
+    """The newest rows arrive first and set the watermark; of the older ones that follow, those of closed windows are dropped by the stream."""
+    path, first, then = _two_files(spark, d, True)
+    checkpoint, out = shared_path(spark, "late-checkpoint"), shared_path(spark, "late")
+    first.write.parquet(f"{path}/part=1")
+
+    def stream() -> DataFrame:
+        raw = spark.readStream.schema(windows.EVENTS).parquet(f"{path}/part=*")
+        timed = raw.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "1 hour")
+        return timed.groupBy(F.window("ts", "1 hour").alias("w")).agg(F.count(F.lit(1)).alias("n")).select(F.unix_seconds("w.start").alias("start"), "n")
+
+    windows.run_from(stream(), "update", checkpoint, windows.epoch_sink(out, "update"))
+    then.write.parquet(f"{path}/part=2")
+    windows.run_from(stream(), "update", checkpoint, windows.epoch_sink(out, "update"))
+    return windows.read_epochs(spark, out, stream(), "update").groupBy("start").agg(F.max("n").alias("n"))
+
+
+@query("st_restart", "SELECT user_id, count(*) AS n, round(sum(value), 4) AS s FROM events GROUP BY 1")
+def st_restart(spark: SparkSession, d: str) -> DataFrame:
+    """A query that ends, and is started again from its checkpoint when more files are there, counts every row once."""
+    path, first, then = _two_files(spark, d, False)
+    checkpoint, out = shared_path(spark, "restart-checkpoint"), shared_path(spark, "restart")
+    for no, part in enumerate((first, then)):
+        part.write.parquet(f"{path}/part={no}")
+        raw = spark.readStream.schema(windows.EVENTS).parquet(f"{path}/part=*")
+        sums = raw.groupBy("user_id").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("value"), 4).alias("s"))
+        windows.run_from(sums, "complete", checkpoint, windows.epoch_sink(out, "complete"))
+    return spark.read.schema(sums.schema).parquet(out)

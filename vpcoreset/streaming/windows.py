@@ -8,12 +8,14 @@ from __future__ import annotations
 
 from collections.abc import Callable, Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from vpcoreset.functions.rng import u52
+from vpcoreset.functions.rng import u52, u52_py
 from vpcoreset.linalg import gram, whitener
 from vpcoreset.functions import vectors
 from vpcoreset.sampling import two_level_sample
@@ -32,12 +34,24 @@ def run_once(stream: DataFrame, mode: str, sink: Callable[[DataFrame, int], None
     """Runs over what is there now, restartable from its checkpoint; returns the last (complete) or all (append, update) rows written."""
     spark = stream.sparkSession
     path, checkpoint = shared_path(spark, name), shared_path(spark, f"{name}-checkpoint")
-    write = sink or (lambda df, epoch: df.write.mode("overwrite" if mode == "complete" else "append").parquet(path))
-    query = stream.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", checkpoint).foreachBatch(write).start()
-    query.awaitTermination()
-    if sink is None:
+    run_from(stream, mode, checkpoint, sink or epoch_sink(path, mode))
+    return None if sink else read_epochs(spark, path, stream, mode)
+
+
+def epoch_sink(path: str, mode: str) -> Callable[[DataFrame, int], None]:
+    """Writes a batch to the folder of its number, so a batch that is run again replaces itself; complete results replace each other."""
+    return lambda df, epoch: df.write.mode("overwrite").parquet(path if mode == "complete" else f"{path}/epoch={epoch}")
+
+
+def run_from(stream: DataFrame, mode: str, checkpoint: str, sink: Callable[[DataFrame, int], None]) -> None:
+    """Runs over what is new since the checkpoint, and ends."""
+    stream.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", checkpoint).foreachBatch(sink).start().awaitTermination()
+
+
+def read_epochs(spark: SparkSession, path: str, stream: DataFrame, mode: str) -> DataFrame:
+    if mode == "complete":
         return spark.read.schema(stream.schema).parquet(path)
-    return None
+    return spark.read.schema(T.StructType([*stream.schema.fields, T.StructField("epoch", T.IntegerType())])).parquet(path).select(*stream.columns)
 
 
 def tumbling(stream: DataFrame, width: str, slide: str | None = None) -> DataFrame:
@@ -73,11 +87,34 @@ def window_coresets(stream: DataFrame, cols: list[str], m: int, path: str) -> No
 
     def sink(df: DataFrame, epoch: int) -> None:
         if df.limit(1).count():
-            batch_sample(df, cols, m, f"batch-{epoch}").withColumn("batch", F.lit(epoch)).write.mode("append").parquet(path)
+            batch_sample(df, cols, m, f"batch-{epoch}").withColumn("batch", F.lit(epoch)).write.mode("overwrite").parquet(f"{path}/epoch={epoch}")
 
     run_once(stream, "append", sink)
 
 
+def closed_window_samples(stream: DataFrame, cols: list[str], m: int, width: str, seed: str = "window") -> DataFrame:
+    """(start, rows, id, draws, weight): a sample of m draws of the rows of every window, once its time has passed.
+
+    A window's rows are its state until the watermark closes it; then one task scores and samples it by itself. Scores and draws are
+    those of the three rounds with one party, on exact quanta.
+    """
+    row = F.struct("id", *cols)
+    closed = stream.groupBy(F.window("ts", width).alias("w")).agg(F.collect_list(row).alias("rows")).select(F.unix_seconds("w.start").alias("start"), "rows")
+
+    def sample(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            for start, rows in zip(batch["start"], batch["rows"], strict=True):
+                rows = sorted(rows, key=lambda r: (u52_py(r["id"]), r["id"]))
+                x = np.array([[r[c] for c in cols] for r in rows], float)
+                q = np.maximum(1, np.rint(((x @ whitener(x.T @ x)) ** 2).sum(1) * 2.0**40 + 2.0**40 / len(rows)).astype(np.int64))
+                upto = np.cumsum(q)
+                drawn = np.searchsorted(upto, [(u52_py(seed, start, r) * int(upto[-1])) >> 52 for r in range(m)], "right")
+                at, n = np.unique(drawn, return_counts=True)
+                yield pd.DataFrame({"start": start, "rows": len(rows), "id": [rows[i]["id"] for i in at], "draws": n, "weight": n * float(upto[-1]) / (m * q[at])})
+
+    return closed.mapInPandas(sample, "start long, rows long, id long, draws long, weight double")
+
+
 def reservoir(stream: DataFrame, k: int, seed: str = "reservoir", groups: int = 16) -> DataFrame:
     """k rows by the largest priorities ln(u) / score, without replacement: a one-pass variant, not the three-round sampler.
 
