@@ -14,6 +14,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from vpcoreset.functions import vectors
 from vpcoreset.functions.rng import BITS, u52
@@ -36,10 +37,6 @@ def farthest_centers(p: PartySpec, k: int) -> np.ndarray:
     return centers
 
 
-def _best(p: PartySpec, centers: np.ndarray):
-    return vectors.nearest([F.col(c) for c in p.features], centers)
-
-
 def _weight(p: PartySpec):
     return F.col(p.weight).cast("double") if p.weight else F.lit(1.0)
 
@@ -145,21 +142,33 @@ def lloyd(p: PartySpec, centers: np.ndarray, iterations: int) -> np.ndarray:
     return lloyd_many(p, [centers], iterations)[0]
 
 
+def _nearest_rows(p: PartySpec, centers: np.ndarray) -> DataFrame:
+    """id, features, __w, and of the nearest centre the cell and the weighted squared distance; Arrow batches, since candidates are many."""
+    cols = list(p.features)
+    rows = p.block().select("id", *cols, _weight(p).alias("__w"))
+
+    def near(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            d2 = plain_distances(batch[cols].to_numpy(float), centers)
+            yield batch.assign(cell=d2.argmin(1).astype(np.int32), mass=d2.min(1) * batch["__w"].to_numpy(float))
+
+    return rows.mapInPandas(near, T.StructType([*rows.schema.fields, T.StructField("cell", T.IntegerType()), T.StructField("mass", T.DoubleType())]))
+
+
 def scalable_centers(p: PartySpec, k: int, seed: str = "scalable", rounds: int = 3) -> np.ndarray:
     """A few rounds of over-sampling (2 k rows each in the mean, by weighted squared distance), then weighted seeding of the candidates."""
-    block, w = p.block(), _weight(p)
     chosen = first_centers(p, 1)
     for r in range(rounds):
-        mass = _best(p, chosen)["d2"] * w
-        total = float(block.agg(F.sum(mass)).collect()[0][0] or 0.0)
+        rows = _nearest_rows(p, chosen)
+        total = float(rows.agg(F.sum("mass")).collect()[0][0] or 0.0)
         if not total:
             break
-        take = u52(seed, str(r), F.col("id")) < F.least(F.lit(1.0), F.lit(2.0 * k / total) * mass) * float(1 << BITS)
-        rows = sorted(block.where(take).select("id", *p.features).collect())
-        if rows:
-            chosen = np.vstack([chosen, np.array([x[1:] for x in rows], float)])
+        take = u52(seed, str(r), F.col("id")) < F.least(F.lit(1.0), F.lit(2.0 * k / total) * F.col("mass")) * float(1 << BITS)
+        taken = sorted(rows.where(take).select("id", *p.features).collect())
+        if taken:
+            chosen = np.vstack([chosen, np.array([x[1:] for x in taken], float)])
     weight = np.zeros(len(chosen))
-    for r in block.groupBy(_best(p, chosen)["cell"].alias("cell")).agg(F.sum(w).alias("w")).collect():
+    for r in _nearest_rows(p, chosen).groupBy("cell").agg(F.sum("__w").alias("w")).collect():
         weight[r["cell"]] = r["w"]
     return fit_weighted(chosen, weight, k, seed=7, iterations=20)
 
