@@ -36,6 +36,8 @@ EDGES = "!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~«»„“”‘’…¡¿"
 SCHEMA = "doc string, item string, doc_start int, doc_end int, item_start int, item_end int, n_match int, identity double"
 #: Words that a task remembers; others are looked up each time.
 MEMO = 1 << 17
+#: Words that are hashed together, and bits of the table that tells at once that a hash is no item's.
+AT_ONCE, FILTER = 1 << 16, 22
 
 
 class Vocabulary(dict):
@@ -60,19 +62,21 @@ class Vocabulary(dict):
         return n[at], at
 
 
+_ODD = np.uint64(0x9E3779B97F4A7C15)
+
+
 def seed_hashes(words: np.ndarray, mask: tuple[int, ...], no: int) -> tuple[np.ndarray, np.ndarray]:
-    """Places at which all selected words belong to the vocabulary, and their hashes."""
+    """Places at which all selected words belong to the vocabulary, and their hashes; hits are compared word by word, so a collision costs time alone."""
     n = len(words) - mask[-1]
     if n <= 0:
         return np.zeros(0, np.int64), np.zeros(0, np.uint64)
-    good = np.ones(n, bool)
+    known, value = words > 0, words.astype(np.uint64)
+    good, h = np.ones(n, bool), np.full(n, no + 1, np.uint64)
     for p in mask:
-        good &= words[p : p + n] > 0
+        good &= known[p : p + n]
+        h = h * _ODD + value[p : p + n]
     at = np.flatnonzero(good)
-    h = np.full(len(at), no + 1, np.uint64)
-    for p in mask:
-        h = mix64(h * np.uint64(0x9E3779B97F4A7C15) + words[at + p].astype(np.uint64))
-    return at, h
+    return at, mix64(h[at])
 
 
 def masks_for(words: int) -> list[tuple[int, ...]]:
@@ -96,7 +100,10 @@ def build_index(items: list[tuple[int, str]]) -> dict:
             place.append(at)
     h = np.concatenate(h) if h else np.zeros(0, np.uint64)
     order = np.argsort(h, kind="stable")
+    seen = np.zeros(1 << FILTER, bool)
+    seen[h & np.uint64((1 << FILTER) - 1)] = True
     return {
+        "seen": seen,
         "names": names, "ids": [i for i, _ in items], "coded": coded, "masks": masks_for(min((len(c) for c in coded if len(c) >= 5), default=99)),
         "hash": h[order], "item": (np.concatenate(item) if item else np.zeros(0, int))[order], "place": (np.concatenate(place) if place else np.zeros(0, int))[order],
     }
@@ -122,16 +129,47 @@ def longest_stretch(equal: np.ndarray, identity: float) -> tuple[int, int]:
 
 
 def leaks(text: str | None, index: dict, vocabulary: Vocabulary, min_match: int, identity: float) -> Iterator[tuple]:
-    """(item number, document start and end in white-space words, item start and end, matches, identity)."""
-    words, at = vocabulary.read(text)
-    diagonals: set[tuple[int, int]] = set()
+    """(item number, document start and end in white-space words, item start and end, matches, identity) of one text."""
+    for _, *found in leaks_of([text], index, vocabulary, min_match, identity):
+        yield tuple(found)
+
+
+def leaks_of(texts: list[str | None], index: dict, vocabulary: Vocabulary, min_match: int, identity: float) -> Iterator[tuple]:
+    """(number of the text, and what ``leaks`` gives) of many texts, whose words are hashed together in runs of about AT_ONCE."""
+    low = 0
+    while low < len(texts):
+        read, size, up = [], 0, low
+        while up < len(texts) and size < AT_ONCE:
+            read.append(vocabulary.read(texts[up]))
+            size += len(read[-1][0])
+            up += 1
+        for k, found in _leaks_together(read, index, min_match, identity):
+            yield (low + k, *found)
+        low = up
+
+
+def _leaks_together(read: list[tuple[np.ndarray, np.ndarray]], index: dict, min_match: int, identity: float) -> Iterator[tuple]:
+    gap = np.zeros(max(m[-1] for m in index["masks"]) + 1, np.int64)  # no seed reaches from text to text
+    first = np.cumsum([0, *[len(w) + len(gap) for w, _ in read]])
+    words = np.concatenate([x for w, _ in read for x in (w, gap)])
+    low_bits = np.uint64((1 << FILTER) - 1)
+    diagonals: dict[int, set[tuple[int, int]]] = {}
     for no, mask in enumerate(index["masks"]):
         where, h = seed_hashes(words, mask, no)
-        first = np.searchsorted(index["hash"], h, "left")
-        hit = np.flatnonzero(index["hash"][np.minimum(first, len(index["hash"]) - 1)] == h) if len(index["hash"]) else ()
-        for k in hit:
-            last = np.searchsorted(index["hash"], h[k], "right")
-            diagonals.update(zip(index["item"][first[k] : last].tolist(), (int(where[k]) - index["place"][first[k] : last]).tolist(), strict=True))
+        some = np.flatnonzero(index["seen"][h & low_bits])
+        where, h = where[some], h[some]
+        left, right = np.searchsorted(index["hash"], h, "left"), np.searchsorted(index["hash"], h, "right")
+        hit = np.flatnonzero(right > left)
+        for k, at in zip((np.searchsorted(first, where[hit], "right") - 1).tolist(), hit.tolist(), strict=True):
+            own = slice(left[at], right[at])
+            diagonals.setdefault(k, set()).update(zip(index["item"][own].tolist(), (int(where[at] - first[k]) - index["place"][own]).tolist(), strict=True))
+    for k, own in sorted(diagonals.items()):
+        for found in _verified(*read[k], own, index, min_match, identity):
+            yield k, found
+
+
+def _verified(words: np.ndarray, at: np.ndarray, diagonals: set[tuple[int, int]], index: dict, min_match: int, identity: float) -> Iterator[tuple]:
+    """The best leak of each item along the diagonals of a text."""
     best: dict[int, tuple] = {}
     for item, shift in sorted(diagonals):
         coded = index["coded"][item]
@@ -171,7 +209,8 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id",
             index = held.value
             vocabulary = Vocabulary(index["names"])
             for batch in batches:
-                found = [(doc, index["ids"][item], *rest) for doc, text in zip(batch["doc"], batch["text"], strict=True) for item, *rest in leaks(text, index, vocabulary, min_match, identity)]
+                docs_ = batch["doc"].tolist()
+                found = [(docs_[k], index["ids"][item], *rest) for k, item, *rest in leaks_of(batch["text"].tolist(), index, vocabulary, min_match, identity)]
                 if found:
                     yield pd.DataFrame(found, columns=["doc", "item", "doc_start", "doc_end", "item_start", "item_end", "n_match", "identity"])
 
@@ -194,8 +233,9 @@ def drop_leaking(docs: DataFrame, benchmark: DataFrame, *, text_col: str = "text
             index = held.value
             vocabulary = Vocabulary(index["names"])
             for batch in batches:
-                clean = [next(leaks(t, index, vocabulary, min_match, identity), None) is None for t in batch.column(text_col).to_pylist()]
-                yield batch.filter(pa.array(clean, pa.bool_()))
+                clean = np.ones(batch.num_rows, bool)
+                clean[[k for k, *_ in leaks_of(batch.column(text_col).to_pylist(), index, vocabulary, min_match, identity)]] = False
+                yield batch.filter(pa.array(clean))
 
         docs = docs.mapInArrow(trimmed(keep), docs.schema)
         if not only:
