@@ -410,3 +410,34 @@ def test_saga_forms_agree(table):
     many = saga.saga_many(np.stack([x2, x2]), np.stack([y2, 2 * y2]), np.ones((2, 300)), 30.0, tol=1e-6)
     one = saga.saga(x2, y2, np.ones(300), 30.0, tol=1e-6)
     assert np.allclose(many[0].theta, one.theta, atol=1e-9) and np.allclose(many[1].theta, 2 * exact, atol=1e-3) and many[0].steps == one.steps
+
+
+def test_costs_of_many_models_and_hashes_of_many_ids():
+    """Center sets of two sizes in one product cost what they cost one by one; hashes are those of one id at a time. Neither function existed when the table of the lines ran out of time."""
+    import numpy as np
+
+    from vpcoreset.functions.rng import u52_many, u52_py
+    from vpcoreset.solvers import kmeans
+
+    rng = np.random.default_rng(3)
+    x, w = rng.standard_normal((2_500, 5)) + 3, rng.random(2_500)
+    models = [rng.standard_normal((k, 5)) for k in (4, 7, 4, 1)] + [x[:3], np.tile(x[:1], (4, 1))] + [rng.standard_normal((4, 5)) for _ in range(20)]
+    plain = [float(w @ ((x[:, None] - c[None]) ** 2).sum(2).min(1)) for c in models]
+    np.testing.assert_allclose(kmeans.cost_sums(x, w, models), plain, rtol=1e-9)
+    assert (kmeans.cost_sums(x[:0], w[:0], models) == 0).all()
+    ids = [*map(str, range(-3, 50)), "1152921504606846975", "ä"]
+    assert u52_many(["d2", 3], ids).tolist() == [u52_py("d2", 3, i) for i in ids]
+    assert len(u52_many(["d2", 3], [])) == 0
+
+
+def test_table_clusters_each_party_once(spark, monkeypatch):
+    """One local clustering a party serves the column-split solver and the scores."""
+    from vpcoreset import experiments
+    from vpcoreset.parties import dataset
+    from vpcoreset.solvers import kmeans
+
+    calls, plain = [], kmeans.local_centers
+    monkeypatch.setattr(kmeans, "local_centers", lambda p, *a, **k: calls.append(p.name) or plain(p, *a, **k))
+    ds = dataset(spark, "/root/testdata/sf0.001", "emb3", label=False)
+    assert experiments.kmeans_table(ds, 3, (20,), 1, restarts=1).count() == 6
+    assert calls == ["p1", "p2", "p3"]

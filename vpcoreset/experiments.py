@@ -138,10 +138,12 @@ def kmeans_table(ds: VerticalDataset, k: int, sizes: Sequence[int], repeats: int
     if "kmeans++" in solvers:
         centers = kmeans.full_centers(whole, k, restarts=restarts)
         out.append(("kmeans", "full+kmeans++", n, kmeans_full_cost(wide, ds.features, [centers])[0], solving("transfer", n, widths).total(), 0.0))
+    # The local clusterings serve the column-split solver and the scores alike.
+    local = {p.name: kmeans.local_centers(p, k, clusterer) for p in ds.parties}
     if "dimension" in solvers:
-        centers = column_split.fit(ds, k, clusterer=clusterer)
+        centers = column_split.fit(ds, k, centers=[local[p.name] for p in ds.parties])
         out.append(("kmeans", "full+dimension", n, kmeans_full_cost(wide, ds.features, [centers])[0], solving("dimension", n, widths, k=k).total(), 0.0))
-    rows = _samples(ds, score_table(ds, lambda p: kmeans_scores(p, k, clusterer=clusterer)), sizes, repeats)
+    rows = _samples(ds, score_table(ds, lambda p: kmeans_scores(p, k, clusterer=lambda p, k: local[p.name], is_stored=True)), sizes, repeats)
     for solver in solvers:
         if solver == "dimension":
             solve = lambda x, y, w, s: column_split.fit_arrays([x[:, a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True)], w, k, seed=s)

@@ -38,8 +38,9 @@ def fit(ds: VerticalDataset, k: int, *, clusterer: str = "scalable", iterations:
 
     Up to ``local`` tuples of cells are clustered on the server; more of them stay a table and are clustered there.
     """
-    ds = ds.map(pin)
-    centers = centers or [local_centers(p, k, clusterer, iterations=iterations) for p in ds.parties]
+    if centers is None:
+        ds = ds.map(pin)
+        centers = [local_centers(p, k, clusterer, iterations=iterations) for p in ds.parties]
     names = [f"cell_{j + 1}" for j in range(len(centers))]
     grid = materialize(product_grid(party_cells(ds, centers), len(centers)), "product-grid")
     if grid.count() <= local:

@@ -17,9 +17,12 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from vpcoreset.functions import vectors
-from vpcoreset.functions.rng import BITS, u52
+from vpcoreset.functions.rng import BITS, u52, u52_many
 from vpcoreset.parties import PartySpec
 
+#: Rows of a block of costs, and models that share a product.
+BLOCK, TOGETHER = 1024, 16
+
 
 def first_centers(p: PartySpec, k: int) -> np.ndarray:
     """The rows of the k least ids."""
@@ -46,26 +49,26 @@ def d2_seeds(p: PartySpec, k: int, seeds: Sequence[str]) -> list[np.ndarray]:
 
     Where all rows are seeds already, further ones are drawn by weight alone. A task hands on its winner of each start.
     """
-    block, w, n = p.block(), _weight(p), len(seeds)
+    block, w = p.block(), _weight(p)
     out = [np.zeros((0, len(p.features))) for _ in seeds]
     cols = list(p.features)
     for i in range(k):
-        keys = [(-F.log((u52(seed, str(i), F.col("id")) + F.lit(0.5)) / F.lit(float(1 << BITS)))).alias(f"__u{r}") for r, seed in enumerate(seeds)]
 
-        def race(batches: Iterator[pd.DataFrame], out=out) -> Iterator[pd.DataFrame]:
+        def race(batches: Iterator[pd.DataFrame], out=out, i=i) -> Iterator[pd.DataFrame]:
             for batch in batches:
-                x, wt = batch[cols].to_numpy(float), batch["__w"].to_numpy(float)
-                for r in range(n):
+                x, wt, names = batch[cols].to_numpy(float), batch["__w"].to_numpy(float), batch["__id"].to_list()
+                for r, seed in enumerate(seeds):
+                    u = -np.log((u52_many([seed, i], names) + 0.5) / (1 << BITS))
                     mass = wt * (plain_distances(x, out[r]).min(1) if len(out[r]) else 1.0)
                     for free, m in ((0, mass), (1, wt)):
                         if (m > 0).any():
                             with np.errstate(divide="ignore"):
-                                key = np.where(m > 0, batch[f"__u{r}"].to_numpy(float) / np.where(m > 0, m, 1), np.inf)
+                                key = np.where(m > 0, u / np.where(m > 0, m, 1), np.inf)
                             best = np.flatnonzero(key == key.min())
                             at = best[np.argmin(batch["id"].to_numpy()[best])]
                             yield pd.DataFrame({"start": [r], "free": [free], "key": [key[at]], "id": [str(batch["id"].iloc[at])], "row": [x[at]]})
 
-        won = block.select("id", *cols, w.alias("__w"), *keys).mapInPandas(race, "start int, free int, key double, id string, row array<double>")
+        won = block.select("id", *cols, w.alias("__w"), F.col("id").cast("string").alias("__id")).mapInPandas(race, "start int, free int, key double, id string, row array<double>")
         found = {(r["start"], r["free"]): r["row"] for r in won.groupBy("start", "free").agg(F.min_by("row", F.struct("key", "id")).alias("row")).collect()}
         out = [np.vstack([c, [found.get((r, 0)) or found[r, 1]]]) for r, c in enumerate(out)]
     return out
@@ -88,11 +91,12 @@ def lloyd_many(p: PartySpec, starts: Sequence[np.ndarray], iterations: int) -> l
             sums = [np.zeros((len(c), len(cols) + 1)) for c in starts]
             for batch in batches:
                 x, w = batch[cols].to_numpy(float), batch["__w"].to_numpy(float)
+                weighted = [w * x[:, j] for j in range(len(cols))]
                 for c, s in zip(starts, sums, strict=True):
                     cell = plain_distances(x, c).argmin(1)
                     s[:, 0] += np.bincount(cell, w, len(c))
-                    for j in range(len(cols)):
-                        s[:, j + 1] += np.bincount(cell, w * x[:, j], len(c))
+                    for j, v in enumerate(weighted):
+                        s[:, j + 1] += np.bincount(cell, v, len(c))
             for r, s in enumerate(sums):
                 yield pd.DataFrame({"start": r, "at": np.arange(s.size), "value": s.ravel()})
 
@@ -122,7 +126,7 @@ def costs_many(df: DataFrame, features: Sequence[str], models: Sequence[np.ndarr
         for batch in batches:
             x, w = batch[cols].to_numpy(float), batch["__w"].to_numpy(float)
             n += w.sum()
-            total += [float(w @ distances(x, c).min(1)) for c in held.value]
+            total += cost_sums(x, w, held.value)
         yield pd.DataFrame({"at": np.arange(len(total) + 1), "value": np.append(total, n)})
 
     rows = df.select(*cols, (F.col(weight).cast("double") if weight else F.lit(1.0)).alias("__w"))
@@ -184,11 +188,36 @@ def distances(x: np.ndarray, centers: np.ndarray) -> np.ndarray:
 
 def plain_distances(x: np.ndarray, centers: np.ndarray) -> np.ndarray:
     """Squared distances by differences, column by column: ties come out as they do in the engine's expressions."""
-    out = np.zeros((len(x), len(centers)))
+    cols, part = np.ascontiguousarray(x.T), np.empty(len(x))
+    out = np.zeros((len(centers), len(x)))
     for k, c in enumerate(centers):
-        for j in range(x.shape[1]):
-            out[:, k] += (x[:, j] - c[j]) ** 2
-    return out
+        for j, col in enumerate(cols):
+            np.subtract(col, c[j], out=part)
+            np.multiply(part, part, out=part)
+            out[k] += part
+    return out.T
+
+
+def cost_sums(x: np.ndarray, w: np.ndarray, models: Sequence[np.ndarray]) -> np.ndarray:
+    """Weighted sum of squared distances to the nearest centre, for each of many center sets.
+
+    The centres of a few models at a time meet a block of rows in one product, laid centre by row, so that the minimum runs along rows.
+    """
+    total = np.zeros(len(models))
+    by_size: dict[int, list[int]] = {}
+    for i, c in enumerate(models):
+        by_size.setdefault(len(c), []).append(i)
+    for low in range(0, len(x), BLOCK):
+        block, mass = x[low : low + BLOCK], w[low : low + BLOCK]
+        laid, own = np.vstack([block.T, np.ones(len(block))]), (block * block).sum(1)
+        for k, ids in by_size.items():
+            for at in range(0, len(ids), TOGETHER):
+                few = ids[at : at + TOGETHER]
+                centers = np.vstack([models[i] for i in few])
+                product = np.hstack([-2 * centers, (centers * centers).sum(1)[:, None]]) @ laid
+                near = product.reshape(len(few), k, len(block)).min(1) + own
+                total[few] += np.maximum(near, 0.0) @ mass
+    return total
 
 
 def seed_weighted(x: np.ndarray, w: np.ndarray, k: int, seed: int) -> np.ndarray:
