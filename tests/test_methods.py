@@ -441,3 +441,31 @@ def test_table_clusters_each_party_once(spark, monkeypatch):
     ds = dataset(spark, "/root/testdata/sf0.001", "emb3", label=False)
     assert experiments.kmeans_table(ds, 3, (20,), 1, restarts=1).count() == 6
     assert calls == ["p1", "p2", "p3"]
+
+
+def exact_cells(p, k):
+    """Cells of the rows in integers: of counts, a squared distance times both variances is one; ties go to the lowest centre."""
+    x = [[int(r[c]) for c in p.features] for r in p.block().orderBy("id").collect()]
+    v = [len(x) * sum(r[j] ** 2 for r in x) - sum(r[j] for r in x) ** 2 for j in range(2)]
+    d2 = [[(r[0] - c[0]) ** 2 * v[1] + (r[1] - c[1]) ** 2 * v[0] for c in x[:k]] for r in x]
+    return np.array([d.index(min(d)) for d in d2])
+
+
+@pytest.mark.parametrize("party", range(3))
+def test_ties_of_counts_go_to_the_lowest_centre(spark, party):
+    """Many documents lie exactly between two start centres; rounding of the deviation does not choose."""
+    d = "/root/testdata/sf0.1"
+    want = exact_cells(dataset(spark, d, "docs", label=False).parties[party], 4)
+    p = dataset(spark, d, "docs", standard=True, label=False).parties[party]
+    got = scores.assign(p, kmeans.first_centers(p, 4)).orderBy("id").toPandas()
+    assert (got["cell"].to_numpy() != want).sum() == 0
+
+
+def test_ties_in_both_forms_of_the_nearest_centre(spark):
+    """0.3 lies between 0.4 and 0.2; in doubles the second is nearer by a rounding error, and the distance stays the least."""
+    df = spark.createDataFrame([(0, 0.3), (1, None)], "id long, a double")
+    for extra in (0, 400):
+        centers = np.array([[0.4], [0.2]] + [[9.0]] * extra)
+        r, none = scores.assign(PartySpec("p", df, ("a",)), centers).orderBy("id").collect()
+        assert (r["cell"], r["d2"]) == (0, (0.3 - 0.2) ** 2)
+        assert (none["cell"], none["d2"]) == (0, None)
