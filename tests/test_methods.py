@@ -461,6 +461,16 @@ def test_ties_of_counts_go_to_the_lowest_centre(spark, party):
     assert (got["cell"].to_numpy() != want).sum() == 0
 
 
+@pytest.mark.parametrize("party", range(3))
+def test_lloyd_step_gives_ties_to_the_lowest_centre(spark, party):
+    d = "/root/testdata/sf0.1"
+    want = exact_cells(dataset(spark, d, "docs", label=False).parties[party], 4)
+    p = dataset(spark, d, "docs", standard=True, label=False).parties[party]
+    x = p.block().orderBy("id").toPandas()[list(p.features)].to_numpy()
+    means = [x[want == c].mean(0) if (want == c).any() else x[c] for c in range(4)]
+    assert np.allclose(kmeans.local_centers(p, 4, "first", iterations=1), means, rtol=0, atol=1e-9)
+
+
 def test_ties_in_both_forms_of_the_nearest_centre(spark):
     """0.3 lies between 0.4 and 0.2; in doubles the second is nearer by a rounding error, and the distance stays the least."""
     df = spark.createDataFrame([(0, 0.3), (1, None)], "id long, a double")

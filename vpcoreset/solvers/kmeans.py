@@ -93,7 +93,7 @@ def lloyd_many(p: PartySpec, starts: Sequence[np.ndarray], iterations: int) -> l
                 x, w = batch[cols].to_numpy(float), batch["__w"].to_numpy(float)
                 weighted = [w * x[:, j] for j in range(len(cols))]
                 for c, s in zip(starts, sums, strict=True):
-                    cell = plain_distances(x, c).argmin(1)
+                    cell = vectors.nearest_rows(plain_distances(x, c))
                     s[:, 0] += np.bincount(cell, w, len(c))
                     for j, v in enumerate(weighted):
                         s[:, j + 1] += np.bincount(cell, v, len(c))
@@ -154,7 +154,7 @@ def _nearest_rows(p: PartySpec, centers: np.ndarray) -> DataFrame:
     def near(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
             d2 = plain_distances(batch[cols].to_numpy(float), centers)
-            yield batch.assign(cell=d2.argmin(1).astype(np.int32), mass=d2.min(1) * batch["__w"].to_numpy(float))
+            yield batch.assign(cell=vectors.nearest_rows(d2).astype(np.int32), mass=d2.min(1) * batch["__w"].to_numpy(float))
 
     return rows.mapInPandas(near, T.StructType([*rows.schema.fields, T.StructField("cell", T.IntegerType()), T.StructField("mass", T.DoubleType())]))
 
@@ -187,7 +187,7 @@ def distances(x: np.ndarray, centers: np.ndarray) -> np.ndarray:
 
 
 def plain_distances(x: np.ndarray, centers: np.ndarray) -> np.ndarray:
-    """Squared distances by differences, column by column: ties come out as they do in the engine's expressions."""
+    """Squared distances by differences, column by column, as the engine's expressions take them."""
     cols, part = np.ascontiguousarray(x.T), np.empty(len(x))
     out = np.zeros((len(centers), len(x)))
     for k, c in enumerate(centers):
