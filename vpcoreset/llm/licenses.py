@@ -163,20 +163,40 @@ RUN = 8
 TRIGGER = "permission|redistribution|warrant|licen[cs]e|unencumbered"
 
 
-def canonical(text: Column) -> Column:
-    """The form of a text of which the digest is taken; only letters and digits are left, single spaces between words."""
-    low = F.translate(F.coalesce(text, F.lit("")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
-    worded = low.rlike(TRIGGER)
-    low = F.when(low.contains("copyright") | low.contains("(c)") | low.contains("©") | low.contains("all rights reserved"), F.regexp_replace(low, COPYRIGHT_LINE, "\n")).otherwise(low)
-    low = F.when(worded, F.regexp_replace(low, LIST_MARK, "$1")).otherwise(low)
-    plain = F.trim(F.regexp_replace(low, NOT_WORD, " "))
+def _once(value: Column, use) -> Column:
+    """use(value), with value worked out, and spelt out in the plan, once although use may read it often."""
+    return F.element_at(F.transform(F.array(value), use), 1)
+
+
+def _plain(low: Column) -> Column:
+    """Words of a text in lower case without copyright lines and list marks."""
+    owned = low.contains("copyright") | low.contains("(c)") | low.contains("©") | low.contains("all rights reserved")
+    bare = F.when(owned, F.regexp_replace(low, COPYRIGHT_LINE, "\n")).otherwise(low)
+    bare = _once(bare, lambda x: F.when(low.rlike(TRIGGER), F.regexp_replace(x, LIST_MARK, "$1")).otherwise(x))
+    return F.trim(F.regexp_replace(bare, NOT_WORD, " "))
+
+
+def _usual(plain: Column) -> Column:
     one = plain
     for variant, usual in SPELLINGS:  # twice: a match takes its spaces, so neighbours need a second turn
         for _ in range(2):
             one = F.regexp_replace(one, f"(^| ){variant}( |$)", f"$1{usual}$2")
-    one = F.when(plain.rlike(VARIANT), one).otherwise(plain)
-    for held, pattern, usual in OWNERS:
-        one = F.when(one.contains(held), F.regexp_replace(one, pattern, usual)).otherwise(one)
+    return F.when(plain.rlike(VARIANT), one).otherwise(plain)
+
+
+def _unnamed(held: str, pattern: str, usual: str):
+    return lambda x: F.when(x.contains(held), F.regexp_replace(x, pattern, usual)).otherwise(x)
+
+
+def canonical(text: Column) -> Column:
+    """The form of a text of which the digest is taken; only letters and digits are left, single spaces between words.
+
+    A condition repeats the text that it tests, so each step is bound by ``_once``: without that the expression grows threefold with every step.
+    """
+    one = _once(F.translate(F.coalesce(text, F.lit("")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), _plain)
+    one = _once(one, _usual)
+    for owner in OWNERS:
+        one = _once(one, _unnamed(*owner))
     return F.regexp_replace(one, TITLE, "")
 
 
@@ -187,15 +207,11 @@ def known_digests(spark) -> DataFrame:
     return texts.unionByName(spark.createDataFrame([(d, a) for a, d in DIGESTS], "digest string, license string")).groupBy("digest").agg(F.min("license").alias("license"))
 
 
-def _once(value: Column, use) -> Column:
-    """use(value), with value worked out once although a lambda inside may read it often."""
-    return F.element_at(F.transform(F.array(value), use), 1)
-
-
 def scan_licenses(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, digest, license, notices, blocks): the license that the entire text is, those that its lines announce, and those whose text runs of its paragraphs are."""
-    catalogue = known_digests(docs.sparkSession)
-    held = F.create_map(*[x for row in sorted((r["digest"], r["license"]) for r in catalogue.collect()) for x in map(F.lit, row)])
+    known = sorted((r["digest"], r["license"]) for r in known_digests(docs.sparkSession).collect())
+    catalogue = docs.sparkSession.createDataFrame(known, "digest string, license string")
+    held = F.create_map(*[x for row in known for x in map(F.lit, row)])
     names = lambda digests: F.array_join(F.array_sort(F.array_distinct(F.filter(F.transform(digests, lambda x: held[x]), lambda x: x.isNotNull()))), ",")
     text = F.coalesce(F.col(text_col), F.lit(""))
     low = F.translate(text, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
