@@ -479,3 +479,38 @@ def test_ties_in_both_forms_of_the_nearest_centre(spark):
         r, none = scores.assign(PartySpec("p", df, ("a",)), centers).orderBy("id").collect()
         assert (r["cell"], r["d2"]) == (0, (0.3 - 0.2) ** 2)
         assert (none["cell"], none["d2"]) == (0, None)
+
+
+def test_passes_over_held_rows(spark, monkeypatch):
+    """What the passes of the table of the lines do, at size: hashes of whole ids in numpy, cells by one product, and a draw's row found in one scan. None of these existed when that table ran out of time."""
+    from vpcoreset.functions import vectors
+    from vpcoreset.functions.rng import spell, u52_many, u52_spelled
+
+    rng = np.random.default_rng(8)
+    ids = np.concatenate([rng.integers(0, 1 << 60, 11_000), rng.integers(0, 2_000, 50), [0, 9, 10, 10**9 - 1, 10**9, 10**18 - 1, 10**18, (1 << 63) - 1]])
+    for parts in (["full-0", 3], [], ["abc"], ["x" * 35], ["x" * 60]):
+        assert u52_spelled(parts, spell(ids)).tolist() == u52_many(parts, list(map(str, ids))).tolist()
+    assert len(u52_spelled(["a"], spell(ids[:0]))) == 0
+
+    # Counts lie exactly between centres; the cells are those of the plain distances.
+    x, w = np.concatenate([rng.integers(0, 6, (3, 2_000)).astype(float), rng.standard_normal((3, 1_000)) * 1e3], 1), rng.random(3_000)
+    starts = [rng.integers(0, 6, (4, 3)).astype(float), rng.standard_normal((2, 3)), np.ones((3, 3))]
+    for rows in (x, np.where(np.arange(3_000) == 7, np.nan, x)):
+        sums = [np.zeros((len(c), 4)) for c in starts]
+        kmeans.add_cells(sums, rows, w, starts)
+        for s, c in zip(sums, starts, strict=True):
+            cell = vectors.nearest_rows(kmeans.plain_distances(rows.T, c))
+            np.testing.assert_allclose(s, np.stack([np.bincount(cell, w * v, len(c)) for v in (*rows, np.ones(3_000))], 1), rtol=1e-9, atol=1e-6)
+    key = -np.log(u := rng.random(500)) / (m := rng.random(500) * (rng.random(500) < 0.5) + 1e-300)
+    assert kmeans.least_key(u, m, range(500)) == (int(key.argmin()), key.min()) and kmeans.least_key(u, 0 * m, range(500))[0] is None
+    assert kmeans.least_key(np.full(3, 0.5), np.ones(3), [7, 5, 6])[0] == 1
+
+    # Draws by the scan are those by merging; a row of a large share takes most of them.
+    frame = spark.range(3_000).select("id", (F.col("id") % 2).cast("int").alias("party"), F.when(F.col("id") == 11, 900.0).otherwise(F.rand(5) + 0.01).alias("score"))
+    for leaf in (1 << 16, 200):
+        quanta = sampling.store_quanta(frame, leaf=leaf, rows=3_000)
+        asked = sampling.make_thresholds(quanta.totals, 500, "held", [0, 3])
+        one = sorted(map(tuple, sampling.draw_rows(quanta, asked).select("replicate", "draw_no", "party", "id").collect()))
+        with monkeypatch.context() as few:
+            few.setattr(sampling, "BROADCAST_IDS", 10)
+            assert sorted(map(tuple, sampling.draw_rows(quanta, asked).select("replicate", "draw_no", "party", "id").collect())) == one and len(one) == 1_000

@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 from vpcoreset import objectives
 from vpcoreset.ledger import construction, solving
 from vpcoreset.parties import VerticalDataset, pin, standardize
-from vpcoreset.sampling import sample_grid, uniform_scores
+from vpcoreset.sampling import BROADCAST_IDS, sample_grid, uniform_scores
 from vpcoreset.scores import kmeans_scores, regression_scores, score_table
 from vpcoreset.solvers import column_split, kmeans, ridge, saga
 from vpcoreset.sources.io import materialize
@@ -32,7 +32,7 @@ def regression_test_cost(test: DataFrame, features: Sequence[str], label: str, m
     return [float(np.append(t, -1.0) @ g @ np.append(t, -1.0) / n) for t in models]
 
 
-def kmeans_full_cost(full: DataFrame, features: Sequence[str], models: list[np.ndarray]) -> list[float]:
+def kmeans_full_cost(full: DataFrame | kmeans.Held, features: Sequence[str], models: list[np.ndarray]) -> list[float]:
     """Mean squared distances for many center sets, in one scan."""
     sums, n = kmeans.costs_many(full, features, models)
     return [s / n for s in sums]
@@ -51,11 +51,14 @@ def _solve_groups(rows: DataFrame, ds: VerticalDataset, solve) -> list[tuple[str
     return [(r["method"], r["size"], r["replicate"], np.array(r["model"])) for r in found]
 
 
-def _samples(ds: VerticalDataset, scores: DataFrame, sizes: Sequence[int], repeats: int) -> DataFrame:
-    grid = sample_grid(scores, sizes, repeats).withColumn("method", F.lit("coreset"))
-    grid = grid.unionByName(sample_grid(uniform_scores(ds), sizes, repeats, seed="grid-uniform", p=20).withColumn("method", F.lit("uniform")))
+def _samples(ds: VerticalDataset, scores: DataFrame, sizes: Sequence[int], repeats: int, n: int) -> DataFrame:
+    """Rows of all samples of n rows, with their features, written once for all solvers."""
+    grid = sample_grid(scores, sizes, repeats, rows=n * len(ds.parties)).withColumn("method", F.lit("coreset"))
+    grid = grid.unionByName(sample_grid(uniform_scores(ds), sizes, repeats, seed="grid-uniform", p=20, rows=n).withColumn("method", F.lit("uniform")))
     grid = materialize(grid, "grid")
-    return grid.join(ds.concat(grid.select("id").distinct()), "id")
+    ids = grid.select("id").distinct()
+    ids = F.broadcast(ids) if 2 * max(sizes) * repeats <= BROADCAST_IDS else ids
+    return materialize(grid.join(ds.concat(ids), "id"), "samples")
 
 
 def summarise(rows: list[tuple[str, str, int, float, int, float]], spark) -> DataFrame:
@@ -104,7 +107,7 @@ def regression_table(ds: VerticalDataset, sizes: Sequence[int], repeats: int, *,
     reg = ridge.Regularizer(l2=lam * n)
     widths = [len(p.features) for p in ds.parties]
     out = []
-    rows = _samples(train, score_table(train, regression_scores), sizes, repeats)
+    rows = _samples(train, score_table(train, regression_scores), sizes, repeats, n)
     for solver in solvers:
         if solver == "saga":
             whole = saga.saga_blocks(full, ds.features, ds.label, reg.l2, passes=passes)
@@ -133,27 +136,28 @@ def kmeans_table(ds: VerticalDataset, k: int, sizes: Sequence[int], repeats: int
     cuts = np.cumsum([0, *widths])
     from vpcoreset.parties import PartySpec
 
-    whole = PartySpec("all", wide, tuple(ds.features))
+    whole = kmeans.hold(PartySpec("all", wide, tuple(ds.features)))
     out = []
     if "kmeans++" in solvers:
         centers = kmeans.full_centers(whole, k, restarts=restarts)
-        out.append(("kmeans", "full+kmeans++", n, kmeans_full_cost(wide, ds.features, [centers])[0], solving("transfer", n, widths).total(), 0.0))
+        out.append(("kmeans", "full+kmeans++", n, kmeans_full_cost(whole, ds.features, [centers])[0], solving("transfer", n, widths).total(), 0.0))
     # The local clusterings serve the column-split solver and the scores alike.
     local = {p.name: kmeans.local_centers(p, k, clusterer) for p in ds.parties}
     if "dimension" in solvers:
-        centers = column_split.fit(ds, k, centers=[local[p.name] for p in ds.parties])
-        out.append(("kmeans", "full+dimension", n, kmeans_full_cost(wide, ds.features, [centers])[0], solving("dimension", n, widths, k=k).total(), 0.0))
-    rows = _samples(ds, score_table(ds, lambda p: kmeans_scores(p, k, clusterer=lambda p, k: local[p.name], is_stored=True)), sizes, repeats)
+        centers = column_split.fit(ds, k, centers=[local[p.name] for p in ds.parties], joined=wide)
+        out.append(("kmeans", "full+dimension", n, kmeans_full_cost(whole, ds.features, [centers])[0], solving("dimension", n, widths, k=k).total(), 0.0))
+    rows = _samples(ds, score_table(ds, lambda p: kmeans_scores(p, k, clusterer=lambda p, k: local[p.name], is_stored=True)), sizes, repeats, n)
     for solver in solvers:
         if solver == "dimension":
             solve = lambda x, y, w, s: column_split.fit_arrays([x[:, a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True)], w, k, seed=s)
         else:
             solve = lambda x, y, w, s: kmeans.fit_weighted(x, w, k, seed=s)
         found = _solve_groups(rows, ds, solve)
-        costs = kmeans_full_cost(wide, ds.features, [m.reshape(-1, len(ds.features)) for *_, m in found])
+        costs = kmeans_full_cost(whole, ds.features, [m.reshape(-1, len(ds.features)) for *_, m in found])
         for (method, size, _, _), cost in zip(found, costs, strict=True):
             units, frac = _units(method, "dimension" if solver == "dimension" else "transfer", size, ds, k, 0, policy)
             out.append(("kmeans", f"{method}+{solver}", size, cost, units, frac))
+    whole.release()
     return summarise(out, spark)
 
 

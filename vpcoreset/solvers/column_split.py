@@ -19,8 +19,10 @@ from vpcoreset.sources.io import materialize
 LOCAL = 100_000
 
 
-def party_cells(ds: VerticalDataset, centers: list[np.ndarray]) -> DataFrame:
-    """(id, cell_1 .. cell_T)."""
+def party_cells(ds: VerticalDataset, centers: list[np.ndarray], joined: DataFrame | None = None) -> DataFrame:
+    """(id, cell_1 .. cell_T). ``joined``: the blocks of all parties side by side, where they are stored so; else the parties' cells are joined."""
+    if joined is not None:
+        return joined.select("id", *[vectors.nearest([F.col(f) for f in p.features], c)["cell"].alias(f"cell_{j + 1}") for j, (p, c) in enumerate(zip(ds.parties, centers, strict=True))])
     out = None
     for j, (p, c) in enumerate(zip(ds.parties, centers, strict=True)):
         cells = p.block().select("id", vectors.nearest([F.col(f) for f in p.features], c)["cell"].alias(f"cell_{j + 1}"))
@@ -33,7 +35,7 @@ def product_grid(cells: DataFrame, parties: int, weight: str | None = None) -> D
     return cells.groupBy(*[f"cell_{j + 1}" for j in range(parties)]).agg((F.sum(weight) if weight else F.count(F.lit(1)).cast("double")).alias("w"))
 
 
-def fit(ds: VerticalDataset, k: int, *, clusterer: str = "scalable", iterations: int = 5, seed: int = 0, centers: list[np.ndarray] | None = None, local: int = LOCAL) -> np.ndarray:
+def fit(ds: VerticalDataset, k: int, *, clusterer: str = "scalable", iterations: int = 5, seed: int = 0, centers: list[np.ndarray] | None = None, local: int = LOCAL, joined: DataFrame | None = None) -> np.ndarray:
     """k centres over all features, from local clusterings of all rows.
 
     Up to ``local`` tuples of cells are clustered on the server; more of them stay a table and are clustered there.
@@ -42,7 +44,7 @@ def fit(ds: VerticalDataset, k: int, *, clusterer: str = "scalable", iterations:
         ds = ds.map(pin)
         centers = [local_centers(p, k, clusterer, iterations=iterations) for p in ds.parties]
     names = [f"cell_{j + 1}" for j in range(len(centers))]
-    grid = materialize(product_grid(party_cells(ds, centers), len(centers)), "product-grid")
+    grid = materialize(product_grid(party_cells(ds, centers, joined), len(centers)), "product-grid")
     if grid.count() <= local:
         rows = grid.orderBy(*names).toPandas()
         points = np.hstack([c[rows[n].to_numpy()] for n, c in zip(names, centers, strict=True)])

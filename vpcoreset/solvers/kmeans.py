@@ -1,5 +1,6 @@
 """k-means: seeding and Lloyd steps on the cluster for full blocks, and weighted numpy versions for samples.
 
+Passes over all rows read numpy blocks that are made once (``Held``).
 Lloyd on the cluster: tasks add up their rows by cell, and k rows come back. Seeding by squared
 distance is a race: the row of the least ``-ln(u) / d2`` is drawn with a probability in proportion to d2, u being a hash of the id. So a
 seed costs one aggregate, and a repeat gives the same seeds. Several starts share their jobs: each seed and each step of
@@ -8,20 +9,24 @@ all of them is one scan.
 
 from __future__ import annotations
 
-from collections.abc import Iterator, Sequence
+import pickle
+from collections.abc import Callable, Iterable, Iterator, Sequence
+from contextlib import contextmanager
+from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
+from pyspark import RDD, StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from vpcoreset.functions import vectors
-from vpcoreset.functions.rng import BITS, u52, u52_many
+from vpcoreset.functions.rng import BITS, spell, u52_many, u52_spelled
 from vpcoreset.parties import PartySpec
 
-#: Rows of a block of costs, and models that share a product.
-BLOCK, TOGETHER = 1024, 16
+#: Rows of a block of costs and cells, models that share a product, and rows whose distances are taken together.
+BLOCK, TOGETHER, STRIP = 1024, 16, 4096
 
 
 def first_centers(p: PartySpec, k: int) -> np.ndarray:
@@ -44,142 +49,211 @@ def _weight(p: PartySpec):
     return F.col(p.weight).cast("double") if p.weight else F.lit(1.0)
 
 
-def d2_seeds(p: PartySpec, k: int, seeds: Sequence[str]) -> list[np.ndarray]:
+@dataclass(frozen=True)
+class Held:
+    """Rows of a party as numpy blocks, for the passes of an iteration: derived and moved into arrays once, then kept on the executors' disks.
+
+    A block is (ids, features x rows, weights); ids are integers, or texts where the id is of another kind.
+    """
+
+    party: PartySpec
+    blocks: RDD
+
+    @property
+    def features(self) -> list[str]:
+        return list(self.party.features)
+
+    def each(self, work: Callable[[Iterator[tuple]], Iterable]) -> list:
+        """What the tasks hand on, in the order of the partitions."""
+        return self.blocks.mapPartitions(lambda found: work(map(pickle.loads, found))).collect()
+
+    def release(self) -> None:
+        self.blocks.unpersist()
+
+
+def hold(p: PartySpec) -> Held:
+    whole = isinstance(p.df.schema["id"].dataType, T.IntegralType)
+    rows = p.block().select(F.col("id").cast("long" if whole else "string").alias("id"), *p.features, _weight(p).alias("__w"))
+
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if batch.num_rows:
+                ids, *cols, w = (c.to_numpy(zero_copy_only=False) for c in batch.columns)
+                kept = pickle.dumps((ids if whole else ids.tolist(), np.stack(cols), w), 5)
+                yield pa.RecordBatch.from_arrays([pa.array([kept], pa.binary())], ["block"])
+
+    return Held(p, rows.mapInArrow(pack, "block binary").rdd.map(lambda r: bytes(r[0])).persist(StorageLevel.DISK_ONLY))
+
+
+@contextmanager
+def holding(p: PartySpec | Held) -> Iterator[Held]:
+    """The blocks of a party, given up afterwards unless they were held before."""
+    held = p if isinstance(p, Held) else hold(p)
+    try:
+        yield held
+    finally:
+        if held is not p:
+            held.release()
+
+
+def _hashes(ids: np.ndarray | list[str]) -> Callable[[Sequence[object]], np.ndarray]:
+    """For common parts, the hashes of these ids; whole ids are taken apart once for all parts."""
+    if isinstance(ids, np.ndarray) and (ids >= 0).all():
+        spelled = spell(ids)
+        return lambda parts: u52_spelled(parts, spelled)
+    names = list(map(str, ids))
+    return lambda parts: u52_many(parts, names)
+
+
+def least_key(u: np.ndarray, mass: np.ndarray, ids: Sequence) -> tuple[int | None, float]:
+    """The row of the least ``-ln(u) / mass`` among those with a mass, ties to the least id, and its key.
+
+    ``-ln(u)`` is at least ``1 - u``, so logarithms are taken only of rows that can still win.
+    """
+    some = np.flatnonzero(mass > 0)
+    if not len(some):
+        return None, np.inf
+    bound = (1 - u[some]) / mass[some]
+    able = some[bound <= -np.log(u[(j := some[bound.argmin()])]) / mass[j] * (1 + 1e-12)]
+    key = -np.log(u[able]) / mass[able]
+    best = able[key == key.min()]
+    return (int(best[0]) if len(best) == 1 else min(best.tolist(), key=lambda j: ids[j])), float(key.min())
+
+
+def d2_seeds(p: PartySpec | Held, k: int, seeds: Sequence[str]) -> list[np.ndarray]:
     """For each start k seeds, each drawn by its (weighted) squared distance to the ones before, the first by weight alone.
 
     Where all rows are seeds already, further ones are drawn by weight alone. A task hands on its winner of each start.
     """
-    block, w = p.block(), _weight(p)
-    out = [np.zeros((0, len(p.features))) for _ in seeds]
-    cols = list(p.features)
-    for i in range(k):
-
-        def race(batches: Iterator[pd.DataFrame], out=out, i=i) -> Iterator[pd.DataFrame]:
-            for batch in batches:
-                x, wt, names = batch[cols].to_numpy(float), batch["__w"].to_numpy(float), batch["__id"].to_list()
-                for r, seed in enumerate(seeds):
-                    u = -np.log((u52_many([seed, i], names) + 0.5) / (1 << BITS))
-                    mass = wt * (plain_distances(x, out[r]).min(1) if len(out[r]) else 1.0)
-                    for free, m in ((0, mass), (1, wt)):
-                        if (m > 0).any():
-                            with np.errstate(divide="ignore"):
-                                key = np.where(m > 0, u / np.where(m > 0, m, 1), np.inf)
-                            best = np.flatnonzero(key == key.min())
-                            at = best[np.argmin(batch["id"].to_numpy()[best])]
-                            yield pd.DataFrame({"start": [r], "free": [free], "key": [key[at]], "id": [str(batch["id"].iloc[at])], "row": [x[at]]})
-
-        won = block.select("id", *cols, w.alias("__w"), F.col("id").cast("string").alias("__id")).mapInPandas(race, "start int, free int, key double, id string, row array<double>")
-        found = {(r["start"], r["free"]): r["row"] for r in won.groupBy("start", "free").agg(F.min_by("row", F.struct("key", "id")).alias("row")).collect()}
-        out = [np.vstack([c, [found.get((r, 0)) or found[r, 1]]]) for r, c in enumerate(out)]
-    return out
-
-
-def d2_centers(p: PartySpec, k: int, seed: str = "d2") -> np.ndarray:
+    with holding(p) as held:
+        out = [np.zeros((0, len(held.features))) for _ in seeds]
+        for i in range(k):
+
+            def race(blocks: Iterator[tuple], out=out, i=i) -> Iterable[tuple]:
+                won: dict[tuple[int, int], tuple] = {}
+                for ids, x, wt in blocks:
+                    hashes = _hashes(ids)
+                    for r, seed in enumerate(seeds):
+                        u = (hashes([seed, i]) + 0.5) / (1 << BITS)
+                        mass = wt * (least_distances(x, out[r]) if len(out[r]) else 1.0)
+                        free = int(not (mass > 0).any())  # draws by weight alone count where no row anywhere has a mass
+                        at, key = least_key(u, wt if free else mass, ids)
+                        if at is not None:
+                            mine = (key, str(ids[at]), x[:, at].tolist())
+                            won[r, free] = min(won.get((r, free), mine), mine)
+                return list(won.items())
+
+            found: dict[tuple[int, int], tuple] = {}
+            for at, mine in held.each(race):
+                found[at] = min(found.get(at, mine), mine)
+            out = [np.vstack([c, [(found.get((r, 0)) or found[r, 1])[2]]]) for r, c in enumerate(out)]
+        return out
+
+
+def d2_centers(p: PartySpec | Held, k: int, seed: str = "d2") -> np.ndarray:
     return d2_seeds(p, k, [seed])[0]
 
 
-def lloyd_many(p: PartySpec, starts: Sequence[np.ndarray], iterations: int) -> list[np.ndarray]:
+def lloyd_many(p: PartySpec | Held, starts: Sequence[np.ndarray], iterations: int) -> list[np.ndarray]:
     """Lloyd steps of several starts on all rows, one scan a step; an empty cell keeps its centre, and starts that stand still end the work.
 
-    Tasks hand on sums of their rows by start and cell, from Arrow batches; the cluster adds them up.
+    Tasks hand on sums of their rows by start and cell.
     """
-    starts, cols = [np.array(c, float) for c in starts], list(p.features)
-    rows = p.block().select(*cols, _weight(p).alias("__w"))
-    for _ in range(iterations):
-
-        def partial(batches: Iterator[pd.DataFrame], starts=starts) -> Iterator[pd.DataFrame]:
-            sums = [np.zeros((len(c), len(cols) + 1)) for c in starts]
-            for batch in batches:
-                x, w = batch[cols].to_numpy(float), batch["__w"].to_numpy(float)
-                weighted = [w * x[:, j] for j in range(len(cols))]
-                for c, s in zip(starts, sums, strict=True):
-                    cell = vectors.nearest_rows(plain_distances(x, c))
-                    s[:, 0] += np.bincount(cell, w, len(c))
-                    for j, v in enumerate(weighted):
-                        s[:, j + 1] += np.bincount(cell, v, len(c))
-            for r, s in enumerate(sums):
-                yield pd.DataFrame({"start": r, "at": np.arange(s.size), "value": s.ravel()})
-
-        found = rows.mapInPandas(partial, "start int, at int, value double").groupBy("start", "at").agg(F.sum("value").alias("value")).collect()
-        sums = [np.zeros((len(c), len(cols) + 1)) for c in starts]
-        for r in found:
-            sums[r["start"]].ravel()[r["at"]] = r["value"]
-        moved, after = 0.0, []
-        for c, s in zip(starts, sums, strict=True):
-            full = s[:, 0] > 0
-            new = np.where(full[:, None], s[:, 1:] / np.where(full, s[:, 0], 1)[:, None], c)
-            moved = max(moved, float(np.abs(new - c).max(initial=0)))
-            after.append(new)
-        starts = after
-        if moved < 1e-12:
-            break
+    starts = [np.array(c, float) for c in starts]
+    with holding(p) as held:
+        for _ in range(iterations):
+
+            def partial(blocks: Iterator[tuple], starts=starts) -> Iterable[list[np.ndarray]]:
+                sums = [np.zeros((len(c), c.shape[1] + 1)) for c in starts]
+                for _, x, w in blocks:
+                    add_cells(sums, x, w, starts)
+                return [sums]
+
+            sums = [np.zeros((len(c), c.shape[1] + 1)) for c in starts]
+            for part in held.each(partial):
+                for s, own in zip(sums, part, strict=True):
+                    s += own
+            moved, after = 0.0, []
+            for c, s in zip(starts, sums, strict=True):
+                full = s[:, -1] > 0
+                new = np.where(full[:, None], s[:, :-1] / np.where(full, s[:, -1], 1)[:, None], c)
+                moved = max(moved, float(np.abs(new - c).max(initial=0)))
+                after.append(new)
+            starts = after
+            if moved < 1e-12:
+                break
     return starts
 
 
-def costs_many(df: DataFrame, features: Sequence[str], models: Sequence[np.ndarray], weight: str | None = None) -> tuple[list[float], float]:
-    """Sum of (weighted) squared distances to the nearest centre for many center sets, broadcast once, and the weight of all rows."""
-    held = df.sparkSession.sparkContext.broadcast([np.asarray(c, float) for c in models])
-    cols = list(features)
+def costs_many(df: DataFrame | Held, features: Sequence[str], models: Sequence[np.ndarray], weight: str | None = None) -> tuple[list[float], float]:
+    """Sum of (weighted) squared distances to the nearest centre for many center sets, broadcast once, and the weight of all rows; held rows bring their own weights."""
+    if not isinstance(df, Held):
+        with holding(PartySpec("rows", df.withColumn("id", F.lit(0)) if "id" not in df.columns else df, tuple(features), weight=weight)) as held:
+            return costs_many(held, features, models)
+    if list(features) != df.features:
+        raise ValueError(f"the rows hold {df.features}, not {list(features)}")
+    sent = df.blocks.context.broadcast([np.asarray(c, float) for c in models])
 
-    def partial(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        total, n = np.zeros(len(held.value)), 0.0
-        for batch in batches:
-            x, w = batch[cols].to_numpy(float), batch["__w"].to_numpy(float)
+    def partial(blocks: Iterator[tuple]) -> Iterable[np.ndarray]:
+        total, n = np.zeros(len(sent.value)), 0.0
+        for _, x, w in blocks:
             n += w.sum()
-            total += cost_sums(x, w, held.value)
-        yield pd.DataFrame({"at": np.arange(len(total) + 1), "value": np.append(total, n)})
+            total += cost_sums(x.T, w, sent.value)
+        return [np.append(total, n)]
 
-    rows = df.select(*cols, (F.col(weight).cast("double") if weight else F.lit(1.0)).alias("__w"))
-    sums = {r["at"]: r["value"] for r in rows.mapInPandas(partial, "at int, value double").groupBy("at").agg(F.sum("value").alias("value")).collect()}
-    held.destroy()
-    return [sums[i] for i in range(len(models))], sums[len(models)]
+    sums = sum(df.each(partial), np.zeros(len(models) + 1))
+    sent.destroy()
+    return sums[:-1].tolist(), float(sums[-1])
 
 
-def full_centers(p: PartySpec, k: int, *, restarts: int = 3, iterations: int = 20, seed: str = "full") -> np.ndarray:
+def full_centers(p: PartySpec | Held, k: int, *, restarts: int = 3, iterations: int = 20, seed: str = "full") -> np.ndarray:
     """Seeding by squared distance and Lloyd steps on all rows: the start of the least cost."""
-    found = lloyd_many(p, d2_seeds(p, k, [f"{seed}-{r}" for r in range(restarts)]), iterations)
-    return found[int(np.argmin(costs_many(p.block(), p.features, found, p.weight)[0]))]
+    with holding(p) as held:
+        found = lloyd_many(held, d2_seeds(held, k, [f"{seed}-{r}" for r in range(restarts)]), iterations)
+        return found[int(np.argmin(costs_many(held, held.features, found)[0]))]
 
 
-def lloyd(p: PartySpec, centers: np.ndarray, iterations: int) -> np.ndarray:
+def lloyd(p: PartySpec | Held, centers: np.ndarray, iterations: int) -> np.ndarray:
     """Lloyd steps on all rows; an empty cell keeps its centre."""
     return lloyd_many(p, [centers], iterations)[0]
 
 
-def _nearest_rows(p: PartySpec, centers: np.ndarray) -> DataFrame:
-    """id, features, __w, and of the nearest centre the cell and the weighted squared distance; Arrow batches, since candidates are many."""
-    cols = list(p.features)
-    rows = p.block().select("id", *cols, _weight(p).alias("__w"))
+def scalable_centers(p: PartySpec | Held, k: int, seed: str = "scalable", rounds: int = 3) -> np.ndarray:
+    """A few rounds of over-sampling (2 k rows each in the mean, by weighted squared distance), then weighted seeding of the candidates."""
+    with holding(p) as held:
+        chosen = first_centers(held.party, 1)
+        for r in range(rounds):
 
-    def near(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for batch in batches:
-            d2 = plain_distances(batch[cols].to_numpy(float), centers)
-            yield batch.assign(cell=vectors.nearest_rows(d2).astype(np.int32), mass=d2.min(1) * batch["__w"].to_numpy(float))
+            def masses(blocks: Iterator[tuple], chosen=chosen) -> Iterable[float]:
+                return [float(sum((least_distances(x, chosen) * w).sum() for _, x, w in blocks))]
 
-    return rows.mapInPandas(near, T.StructType([*rows.schema.fields, T.StructField("cell", T.IntegerType()), T.StructField("mass", T.DoubleType())]))
+            total = sum(held.each(masses))
+            if not total:
+                break
 
+            def take(blocks: Iterator[tuple], chosen=chosen, r=r, share=2.0 * k / total) -> Iterable[tuple]:
+                for ids, x, w in blocks:
+                    hit = _hashes(ids)([seed, r]) < np.minimum(1.0, share * (least_distances(x, chosen) * w)) * float(1 << BITS)
+                    yield from ((ids[j], *x[:, j].tolist()) for j in np.flatnonzero(hit).tolist())
 
-def scalable_centers(p: PartySpec, k: int, seed: str = "scalable", rounds: int = 3) -> np.ndarray:
-    """A few rounds of over-sampling (2 k rows each in the mean, by weighted squared distance), then weighted seeding of the candidates."""
-    chosen = first_centers(p, 1)
-    for r in range(rounds):
-        rows = _nearest_rows(p, chosen)
-        total = float(rows.agg(F.sum("mass")).collect()[0][0] or 0.0)
-        if not total:
-            break
-        take = u52(seed, str(r), F.col("id")) < F.least(F.lit(1.0), F.lit(2.0 * k / total) * F.col("mass")) * float(1 << BITS)
-        taken = sorted(rows.where(take).select("id", *p.features).collect())
-        if taken:
-            chosen = np.vstack([chosen, np.array([x[1:] for x in taken], float)])
-    weight = np.zeros(len(chosen))
-    for r in _nearest_rows(p, chosen).groupBy("cell").agg(F.sum("__w").alias("w")).collect():
-        weight[r["cell"]] = r["w"]
-    return fit_weighted(chosen, weight, k, seed=7, iterations=20)
+            taken = sorted(held.each(take))
+            if taken:
+                chosen = np.vstack([chosen, np.array([x[1:] for x in taken], float)])
+
+        def weights(blocks: Iterator[tuple]) -> Iterable[np.ndarray]:
+            mass = np.zeros(len(chosen))
+            for _, x, w in blocks:
+                for low in range(0, len(w), BLOCK):
+                    mass += np.bincount(vectors.nearest_rows(plain_distances(x[:, low : low + BLOCK].T, chosen)), w[low : low + BLOCK], len(chosen))
+            return [mass]
+
+        return fit_weighted(chosen, sum(held.each(weights), np.zeros(len(chosen))), k, seed=7, iterations=20)
 
 
 def local_centers(p: PartySpec, k: int, clusterer: str = "scalable", *, iterations: int = 5, seed: str = "local") -> np.ndarray:
-    start = {"first": first_centers, "farthest": farthest_centers, "d2seed": lambda p, k: d2_centers(p, k, seed), "scalable": lambda p, k: scalable_centers(p, k, seed)}[clusterer](p, k)
-    return lloyd(p, start, iterations)
+    with holding(p) as held:
+        start = {"first": lambda h, k: first_centers(h.party, k), "farthest": lambda h, k: farthest_centers(h.party, k), "d2seed": lambda h, k: d2_centers(h, k, seed), "scalable": lambda h, k: scalable_centers(h, k, seed)}[clusterer](held, k)
+        return lloyd(held, start, iterations)
 
 
 def distances(x: np.ndarray, centers: np.ndarray) -> np.ndarray:
@@ -198,6 +272,43 @@ def plain_distances(x: np.ndarray, centers: np.ndarray) -> np.ndarray:
     return out.T
 
 
+def least_distances(x: np.ndarray, centers: np.ndarray) -> np.ndarray:
+    """Squared distance of each column of x (features x rows) to its nearest centre, by differences, a block of rows at a time."""
+    return np.concatenate([np.zeros(0), *(plain_distances(x[:, low : low + STRIP].T, centers).T.min(0) for low in range(0, x.shape[1], STRIP))])
+
+
+def add_cells(sums: Sequence[np.ndarray], x: np.ndarray, w: np.ndarray, starts: Sequence[np.ndarray]) -> None:
+    """Adds the weighted sums of the columns of x (features x rows) by their nearest centre, and last the weight of each cell, for each start.
+
+    One product for all starts shows the nearest centre of nearly all rows; rows that it leaves within rounding or within the limit of a tie are
+    decided by differences, so cells are those of ``plain_distances`` and ``vectors.nearest_rows``.
+    """
+    stacked = np.vstack([np.hstack([-2 * c, (c * c).sum(1)[:, None]]) for c in starts])
+    reach = float(stacked[:, -1].max(initial=0))
+    for low in range(0, x.shape[1], BLOCK):
+        block, mass = x[:, low : low + BLOCK], w[low : low + BLOCK]
+        laid, own = np.vstack([block, np.ones(len(mass))]), (block * block).sum(0)
+        weighted, safe = (laid * mass).T, bool(np.isfinite(own).all() and np.isfinite(reach))
+        if not safe:
+            for s, c in zip(sums, starts, strict=True):
+                cell = vectors.nearest_rows(plain_distances(block.T, c))
+                s += np.stack([np.bincount(cell, weighted[:, j], len(c)) for j in range(s.shape[1])], 1)
+            continue
+        product, at = stacked @ laid, 0
+        slack = 1e-12 * (own + reach)
+        for s, c in zip(sums, starts, strict=True):
+            part = product[at : at + len(c)]
+            at += len(c)
+            least = part.min(0)
+            near = part <= least + (slack + 2 * vectors.TIE * np.maximum(least + own, 0.0))
+            member = near.astype(float)
+            if np.count_nonzero(near) != len(mass):
+                unclear = np.flatnonzero(near.sum(0) != 1)
+                member[:, unclear] = 0.0
+                member[vectors.nearest_rows(plain_distances(block[:, unclear].T, c)), unclear] = 1.0
+            s += member @ weighted
+
+
 def cost_sums(x: np.ndarray, w: np.ndarray, models: Sequence[np.ndarray]) -> np.ndarray:
     """Weighted sum of squared distances to the nearest centre, for each of many center sets.
 
